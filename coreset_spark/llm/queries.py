@@ -7,10 +7,17 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from . import oracles as sql
-from . import mixing, quality_rules
+from . import mixing, packing, quality_rules
 from .common import table
 
 
+def tokenizer(name: str = "word_bpe_49k.json") -> str:
+    """The place of a public tokenizer's file."""
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
 def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.measure(table(spark, sf_dir, "documents"))
 
@@ -19,8 +26,12 @@ def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.measure(table(spark, sf_dir, "documents"))
 
 
+def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(table(spark, sf_dir, "documents"), packing.Packing(tokenizer()))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op5_mixing": op5_mixing, "op8_quality_rules": op8_quality_rules}
+    return {"op5_mixing": op5_mixing, "op8_quality_rules": op8_quality_rules, "op9_packing": op9_packing}
 
 
 def oracles() -> dict[str, str]:
