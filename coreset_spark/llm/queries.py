@@ -5,9 +5,10 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from . import oracles as sql
-from . import mixing, packing, quality_rules
+from . import ball_tree, mixing, packing, quality_rules
 from .common import table
 
 
@@ -22,6 +23,10 @@ def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.measure(table(spark, sf_dir, "documents"))
 
 
+def op7_ball_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ball_tree.top_k(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 100 == 0)
+
+
 def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules.measure(table(spark, sf_dir, "documents"))
 
@@ -31,7 +36,7 @@ def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op5_mixing": op5_mixing, "op8_quality_rules": op8_quality_rules, "op9_packing": op9_packing}
+    return {"op5_mixing": op5_mixing, "op7_ball_tree": op7_ball_tree, "op8_quality_rules": op8_quality_rules, "op9_packing": op9_packing}
 
 
 def oracles() -> dict[str, str]:
