@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import oracles as sql
-from . import ball_tree, mixing, packing, quality_rules
+from . import ball_tree, line_dedup, mixing, packing, quality_rules
 from .common import table
 
 
@@ -35,8 +35,12 @@ def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), packing.Packing(tokenizer()))
 
 
+def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_dedup.measure(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op5_mixing": op5_mixing, "op7_ball_tree": op7_ball_tree, "op8_quality_rules": op8_quality_rules, "op9_packing": op9_packing}
+    return {"op5_mixing": op5_mixing, "op7_ball_tree": op7_ball_tree, "op8_quality_rules": op8_quality_rules, "op9_packing": op9_packing, "op10_line_dedup": op10_line_dedup}
 
 
 def oracles() -> dict[str, str]:
