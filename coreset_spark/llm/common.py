@@ -43,3 +43,13 @@ def n_words(text: Column) -> Column:
 def keyed(value: Column) -> Column:
     """Bytes equal for equal values, nulls included, for joins on nullable keys."""
     return F.coalesce(F.concat(F.lit("="), value.cast("string")), F.lit("0"))
+
+
+def only(df: DataFrame, condition: Column) -> DataFrame:
+    """Rows for which the condition holds, with every expression below evaluated once.
+
+    A plain filter is pushed below the projections it reads, so their array expressions would be
+    evaluated again, inside lambdas even once per element. A filter on what a generator makes stays.
+    """
+    one = F.explode_outer(F.when(condition, F.array(F.lit(1))).otherwise(F.array(F.lit(0))))
+    return df.withColumn("_holds", one).filter("_holds = 1").drop("_holds")

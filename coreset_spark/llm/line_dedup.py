@@ -75,7 +75,7 @@ def chunked(docs: DataFrame, keep: list[Column], c: Chunking = Chunking()) -> Da
 def removals(docs: DataFrame, c: Chunking = Chunking()) -> DataFrame:
     """(id, h, gone): of documents that lose chunks, the places of these."""
     row = [keyed(F.col("doc_id")).alias("id"), F.xxhash64("text").alias("h")]
-    parts = chunked(docs, row, c).select("id", "h", F.explode(F.filter("chunks", lambda x: x["multi"])).alias("c"))
+    parts = chunked(docs, row, c).select("id", "h", F.explode_outer(F.filter("chunks", lambda x: x["multi"])).alias("c")).filter("c is not null")
     parts = parts.select("id", "h", F.col("c.i").alias("i"), F.col("c.text").alias("text"), F.xxhash64("c.text").alias("k"))
     first, last = F.struct("id", "h", "i"), F.struct("id", "h", "i")
     again = parts.groupBy("k").agg(F.min(first).alias("first"), F.max(last).alias("last")).filter("first <> last").select("k")

@@ -16,7 +16,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import words
+from .common import only, words
 
 # Lower-case phrases of pages' frames, never of their prose.
 BOILERPLATE = (
@@ -170,7 +170,7 @@ def clean(docs: DataFrame, rules: Rules = Rules()) -> DataFrame:
     """The documents that are kept, in their own columns, without the lines that failed; n_chars follows the text."""
     names = [c for c in docs.columns if c not in ("text", "n_chars")]
     packed = docs.select(F.struct(*[F.col(f"`{c}`") for c in names]).alias("_row"), F.col("text"))
-    out = _judged(packed, rules, [F.col("_row")]).filter("kept")
+    out = only(_judged(packed, rules, [F.col("_row")]), F.col("kept"))
     left = F.filter("_lines", lambda x: ~line_fails(x, rules, F.col("_marked"), F.col("_framed")))
     out = out.select("_row", F.when(F.size("_failed") == 0, F.col("text")).otherwise(F.array_join(left, "\n")).alias("text"))
 
