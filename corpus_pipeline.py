@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from coreset_spark.llm import jaccard_join, line_dedup, mixing, packing, quality_rules
+from coreset_spark.llm.common import only
 from coreset_spark.llm.queries import tokenizer
 
 
@@ -23,7 +24,7 @@ def quality_rules_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 def line_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops repeated chunks, and documents of which no word is left."""
-    return line_dedup.dedup(docs).filter(F.col("text").rlike(r"[^\x20\x09-\x0D]"))
+    return only(line_dedup.dedup(docs), F.col("text").rlike(r"[^\x20\x09-\x0D]"))
 
 
 def near_duplicates_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
