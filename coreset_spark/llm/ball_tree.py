@@ -168,6 +168,7 @@ def top_k(rows: DataFrame, is_query: Column, s: Search = Search()) -> DataFrame:
     keys = ["dim", "shard", "block"]
 
     def grid(questions: DataFrame) -> DataFrame:
+        questions = questions.select(*[F.col(c).alias(c) for c in questions.columns])  # apart from the rows' own columns
         return every_block.groupBy(*keys).cogroup(questions.groupBy(*keys)).applyInPandas(_searched(s), found)
 
     home = asking.select("vec_id", "v", "h", "dim", shard.alias("shard"), block.alias("block"), F.lit(None).cast("double").alias("floor"))
