@@ -41,37 +41,86 @@ class Packing:
     nearly_full: float = 0.995
     fan: int = 8
     residual: int = 4096
-    cache: int = 400_000
+    cache: int = 800_000
 
 
 class WordIds:
-    """Ids of a text as little-endian 32-bit bytes.
+    """Ids of texts as little-endian 32-bit bytes.
 
     The tokenizer drops white space and never merges across it, so words are encoded once and
-    kept; a text with characters that Python alone takes for white space is encoded whole.
+    kept. New words are encoded together: words of letters alone, each of which ends with the one
+    token that ends a word, as one text; others with a special token between them; words that may
+    hold such a token, and texts with characters that Python alone takes for white space, by
+    themselves.
     """
 
     def __init__(self, path: str, most: int) -> None:
         from tokenizers import Tokenizer
 
         self.tokenizer, self.most, self.known = Tokenizer.from_file(path), most, {}
-
-    def _encode(self, texts: list[str]) -> list[bytes]:
-        return [np.asarray(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch(texts, add_special_tokens=False)]
-
-    def __call__(self, text: str) -> bytes:
-        if re.search("[\x1c-\x1f]", text):
-            return self._encode([text])[0]
-        words = text.split()
-        try:
-            return b"".join(map(self.known.__getitem__, words))
-        except KeyError:
-            pass
+        special = {i: t.content for i, t in self.tokenizer.get_added_tokens_decoder().items() if t.special}
+        self.between, self.mark = max(special.items(), default=(None, None))
+        self.odd = re.compile("|".join(map(re.escape, special.values())) or "(?!)", re.IGNORECASE)
+
+        suffix = getattr(self.tokenizer.model, "end_of_word_suffix", None)
+        size = self.tokenizer.get_vocab_size()
+        self.last = np.array([bool(suffix) and (self.tokenizer.id_to_token(i) or "").endswith(suffix) for i in range(size)])
+
+    def _each(self, texts: list[str]) -> list[bytes]:
+        return [np.asarray(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _together(self, words: list[str], text: str, ends) -> None:
+        """Encodes a text that holds the words in order; ends finds, in its ids, the end of each and the start of the next."""
+        ids = np.asarray(self.tokenizer.encode_batch_fast([text], add_special_tokens=False)[0].ids, "<u4")
+        stop, start = ends(ids)
+        if len(stop) != len(words):
+            raise ValueError("the tokenizer does not keep words apart")
+        data = ids.tobytes()
+        for w, i, j in zip(words, (4 * start).tolist(), (4 * stop).tolist(), strict=True):
+            self.known[w] = data[i:j]
+
+    def _learn(self, new: list[str]) -> None:
+        plain, marked, alone, suffixed = [], [], [], bool(self.last.any())
+        for w in new:
+            (plain if suffixed and w.isalpha() else marked if self.mark and not self.odd.search(w) else alone).append(w)
+        self.known.update(zip(alone, self._each(alone), strict=True))
+
+        def by_mark(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            at = np.flatnonzero(ids == self.between)
+            return np.append(at, len(ids)), np.append(0, at + 1)
+
+        def by_suffix(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+            at = np.flatnonzero(self.last[ids]) + 1
+            return at, np.append(0, at[:-1])
+
+        for words, between, ends in ((plain, " ", by_suffix), (marked, f" {self.mark} ", by_mark)):
+            for k in range(0, len(words), 2_000):
+                self._together(words[k : k + 2_000], between.join(words[k : k + 2_000]), ends)
+
+    def __call__(self, texts: list[str]) -> list[bytes]:
+        split = [None if re.search("[\x1c-\x1f]", t) else t.split() for t in texts]
         if len(self.known) > self.most:
             self.known.clear()
-        new = list({w for w in words if w not in self.known})
-        self.known.update(zip(new, self._encode(new), strict=True))
-        return b"".join(map(self.known.__getitem__, words))
+        new: set[str] = set()
+        for words in split:
+            new.update(words or ())
+        if new := new.difference(self.known):
+            self._learn(list(new))
+        get = self.known.__getitem__
+        return [self._each([t])[0] if words is None else b"".join(map(get, words)) for t, words in zip(texts, split, strict=True)]
+
+
+def _runs(texts: list[str | None], chars: int = 2_000_000) -> Iterator[list[str]]:
+    """Consecutive texts of about so many characters together."""
+    some, size = [], 0
+    for t in texts:
+        some.append(t or "")
+        size += len(some[-1])
+        if size >= chars:
+            yield some
+            some, size = [], 0
+    if some:
+        yield some
 
 
 _loaded: dict[tuple, WordIds] = {}
@@ -127,8 +176,9 @@ def _packed(batches: Iterable[pa.RecordBatch], p: Packing, id_type: pa.DataType)
     close = np.asarray([p.close_with], "<u4").tobytes()
     ids, piece, start, length, crc = [], [], [], [], []
     for batch in batches:
-        for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-            data = encode(text or "") + close
+        encoded = (data for some in _runs(batch.column(1).to_pylist()) for data in encode(some))
+        for doc_id, data in zip(batch.column(0).to_pylist(), encoded, strict=True):
+            data += close
             for k in range(0, len(data), 4 * p.capacity):
                 part = data[k : k + 4 * p.capacity]
                 ids.append(doc_id)
