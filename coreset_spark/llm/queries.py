@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import oracles as sql
-from . import ball_tree, jaccard_join, line_dedup, mixing, packing, quality_rules
+from . import ball_tree, jaccard_join, line_dedup, mixing, packing, quality_bayes, quality_rules, toxicity
 from .common import table
 
 
@@ -19,6 +19,17 @@ def tokenizer(name: str = "word_bpe_49k.json") -> str:
     return public_tokenizers.path(name)
 
 
+def op1_quality_bayes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Documents have no URL: their source stands for the host, source and language for the path."""
+    host, path = F.col("source"), F.concat_ws("/", "source", "lang")
+    return quality_bayes.judge(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"), host, path)
+
+
+def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    return toxicity.score(docs, toxicity.fit(docs, table(spark, sf_dir, "labels")))
+
+
 def op3_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = jaccard_join.join(table(spark, sf_dir, "documents"), jaccard_join.Join(n=3, percent=90))
     return found.select("doc_id", "n_shingles", "component_id")
@@ -51,7 +62,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op3_jaccard_join": op3_jaccard_join, "op5_mixing": op5_mixing, "op7_ball_tree": op7_ball_tree, "op8_quality_rules": op8_quality_rules, "op9_packing": op9_packing, "op10_line_dedup": op10_line_dedup, "pipeline": pipeline}
+    return {"op1_quality_bayes": op1_quality_bayes, "op2_toxicity": op2_toxicity, "op3_jaccard_join": op3_jaccard_join, "op5_mixing": op5_mixing, "op7_ball_tree": op7_ball_tree, "op8_quality_rules": op8_quality_rules, "op9_packing": op9_packing, "op10_line_dedup": op10_line_dedup, "pipeline": pipeline}
 
 
 def oracles() -> dict[str, str]:
