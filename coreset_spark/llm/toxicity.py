@@ -1,7 +1,8 @@
 """Toxicity by a counterfactual-regularised classifier.
 
-Logistic regression over the distinct words of a text. Words are chosen by how strongly they go
-with the label, counted over the sample; identity terms are always among them. Of every sampled
+Logistic regression over the distinct words of a text and over their beginnings, so that inflected
+and compound forms count together. Both are chosen by how strongly they go with the label,
+counted over the sample; identity terms are always among them. Of every sampled
 text that names a group, copies name other groups of the same kind instead, and the change of
 score between a text and its copies is penalised, so that naming a group neither makes a text
 toxic nor harmless.
@@ -17,6 +18,7 @@ one half; an empty table gives an empty one; only doc_id and text are read.
 
 from __future__ import annotations
 
+import math
 import re
 from collections import Counter
 from collections.abc import Iterator
@@ -45,10 +47,11 @@ IDENTITIES = {
 class Toxicity:
     """sample: labelled rows of the fit, at most about. features: words that are kept. swaps: copies of a text that names a group."""
 
-    sample: int = 20_000
-    features: int = 3_000
+    sample: int = 12_000
+    features: int = 4_000
     least: int = 3
-    l2: float = 2e-4
+    l2: float = 5e-5
+    steps: int = 400
     penalty: float = 1.0
     swaps: int = 2
     seed: int = 0
@@ -56,12 +59,20 @@ class Toxicity:
 
 
 _WORD = re.compile(r"\w+")
+BEGIN = (4, 8)
 
 
 def tokens(text: str | None) -> set[str]:
     return set(_WORD.findall(text.lower())) if text else set()
 
 
+def features(words: set[str]) -> dict[str, int]:
+    """The words, once each, and their beginnings of 4 to 8 letters with the number of longer words that have them."""
+    out = Counter(w[:k] + "*" for w in words for k in range(BEGIN[0], min(BEGIN[1] + 1, len(w))))
+    out.update(dict.fromkeys(words, 1))
+    return out
+
+
 def swapped(words: set[str], t: Toxicity) -> list[set[str]]:
     """Copies in which every group is replaced by the next ones of its kind."""
     kinds = {w: (kind, i) for kind, terms in t.identities.items() for i, w in enumerate(terms)}
@@ -83,7 +94,13 @@ class Model:
     bias: float
 
     def score(self, text: str | None) -> float:
-        z = self.bias + sum(self.weights[w] for w in tokens(text) & self.weights.keys())
+        z, w = self.bias, self.weights
+        words = tokens(text)
+        for x in words & w.keys():
+            z += w[x]
+        counts = Counter(b for x in words for k in range(BEGIN[0], min(BEGIN[1] + 1, len(x))) if (b := x[:k] + "*") in w)
+        for b, n in counts.items():
+            z += w[b] * math.log2(1 + n)
         return float(1 / (1 + np.exp(-np.clip(z, -40, 40))))
 
 
@@ -92,7 +109,7 @@ def _counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     seen = (Counter(), Counter())
     for batch in batches:
         for y, words in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-            seen[1 if y else 0].update(words)
+            seen[1 if y else 0].update(features(set(words)).keys())
     words = list(seen[0].keys() | seen[1].keys())
     for k in range(0, len(words), 50_000):
         part = words[k : k + 50_000]
@@ -119,18 +136,31 @@ def fit(docs: DataFrame, labels: DataFrame, t: Toxicity = Toxicity(), label: str
     vocabulary = sorted({r["word"] for r in best.select("word").collect()} | names)
     at = {w: i for i, w in enumerate(vocabulary)}
 
+    def weigh(words: set[str]) -> list[tuple[int, float]]:
+        return [(at[f], math.log2(1 + n)) for f, n in features(words).items() if f in at]
+
     def chosen(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        """Per text: its label, its columns and values, and the same of the difference to each of its copies, as bytes."""
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([[w for w in x if w in at] for x in batch.column(1).to_pylist()], pa.list_(pa.string()))], names=["y", "words"])
-
-    sample = rows.mapInArrow(chosen, "y int, words array<string>").toPandas()
-    x = [[(at[w], 1.0) for w in words] for words in sample["words"]]
-    changes = []
-    for words in sample["words"]:
-        own = set(words)
-        for copy in swapped(own, t):
-            changes.append([(at[w], 1.0) for w in own - copy] + [(at[w], -1.0) for w in copy - own if w in at])
-    w, b = logistic(Rows.of(x), sample["y"].to_numpy(np.float64), len(vocabulary), t.l2, Rows.of(changes), t.penalty)
+            own = [set(x) for x in batch.column(1).to_pylist()]
+            lists = [[weigh(x), *([*weigh(x), *((i, -v) for i, v in weigh(c))] for c in swapped(x, t))] for x in own]
+            flat = [[p for part in x for p in part] for x in lists]
+            packed = [np.array([p[k] for p in x], kind).tobytes() for k, kind in ((0, "<i4"), (1, "<f4")) for x in flat]
+            sizes = [np.array([len(part) for part in x], "<i4").tobytes() for x in lists]
+            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, pa.binary()) for c in (sizes, packed[: len(own)], packed[len(own) :]))], names=["y", "sizes", "at", "value"])
+
+    sample = rows.mapInArrow(chosen, "y int, sizes binary, at binary, value binary").toPandas()
+    y = sample["y"].to_numpy(np.float64)
+    sizes = [np.frombuffer(x, "<i4") for x in sample["sizes"]]
+    every, own = np.concatenate(sizes), np.concatenate([np.arange(len(x)) == 0 for x in sizes])
+    index, value = (np.frombuffer(b"".join(sample[c]), kind) for c, kind in (("at", "<i4"), ("value", "<f4")))
+    mine = np.repeat(own, every)
+
+    def part(rows_of: np.ndarray, cells: np.ndarray) -> Rows:
+        n = int(rows_of.sum())
+        return Rows(index[cells].astype(np.int64), value[cells].astype(np.float64), np.repeat(np.arange(n), every[rows_of]), n)
+
+    w, b = logistic(part(own, mine), y, len(vocabulary), t.l2, part(~own, ~mine), t.penalty, t.steps)
     return Model({v: float(w[i]) for v, i in at.items() if w[i]}, b)
 
 
