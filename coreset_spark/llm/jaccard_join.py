@@ -10,12 +10,13 @@ are the ones that most other sets share, and the rarest subset that two linked s
 never among them.
 
 Equal sets are one class from the start. Classes that share a signature are candidates. Each
-signature's least class is compared with the others first; what links falls together, and only
-signatures whose classes still lie in different components are looked at again, in blocks: there,
-parity sketches give a lower bound of the difference, and of the pairs within it each class sends
-its nearest ones to verification, more in each turn, until none is left out. So a large group of
+signature's least class is compared with the others first, where their parity sketches, which
+give a lower bound of the difference, allow it. What links falls together, and only signatures
+whose classes still lie in different components are looked at again, in blocks: of the pairs that
+the sketches allow, each class sends its nearest ones to verification, more in each turn, until none is left out. So a large group of
 near copies costs few pairs, and still every pair that could join two components is verified, on
-the words themselves. Texts travel only for classes that share a signature.
+the words themselves. Texts travel only for
+classes of pairs to verify.
 
 Defined results: null, empty and wordless texts have no n-grams and link with nothing; fewer than
 n words are one n-gram; rows with equal doc_id are rows of their own; a null doc_id takes part,
@@ -43,13 +44,14 @@ from .components import components
 
 @dataclass(frozen=True)
 class Join:
-    """percent: 100 * |intersection| >= percent * |union| links. spread: of sizes within a band. block: rows of one side of a task's comparison."""
+    """percent: 100 * |intersection| >= percent * |union| links. spread: of sizes within a band. block: rows of one side of a task's comparison. spare: share of segments left out. broadcast_rows: the most keys of 16 bytes that are broadcast."""
 
     n: int = 5
     percent: int = 80
-    spread: float = 1.35
+    spread: float = 1.6
     block: int = 1024
     spare: float = 0.04
+    broadcast_rows: int = 500_000
 
 
 # --- sets -------------------------------------------------------------------------------------
@@ -222,6 +224,20 @@ def _classes(j: Join, sets: int, seed: int):
     return run
 
 
+def _possible(j: Join):
+    """Of pairs with their sizes and sketches, those that may link."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ok = []
+            for n, m, x, y in zip(*(batch.column(i).to_pylist() for i in range(2, 6)), strict=True):
+                bits = 8 * min(len(x), len(y))
+                away = int(np.bitwise_count(_folded([x], bits) ^ _folded([y], bits)).sum())
+                ok.append(100 * min(n, m) >= j.percent * max(n, m) and away <= most_difference(n, m, j.percent))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1)], names=["a", "b"]).filter(pa.array(ok, pa.bool_()))
+
+    return run
+
+
 def _verified(j: Join):
     """Of pairs with both texts, whether they link."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -320,26 +336,52 @@ def _based(docs: DataFrame, j: Join) -> DataFrame:
     raise RuntimeError("classes collide under every seed")
 
 
+def _members(keys: DataFrame, j: Join) -> DataFrame:
+    """(key, class, least) of every key that several classes share, checkpointed.
+
+    One aggregation finds them, and both members of those that two rows share. Only for keys of
+    more rows are the signatures looked through once more: beside a broadcast of these keys while
+    they are few, by a plain join beyond that.
+    """
+    met = keys.groupBy("key").agg(F.min("class").alias("least"), F.max("class").alias("last"), F.count("*").alias("c"))
+    met = cut(met.filter("least < last"))
+    two = met.filter("c = 2").select("key", F.explode(F.array("least", "last")).alias("class"), "least")
+    many = met.filter("c > 2").select("key", "least")
+    small = many.count() <= j.broadcast_rows
+    more = keys.join(F.broadcast(many) if small else many, "key").select("key", "class", "least")
+    return cut(two.unionByName(more.distinct()))
+
+
 def _linked_classes(docs: DataFrame, base: DataFrame, j: Join) -> DataFrame:
     """Links (u, v) between classes, enough to join every component."""
     known = base.filter(F.col("sigs").isNotNull())
-    keys = known.select("class", F.explode("sigs").alias("key"))
-    shared = keys.groupBy("key").agg(F.min("class").alias("least"), F.max("class").alias("last")).filter("least < last").drop("last")
-    members = cut(keys.join(shared, "key").distinct())
+    facts = known.groupBy("class").agg(F.any_value("sketch").alias("sketch"), F.any_value("n_shingles").alias("size"))
+    members = _members(known.select("class", F.explode("sigs").alias("key")), j)
     needed = members.select("class").distinct()
-    reps = base.join(needed, "class", "left_semi").groupBy("class").agg(F.min(F.struct(keyed(F.col("doc_id")).alias("id"), "h")).alias("r")).select("class", "r.id", "r.h")
-    texts = docs.select(keyed(F.col("doc_id")).alias("id"), F.xxhash64("text").alias("h"), "text").join(reps, ["id", "h"])
-    texts = cut(texts.groupBy("class").agg(F.any_value("text").alias("text")))
+    facts = cut(facts.join(needed, "class", "left_semi"))
+
+    def beside(pairs: DataFrame, side: str, columns: DataFrame, names: dict[str, str]) -> DataFrame:
+        return pairs.join(columns.select(F.col("class").alias(side), *[F.col(c).alias(n) for c, n in names.items()]), side)
 
-    def verify(pairs: DataFrame) -> DataFrame:
-        left = texts.select(F.col("class").alias("a"), F.col("text").alias("x"))
-        right = texts.select(F.col("class").alias("b"), F.col("text").alias("y"))
-        return cut(pairs.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(_verified(j), "a long, b long, linked boolean"))
+    first = members.filter("class <> least").select(F.col("least").alias("a"), F.col("class").alias("b")).distinct()
+    first = beside(beside(first, "a", facts, {"size": "n", "sketch": "x"}), "b", facts, {"size": "m", "sketch": "y"})
+    first = cut(first.select("a", "b", "n", "m", "x", "y").mapInArrow(_possible(j), "a long, b long"))
 
-    tried = verify(members.filter("class <> least").select(F.col("least").alias("a"), F.col("class").alias("b")).distinct())
+    def fetched(pairs: DataFrame) -> DataFrame:
+        """One text of each class in the pairs."""
+        asked = pairs.select(F.explode(F.array("a", "b")).alias("class")).distinct()
+        reps = base.join(asked, "class", "left_semi").groupBy("class").agg(F.min(F.struct(keyed(F.col("doc_id")).alias("id"), "h")).alias("r")).select("class", "r.id", "r.h")
+        texts = docs.select(keyed(F.col("doc_id")).alias("id"), F.xxhash64("text").alias("h"), "text").join(reps, ["id", "h"])
+        same = Window.partitionBy("id", "h").orderBy(F.lit(0))
+        return cut(texts.withColumn("k", F.row_number().over(same)).filter("k = 1").select("class", "text"))
+
+    def verify(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+        both = beside(beside(pairs, "a", texts, {"text": "x"}), "b", texts, {"text": "y"})
+        return cut(both.select("a", "b", "x", "y").mapInArrow(_verified(j), "a long, b long, linked boolean"))
+
+    texts = fetched(first)
+    tried = verify(first, texts)
     links = tried.filter("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))
-    facts = known.groupBy("class").agg(F.any_value("sketch").alias("sketch"), F.any_value("n_shingles").alias("size"))
-    facts = cut(facts.join(needed, "class", "left_semi"))
     rows = members.select("key", "class")
     most = 2
     while True:
@@ -356,7 +398,11 @@ def _linked_classes(docs: DataFrame, base: DataFrame, j: Join) -> DataFrame:
         run = run.repartition(parts, "key", "i", "j").sortWithinPartitions("key", "i", "j", "side")
         found = run.mapInArrow(_open_pairs(j, most), "a long, b long, more boolean").groupBy("a", "b").agg(F.max("more").alias("more"))
         found = cut(found)
-        new = verify(found.select("a", "b").join(tried.select("a", "b"), ["a", "b"], "left_anti"))
+        fresh = cut(found.select("a", "b").join(tried.select("a", "b"), ["a", "b"], "left_anti"))
+        unread = fresh.select(F.explode(F.array("a", "b")).alias("class")).distinct().join(texts.select("class"), "class", "left_anti")
+        if not unread.isEmpty():
+            texts = texts.unionByName(fetched(unread.select(F.col("class").alias("a"), F.col("class").alias("b"))))
+        new = verify(fresh, texts)
         left_out = not found.filter("more").isEmpty()
         links = cut(links.unionByName(new.filter("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))))
         if not left_out:
