@@ -8,7 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import oracles as sql
-from . import ball_tree, jaccard_join, line_dedup, mixing, packing, quality_bayes, quality_rules, toxicity
+from . import ball_tree, jaccard_join, line_dedup, mixing, packing, pii, quality_bayes, quality_rules, quotations, toxicity
 from .common import table
 
 
@@ -41,10 +41,19 @@ def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
     return corpus_pipeline.run(spark, sf_dir)
 
 
+def op4_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """With a fixed demonstration key; users pass their own."""
+    return pii.pseudonymise(table(spark, sf_dir, "documents"), b"demonstration key, not a secret")
+
+
 def op5_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.measure(table(spark, sf_dir, "documents"))
 
 
+def op6_quotations(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quotations.conversations(table(spark, sf_dir, "conversations"))
+
+
 def op7_ball_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ball_tree.top_k(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 100 == 0)
 
@@ -62,7 +71,11 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_quality_bayes": op1_quality_bayes, "op2_toxicity": op2_toxicity, "op3_jaccard_join": op3_jaccard_join, "op5_mixing": op5_mixing, "op7_ball_tree": op7_ball_tree, "op8_quality_rules": op8_quality_rules, "op9_packing": op9_packing, "op10_line_dedup": op10_line_dedup, "pipeline": pipeline}
+    named = (
+        op1_quality_bayes, op2_toxicity, op3_jaccard_join, op4_pii, op5_mixing, op6_quotations, op7_ball_tree,
+        op8_quality_rules, op9_packing, op10_line_dedup, pipeline,
+    )
+    return {f.__name__: f for f in named}
 
 
 def oracles() -> dict[str, str]:
