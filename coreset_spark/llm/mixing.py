@@ -31,6 +31,8 @@ WEIGHTS, MOST = (5, 2, 1), 3
 BLOCK = 64
 LARGE = 0.01
 TINY = 1e-9
+#: Up to so many sources, of about 100 bytes each, their targets are broadcast; beyond that a plain join splits skewed sources.
+BROADCAST_SOURCES = 100_000
 
 
 def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST) -> DataFrame:
@@ -114,11 +116,13 @@ def _shares(sized: DataFrame, weights: tuple[int, ...], most: int, seed: int, bl
     units = sized.groupBy("doc_id", "source", "h", "size").agg(F.count("*").alias("rows"))
     by_source = units.groupBy("source").agg(F.sum(F.col("size") * F.col("rows")).alias("source_size"), F.count("*").alias("n_units"))
     goal = targets(by_source, weights, most)
-    units = units.withColumn("group", keyed(F.col("source"))).join(goal.withColumn("group", keyed(F.col("source"))).drop("source"), "group")
+    goal = cut(goal.withColumn("group", keyed(F.col("source"))).drop("source"))
+    few = goal.count() <= BROADCAST_SOURCES
+    units = units.withColumn("group", keyed(F.col("source"))).join(F.broadcast(goal) if few else goal, "group")
     units = cut(units.withColumn("unit", F.struct("doc_id", "h")).withColumn("large", (F.col("size") > F.col("target") * large) & (F.col("size") > 0)))
     some = _copies(units.filter("large"), F.try_divide("target", "source_size"), most, seed, block)
     took = some.groupBy("group").agg(F.sum(F.col("size") * F.col("copies")).alias("took"), F.sum(F.col("size") * F.col("rows")).alias("of"))
-    rest = units.filter("not large").join(took, "group", "left")
+    rest = units.filter("not large").join(F.broadcast(took) if few else took, "group", "left")
     ratio = F.try_divide(F.col("target") - F.coalesce("took", F.lit(0)), F.col("source_size") - F.coalesce("of", F.lit(0)))
     return some.unionByName(_copies(rest, ratio, most, seed + 1, block))
 
