@@ -6,12 +6,14 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .plans import methods, oracles as sql, relational, workloads
+
 Query = Callable[[SparkSession, str], DataFrame]
 
 
 def queries() -> dict[str, Query]:
-    return {}
+    return {f.__name__: f for f in [*methods.QUERIES, *workloads.QUERIES, *relational.QUERIES]}
 
 
 def oracles() -> dict[str, str]:
-    return {}
+    return sql.oracles()
