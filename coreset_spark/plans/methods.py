@@ -264,7 +264,7 @@ def graph_diff(spark, d):
 
 def history_latest(spark, d):
     h = tables.history(spark, d)
-    return h.groupBy("sample_id").agg(F.max("step").alias("step"), F.round(F.max_by("score", "step"), 6).alias("score"))
+    return h.groupBy("sample_id").agg(F.max("step").alias("step"), F.round(F.max_by("score", "step"), 9).alias("score"))
 
 
 def drift_statistic(spark, d):
