@@ -1 +1,208 @@
-QUERIES = []
+"""The experiments on the given tables: language of documents, answers of conversations, ablations, time, noise, scale, streams."""
+
+from __future__ import annotations
+
+import tempfile
+import time
+import uuid
+from dataclasses import replace
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from ..config import SelectorConfig
+from ..functions.rouge import scored
+from ..operators import baselines, metrics, ngram, scores, select
+from ..operators.proxy import SoftmaxProxy
+from ..sources import tables
+from ..streaming import readings
+from .loop import run_adaptive
+from .methods import extracted
+
+LANGS = ["de", "en", "es", "fr"]
+
+
+def doc_vectors(docs: DataFrame) -> DataFrame:
+    """(sample_id, vec, label): mean of the tokens' sign vectors; the class is the language."""
+    label = F.array_position(F.array(*map(F.lit, LANGS)), F.col("lang")).cast("int") - 1
+    counts = docs.select("doc_id", label.alias("label"), F.explode(tables.tokens(F.col("text"))).alias("w")).groupBy("doc_id", "label", "w").agg(F.count("*").alias("n"))
+    signs = F.posexplode(tables.token_signs(F.col("w")))
+    parts = counts.select("doc_id", "label", "n", signs.alias("j", "x")).groupBy("doc_id", "label", "j").agg((F.sum(F.col("n") * F.col("x")) / F.sum("n")).alias("x"))
+    rows = parts.groupBy("doc_id", "label").agg(F.array_sort(F.collect_list(F.struct("j", "x"))).alias("v"))
+    return rows.select(F.col("doc_id").alias("sample_id"), F.transform("v", lambda p: p["x"]).alias("vec"), "label")
+
+
+def w1_split(spark, d):
+    return tables.domains(spark, d).groupBy("domain").agg(F.count("*").alias("n"))
+
+
+def _w1(spark, d):
+    docs = tables.domains(spark, d)
+    rows = doc_vectors(docs).join(docs.select(F.col("doc_id").alias("sample_id"), "domain"), "sample_id")
+    from ..operators.storage import cut
+
+    return cut(rows)
+
+
+def _accuracy(model: SoftmaxProxy, rows: DataFrame, name: str) -> DataFrame:
+    test = rows.filter("domain <> 'train'").select("sample_id", "vec", "label", "domain")
+    told = model.extract(test).join(test.select("sample_id", F.substring("domain", 1, 2).alias("side")), "sample_id")
+    return told.groupBy("side").agg(F.round(F.avg((F.col("predicted") == F.col("label")).cast("double")), 6).alias("accuracy"), F.count("*").alias("n")).select(F.lit(name).alias("selector"), "side", "accuracy", "n")
+
+
+PROXY = SoftmaxProxy(classes=len(LANGS), lr=20.0)
+
+
+def w1_accuracy(spark: SparkSession, d: str) -> DataFrame:
+    """Held-out accuracy in and out of domain of the same number of steps on each selector's picks."""
+    rows = _w1(spark, d)
+    train = rows.filter("domain = 'train'").select("sample_id", "vec", "label")
+    b, steps = max(4, round(0.1 * train.count())), 3
+    warm = PROXY.fit_steps(train, 1)
+    before, after = PROXY.extract(train), warm.extract(train)
+    weighed = scores.weighted(after.select("sample_id", "vec", "label", "score"), SelectorConfig())
+    texts = tables.table(spark, d, "documents").select(F.col("doc_id").alias("sample_id"), F.col("text").alias("completion")).join(train.select("sample_id"), "sample_id", "left_semi")
+    clusters = baselines.kmeans(train, 8, 2)
+    chosen = {
+        "uniform": baselines.uniform(train, b), "median_loss": baselines.median_loss(after, b), "facility_location": baselines.facility_location(train, b, engine="lazy"),
+        "loss_drop": baselines.loss_drop(before, after, b), "longest_completion": baselines.longest_completion(texts, b), "grad_norm": baselines.grad_norm(after, b),
+        "least_confidence": baselines.least_confidence(after.withColumn("log_confidence", F.log("confidence")), b), "cluster_reweight": baselines.cluster_reweight(clusters, b, after),
+        "adaptive_objective": select.select_greedy(weighed, None, b, 0.5, "lazy"),
+    }
+    out = _accuracy(PROXY, rows, "base").unionByName(_accuracy(PROXY.fit_steps(train, steps), rows, "full"))
+    for name, picks in chosen.items():
+        model = PROXY.fit_steps(train.join(picks.select("sample_id"), "sample_id", "left_semi"), steps)
+        out = out.unionByName(_accuracy(model, rows, name))
+    run = run_adaptive(train, SelectorConfig(learning_rate=20.0, engine="lazy", pool_size=max(40, train.count() // 2), intervals=3), PROXY)
+    return out.unionByName(_accuracy(run.model, rows, "adaptive"))
+
+
+def w7_ablation_log(spark, d):
+    """Interval logs of the full method and its ablations."""
+    rows = tables.vectors(spark, d)
+    cfg = SelectorConfig(intervals=2)
+    out = None
+    for name, c in {"full": cfg, "no_representation": replace(cfg, lam=0.0), "no_importance": replace(cfg, lam=1.0), "no_update": replace(cfg, update_policy="never"), "always_update": replace(cfg, update_policy="always")}.items():
+        one = run_adaptive(rows, c).frame(spark).select(F.lit(name).alias("variant"), "*")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def adaptive_run_log(spark, d):
+    return run_adaptive(tables.vectors(spark, d), SelectorConfig(intervals=3, delta=0.01)).frame(spark)
+
+
+def full_refresh_log(spark, d):
+    return run_adaptive(tables.vectors(spark, d), SelectorConfig(intervals=2, update_policy="full")).frame(spark)
+
+
+def w4_time_by_stage(spark, d):
+    began = time.time()
+    run = run_adaptive(tables.vectors(spark, d), SelectorConfig(intervals=2))
+    rows = [*run.seconds.items(), ("total", time.time() - began)]
+    return spark.createDataFrame([(k, float(v)) for k, v in rows], "stage string, seconds double")
+
+
+def w10_backbones(spark, d):
+    """Training fit of three proxies: linear, tanh layer, and base."""
+    rows = tables.vectors(spark, d)
+    out = None
+    for name, m, steps in (("base", SoftmaxProxy(), 0), ("linear", SoftmaxProxy(), 2), ("tanh", SoftmaxProxy(hidden=32, lr=5.0), 2)):
+        one = (m.fit_steps(rows, steps) if steps else m).extract(rows).agg(F.round(F.avg("loss"), 6).alias("loss"), F.round(F.avg((F.col("predicted") == F.col("label")).cast("double")), 6).alias("fit")).select(F.lit(name).alias("model"), "loss", "fit")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def w2_pairs(spark, d):
+    return tables.pairs(spark, d).agg(F.count("*").alias("n"), F.count_distinct("conv_id").alias("dialogues"))
+
+
+def w3_dialogues(spark, d):
+    return tables.dialogues(spark, d).select("conv_id", F.md5("history").alias("history"), F.md5("reference").alias("reference"))
+
+
+def _answers(spark, train: DataFrame, test: DataFrame, b: int) -> DataFrame:
+    """Each test prompt answered by the completion of the chosen prompt that shares most of its tokens; per selector."""
+    chosen = {"uniform": baselines.uniform(train, b), "longest_completion": baselines.longest_completion(train, b)}
+    v = train.select("sample_id", tables.tokens(F.col("prompt")).alias("w"))
+    asked = test.select(F.col("sample_id").alias("q"), F.explode(F.array_distinct(tables.tokens(F.col("prompt")))).alias("w"))
+    out = None
+    for name, picks in chosen.items():
+        p = v.join(picks.select("sample_id"), "sample_id", "left_semi").select("sample_id", F.explode(F.array_distinct("w")).alias("w"))
+        near = asked.join(p, "w").groupBy("q", "sample_id").agg(F.count("*").alias("n"))
+        best = near.groupBy("q").agg(F.max_by("sample_id", F.struct("n", (-F.col("sample_id")).alias("m"))).alias("sample_id"))
+        told = test.select(F.col("sample_id").alias("q"), F.col("completion").alias("reference")).join(best, "q", "left").join(train.select("sample_id", F.col("completion").alias("predicted")), "sample_id", "left")
+        one = scored(told).agg(F.round(F.avg("f1"), 6).alias("rouge_l"), F.count("*").alias("n")).select(F.lit(name).alias("selector"), "rouge_l", "n")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def w2_rouge(spark, d):
+    p = tables.pairs(spark, d).select((F.col("conv_id") * 1000 + F.col("turn")).alias("sample_id"), "prompt", "completion", "split")
+    train = p.filter("split = 'train'")
+    return _answers(spark, train, p.filter("split = 'test'"), max(1, round(0.1 * train.count())))
+
+
+def w3_rouge(spark, d):
+    p = tables.dialogues(spark, d).select(F.col("conv_id").alias("sample_id"), F.col("history").alias("prompt"), F.col("reference").alias("completion"), "split")
+    train = p.filter("split = 'train'")
+    return _answers(spark, train, p.filter("split = 'test'"), max(1, round(0.1 * train.count())))
+
+
+def ngram_token_probs(spark, d):
+    docs = tables.table(spark, d, "documents").select("doc_id", "text")
+    model = ngram.NgramProxy().fit(docs)
+    return model.score(docs).select("doc_id", F.round("loss", 6).alias("loss"), "n_tokens")
+
+
+def importance_tokens(spark, d):
+    docs = tables.table(spark, d, "documents").select("doc_id", "text")
+    return ngram.NgramProxy().fit(docs).importance(docs).select("doc_id", F.round("score", 5).alias("score"))
+
+
+def importance_tokens_mean(spark, d):
+    docs = tables.table(spark, d, "documents").select("doc_id", "text")
+    return ngram.NgramProxy().fit(docs).importance(docs, norm="mean").select("doc_id", F.round("score", 6).alias("score"))
+
+
+def doc_mean_vectors(spark, d):
+    docs = tables.table(spark, d, "documents").select("doc_id", "text", "lang")
+    return doc_vectors(docs).select("sample_id", F.round(F.aggregate("vec", F.lit(0.0), lambda a, x: a + x), 6).alias("total"), F.round(F.col("vec")[0], 6).alias("x0"), F.round(F.col("vec")[63], 6).alias("x63"))
+
+
+def w11_noise_by_band(spark, d):
+    """Share of labelled noise among the rows of most, of middling and of least importance under the n-gram model."""
+    docs = tables.table(spark, d, "documents").select("doc_id", "text")
+    s = ngram.NgramProxy().fit(docs).importance(docs, norm="mean").withColumn("s6", F.round("score", 6)).join(tables.table(spark, d, "labels"), "doc_id")
+    s = s.withColumn("band", F.ntile(3).over(Window.orderBy("s6", "doc_id")))
+    return s.groupBy("band").agg(F.count("*").alias("n"), F.round(F.avg((F.col("quality") == 0).cast("double")), 6).alias("noise"))
+
+
+def w12_lineitem_importance(spark, d):
+    """One step over four standardised columns; importance by class."""
+    rows = tables.line_vectors(spark, d)
+    e = SoftmaxProxy(classes=3, dims=4, lr=1.0).fit_steps(rows, 1).extract(rows)
+    return e.groupBy("label").agg(F.count("*").alias("n"), F.round(F.avg("score"), 6).alias("score"), F.round(F.avg("loss"), 6).alias("loss"))
+
+
+def exact_match_by_domain(spark, d):
+    """Nearest class mean, in and out of domain, with subtotals."""
+    rows = _w1(spark, d)
+    m = rows.filter("domain = 'train'").select("label", F.posexplode("vec").alias("j", "x")).groupBy("label", "j").agg(F.avg("x").alias("m"))
+    test = rows.filter("domain <> 'train'").select("sample_id", "domain", F.col("label").alias("reference"), F.posexplode("vec").alias("j", "x"))
+    dist = test.join(F.broadcast(m), "j").groupBy("sample_id", "domain", "reference", "label").agg(F.round(F.sum((F.col("x") - F.col("m")) ** 2), 9).alias("d2"))  # classes x dims rows
+    best = dist.groupBy("sample_id", "domain", "reference").agg(F.min_by("label", F.struct("d2", "label")).alias("predicted")).withColumn("side", F.substring("domain", 1, 2))
+    return metrics.exact_match(best, "side", "domain").select("side", "domain", F.round("accuracy", 6).alias("accuracy"), "n")
+
+
+def stream_history_counts(spark, d):
+    """Readings as a stream of files, counted by day; equals the batch query."""
+    name = f"counts_{uuid.uuid4().hex}"
+    at = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp()}/{name}"
+    return readings.daily_counts(spark, f"{d}/events.parquet", at)
+
+
+QUERIES = [
+    w1_split, w1_accuracy, w7_ablation_log, adaptive_run_log, full_refresh_log, w4_time_by_stage, w10_backbones, w2_pairs, w3_dialogues, w2_rouge, w3_rouge,
+    ngram_token_probs, importance_tokens, importance_tokens_mean, doc_mean_vectors, w11_noise_by_band, w12_lineitem_importance, exact_match_by_domain, stream_history_counts,
+]
