@@ -44,14 +44,16 @@ from .components import components
 
 @dataclass(frozen=True)
 class Join:
-    """percent: 100 * |intersection| >= percent * |union| links. spread: of sizes within a band. block: rows of one side of a task's comparison. spare: share of segments left out. broadcast_rows: the most keys of 16 bytes that are broadcast."""
+    """percent: 100 * |intersection| >= percent * |union| links. spread: of sizes within a band. block: rows of one side of a task's comparison. spare: share of segments left out. broadcast_rows: the most keys of 16 bytes that are broadcast. keep_signatures: checkpoint them, at 8 bytes each, rather than make them
+    again from the texts where they are read twice."""
 
     n: int = 5
     percent: int = 80
     spread: float = 1.6
     block: int = 1024
     spare: float = 0.04
-    broadcast_rows: int = 500_000
+    broadcast_rows: int = 2_000_000
+    keep_signatures: bool = True
 
 
 # --- sets -------------------------------------------------------------------------------------
@@ -214,7 +216,7 @@ def _classes(j: Join, sets: int, seed: int):
                 c, k = (np.array([d & (2**64 - 1), d >> 64], np.uint64).view(np.int64)).tolist()
                 cls.append(c), check.append(k)
                 sketch.append(None if c in seen else sketch_of(s))
-                sigs.append(None if c in seen else signatures(s, j, sets).view(np.int64))
+                sigs.append(None if c in seen or not j.keep_signatures else signatures(s, j, sets).view(np.int64))
                 seen.add(c)
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), batch.column(1), pa.array(size, pa.int64()), pa.array(cls, pa.int64()), pa.array(check, pa.int64()), pa.array(sketch, pa.binary()), pa.array(sigs, pa.list_(pa.int64()))],
@@ -224,6 +226,23 @@ def _classes(j: Join, sets: int, seed: int):
     return run
 
 
+def _signed(j: Join, sets: int, seed: int):
+    """(class, key) of each class once per task, from the texts."""
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[int] = set()
+        for batch in batches:
+            for text in batch.column(0).to_pylist():
+                s = hashed_set(text, j.n, seed)
+                c = int(np.array(xxhash.xxh3_128_intdigest(s.tobytes(), seed) & (2**64 - 1), np.uint64).view(np.int64)) if len(s) else None
+                if c is None or c in seen:
+                    continue
+                seen.add(c)
+                keys = signatures(s, j, sets).view(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(keys), c)), pa.array(keys)], names=["class", "key"])
+
+    return run
+
+
 def _possible(j: Join):
     """Of pairs with their sizes and sketches, those that may link."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -323,8 +342,8 @@ def _open_pairs(j: Join, most: int):
 # --- plans ------------------------------------------------------------------------------------
 
 
-def _based(docs: DataFrame, j: Join) -> DataFrame:
-    """Checkpointed documents with their classes; another seed where two different sets share a class."""
+def _based(docs: DataFrame, j: Join) -> tuple[DataFrame, DataFrame]:
+    """Checkpointed documents with their classes, and the signatures (class, key); another seed where two different sets share a class."""
     rows = docs.select("doc_id", F.xxhash64("text").alias("h"), "text")
     kind = docs.schema["doc_id"].dataType.simpleString()
     schema = f"doc_id {kind}, h long, n_shingles long, class long, check long, sketch binary, sigs array<long>"
@@ -332,7 +351,9 @@ def _based(docs: DataFrame, j: Join) -> DataFrame:
     for seed in range(100):
         base = cut(rows.mapInArrow(_classes(j, sets, 1000 * seed), schema))
         if base.groupBy("class").agg(F.min("check").alias("x"), F.max("check").alias("y")).filter("x <> y").isEmpty():
-            return base
+            if j.keep_signatures:
+                return base, base.filter(F.col("sigs").isNotNull()).select("class", F.explode("sigs").alias("key"))
+            return base, docs.select("text").mapInArrow(_signed(j, sets, 1000 * seed), "class long, key long")
     raise RuntimeError("classes collide under every seed")
 
 
@@ -352,11 +373,11 @@ def _members(keys: DataFrame, j: Join) -> DataFrame:
     return cut(two.unionByName(more.distinct()))
 
 
-def _linked_classes(docs: DataFrame, base: DataFrame, j: Join) -> DataFrame:
+def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join) -> DataFrame:
     """Links (u, v) between classes, enough to join every component."""
-    known = base.filter(F.col("sigs").isNotNull())
+    known = base.filter(F.col("sketch").isNotNull())
     facts = known.groupBy("class").agg(F.any_value("sketch").alias("sketch"), F.any_value("n_shingles").alias("size"))
-    members = _members(known.select("class", F.explode("sigs").alias("key")), j)
+    members = _members(keys, j)
     needed = members.select("class").distinct()
     facts = cut(facts.join(needed, "class", "left_semi"))
 
@@ -412,8 +433,8 @@ def _linked_classes(docs: DataFrame, base: DataFrame, j: Join) -> DataFrame:
 
 def join(docs: DataFrame, j: Join = Join()) -> DataFrame:
     """One row per row of docs: doc_id, h (hash of its text), n_shingles, component_id."""
-    base = _based(docs, j)
-    roots = components(_linked_classes(docs, base, j))
+    base, keys = _based(docs, j)
+    roots = components(_linked_classes(docs, base, keys, j))
     least = base.filter(F.col("class").isNotNull()).groupBy("class").agg(F.min("doc_id").alias("least"))
     rooted = cut(least.join(roots.select(F.col("node").alias("class"), "root"), "class", "left").withColumn("root", F.coalesce("root", "class")))
     ids = rooted.select("class", "root").join(rooted.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("class", "component_id")
