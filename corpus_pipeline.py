@@ -29,7 +29,7 @@ def line_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 
 def near_duplicates_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps one document of each group of near copies: five-word shingles, similarity of 0.8 or more."""
-    return jaccard_join.keep_one(docs, jaccard_join.Join(n=5, percent=80))
+    return jaccard_join.keep_one(docs, jaccard_join.Join(n=5, percent=80, keep_signatures=False))
 
 
 def mixing_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
