@@ -219,7 +219,7 @@ def picks_except(spark, d):
 
 def fn_string(spark, d):
     t = F.col("text")
-    return table(spark, d, "documents").select("doc_id", F.length(F.trim(t)).cast("long").alias("n"), F.upper(F.substring(t, 1, 5)).alias("head"), F.md5(t).alias("hash"), F.levenshtein(F.substring(F.md5(t), 1, 8), F.substring(F.md5(t), 2, 8)).cast("long").alias("lev"), F.translate(F.substring(t, 1, 10), "aeiou", "AEIOU").alias("tr"))
+    return table(spark, d, "documents").select("doc_id", F.length(F.trim(t)).cast("long").alias("n"), F.upper(F.substring(F.md5(t), 1, 5)).alias("head"), F.md5(t).alias("hash"), F.levenshtein(F.substring(F.md5(t), 1, 8), F.substring(F.md5(t), 2, 8)).cast("long").alias("lev"), F.translate(F.substring(t, 1, 10), "aeiou", "AEIOU").alias("tr"))
 
 
 def fn_date(spark, d):

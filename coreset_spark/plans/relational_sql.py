@@ -40,7 +40,7 @@ def oracles() -> dict[str, str]:
         "topk_per_source": "SELECT source, doc_id, CAST(rank AS INTEGER) AS rank FROM (SELECT source, doc_id, row_number() OVER (PARTITION BY source ORDER BY n_chars DESC, doc_id) AS rank FROM documents) WHERE rank <= 3",
         "stratified_quota": "WITH c AS (SELECT lang, 100.0 * count(*) / (SELECT count(*) FROM documents) AS q FROM documents GROUP BY lang), f AS (SELECT lang, floor(round(q, 9)) + CASE WHEN row_number() OVER (ORDER BY round(q - floor(round(q, 9)), 9) DESC, lang) <= 100 - sum(floor(round(q, 9))) OVER () THEN 1 ELSE 0 END AS quota FROM c) SELECT doc_id, lang FROM (SELECT doc_id, lang, row_number() OVER (PARTITION BY lang ORDER BY md5('42:0:' || doc_id)) AS k FROM documents) JOIN f USING (lang) WHERE k <= quota",
         "picks_union": f"({picks(0, 100)}) UNION ({picks(1, 100)})", "picks_intersect": f"({picks(0, 100)}) INTERSECT ({picks(1, 100)})", "picks_except": f"({picks(0, 100)}) EXCEPT ({picks(1, 100)})",
-        "fn_string": "SELECT doc_id, length(trim(text)) AS n, upper(substr(text, 1, 5)) AS head, md5(text) AS hash, levenshtein(substr(md5(text), 1, 8), substr(md5(text), 2, 8)) AS lev, translate(substr(text, 1, 10), 'aeiou', 'AEIOU') AS tr FROM documents",
+        "fn_string": "SELECT doc_id, length(trim(text)) AS n, upper(substr(md5(text), 1, 5)) AS head, md5(text) AS hash, levenshtein(substr(md5(text), 1, 8), substr(md5(text), 2, 8)) AS lev, translate(substr(text, 1, 10), 'aeiou', 'AEIOU') AS tr FROM documents",
         "fn_date": "SELECT o_orderkey, CAST(CAST(date_trunc('month', o_orderdate) AS DATE) AS VARCHAR) AS month, datediff('day', CAST(o_orderdate AS DATE), DATE '2000-01-01') AS days, year(o_orderdate) AS year, dayofyear(o_orderdate) AS doy FROM orders",
         "fn_math": "SELECT event_id, round(ln(1 + value), 6) AS ln, round(sqrt(value), 6) AS root, round(power(value / 100, 1.5), 6) AS power, round(lgamma(value / 50 + 1), 6) AS lgamma, greatest(value, 50.0) AS most FROM events",
         "fn_array": "SELECT id AS vec_id, round(list_max(v), 6) AS most, len(list_filter(v, lambda x: x > 0)) AS positive, round(v[1] + v[2] + v[3] + v[4], 6) AS four, round(list_min(v), 6) AS least FROM v",
