@@ -53,6 +53,8 @@ def oracles() -> dict[str, str]:
         "answer_fallback": "SELECT p_partkey, CASE WHEN p_partkey % 2 = 0 THEN CAST(p_size AS VARCHAR) ELSE p_name END AS answer FROM part",
         "win_tumbling": "SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, count(*) AS n, round(avg(value), 5) AS mean FROM events GROUP BY 1",
         "stream_history_counts": "SELECT CAST(CAST(ts AS DATE) AS VARCHAR) AS day, count(*) AS n, round(avg(value), 5) AS mean FROM events GROUP BY 1",
+        "doc_mean_vectors": "WITH ttok AS (SELECT doc_id, unnest(list_filter(string_split(lower(text), ' '), lambda x: x <> '')) AS w FROM documents), tbits AS (SELECT w, list_transform(range(64), lambda i: CASE WHEN (CAST(('0x' || substr(md5(w), CAST(i // 8 * 2 + 1 AS BIGINT), 2)) AS INTEGER) >> CAST(7 - i % 8 AS INTEGER)) & 1 = 1 THEN 1.0 ELSE -1.0 END) AS s FROM (SELECT DISTINCT w FROM ttok)) SELECT doc_id AS sample_id, round(avg(list_sum(s)), 6) AS total, round(avg(s[1]), 6) AS x0, round(avg(s[64]), 6) AS x63 FROM ttok JOIN tbits USING (w) GROUP BY doc_id",
+        "w2_pairs": "SELECT count(*) AS n, count(DISTINCT conv_id) AS dialogues FROM pairs",
         "win_sliding": "SELECT CAST(CAST(ts AS DATE) - CAST(b AS INTEGER) AS VARCHAR) AS day, count(*) AS n, round(avg(value), 5) AS mean FROM events, (SELECT unnest(range(3)) AS b) GROUP BY 1",
         "win_session": f"SELECT user_id, count(*) AS sessions, max(n) AS longest, round(sum(t), 4) AS total FROM (SELECT user_id, s, count(*) AS n, sum(value) AS t FROM (SELECT *, sum(g) OVER ({order}) AS s FROM (SELECT *, CASE WHEN ts - lag(ts) OVER ({order}) < INTERVAL 12 HOUR THEN 0 ELSE 1 END AS g FROM events)) GROUP BY user_id, s) GROUP BY user_id",
         "sql_surface": "SELECT n.id AS sample_id, count(e.dst) AS degree, 40 - max(n.last) AS staleness FROM nodes n LEFT JOIN edges e ON e.src = n.id GROUP BY n.id",

@@ -2,11 +2,16 @@
 
 from __future__ import annotations
 
+import hashlib
 import tempfile
 import time
 import uuid
+from collections import Counter
+from collections.abc import Iterator
 from dataclasses import replace
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -22,14 +27,32 @@ from .methods import extracted
 LANGS = ["de", "en", "es", "fr"]
 
 
+def _signs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Mean over a text's tokens of +1 or -1 by the 64 leading bits of each token's md5; a token's bits are found once per task."""
+    known: dict[str, np.ndarray] = {}
+
+    def bits(token: str) -> np.ndarray:
+        if token not in known:
+            if len(known) > 200_000:
+                known.clear()
+            known[token] = np.unpackbits(np.frombuffer(hashlib.md5(token.encode()).digest()[:8], np.uint8)).astype(np.int8) * 2 - 1
+        return known[token]
+
+    for batch in batches:
+        ids, labels, vecs = [], [], []
+        for i, label, text in zip(*(batch.column(k).to_pylist() for k in range(3)), strict=True):
+            counts = Counter(w for w in (text or "").lower().split(" ") if w)
+            if counts:
+                total = np.array([*counts.values()], np.float64) @ np.stack([bits(w) for w in counts])
+                ids.append(i), labels.append(label), vecs.append(total / sum(counts.values()))
+        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(labels, pa.int32()), pa.array(vecs, pa.list_(pa.float64()))], names=["sample_id", "vec_label", "vec"])
+
+
 def doc_vectors(docs: DataFrame) -> DataFrame:
-    """(sample_id, vec, label): mean of the tokens' sign vectors; the class is the language."""
+    """(sample_id, vec, label): mean of the tokens' sign vectors; the class is the language. Texts without tokens have none."""
     label = F.array_position(F.array(*map(F.lit, LANGS)), F.col("lang")).cast("int") - 1
-    counts = docs.select("doc_id", label.alias("label"), F.explode(tables.tokens(F.col("text"))).alias("w")).groupBy("doc_id", "label", "w").agg(F.count("*").alias("n"))
-    signs = F.posexplode(tables.token_signs(F.col("w")))
-    parts = counts.select("doc_id", "label", "n", signs.alias("j", "x")).groupBy("doc_id", "label", "j").agg((F.sum(F.col("n") * F.col("x")) / F.sum("n")).alias("x"))
-    rows = parts.groupBy("doc_id", "label").agg(F.array_sort(F.collect_list(F.struct("j", "x"))).alias("v"))
-    return rows.select(F.col("doc_id").alias("sample_id"), F.transform("v", lambda p: p["x"]).alias("vec"), "label")
+    out = docs.select("doc_id", label.alias("label"), "text").mapInArrow(_signs, "sample_id long, vec_label int, vec array<double>")
+    return out.select("sample_id", "vec", F.col("vec_label").alias("label"))
 
 
 def w1_split(spark, d):
