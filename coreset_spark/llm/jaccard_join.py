@@ -13,7 +13,8 @@ Equal sets are one class from the start. Classes that share a signature are cand
 signature's least class is compared with the others first, where their parity sketches, which
 give a lower bound of the difference, allow it. What links falls together, and only signatures
 whose classes still lie in different components are looked at again, in blocks: of the pairs that
-the sketches allow, each class sends its nearest ones to verification, more in each turn, until none is left out. So a large group of
+the sketches allow, each class sends its nearest ones to verification, more in each turn, until none is left out. Long
+documents have a second sketch, as many bits as elements, which pairs pass before their texts are fetched. So a large group of
 near copies costs few pairs, and still every pair that could join two components is verified, on
 the words themselves. Texts travel only for
 classes of pairs to verify.
@@ -44,7 +45,7 @@ from .components import components
 
 @dataclass(frozen=True)
 class Join:
-    """percent: 100 * |intersection| >= percent * |union| links. spread: of sizes within a band. block: rows of one side of a task's comparison. spare: share of segments left out. broadcast_rows: the most keys of 16 bytes that are broadcast. keep_signatures: checkpoint them, at 8 bytes each, rather than make them
+    """percent: 100 * |intersection| >= percent * |union| links. spread: of sizes within a band. block: rows of one side of a task's comparison. spare: share of segments left out. broadcast_rows: the most keys of 16 bytes that are broadcast, and four times the most rows of two keys. keep_signatures: checkpoint them, at 8 bytes each, rather than make them
     again from the texts where they are read twice."""
 
     n: int = 5
@@ -95,9 +96,13 @@ def hashed_set(text: str | None, n: int, seed: int = 0) -> np.ndarray:
     return np.unique(_mix(total))
 
 
-def sketch_of(s: np.ndarray) -> bytes:
+#: Binary logarithms of the most bits of a sketch and of a fine one, which sets have whose sketch would be longer.
+COARSE, FINE = 11, 17
+
+
+def sketch_of(s: np.ndarray, most: int = COARSE) -> bytes:
     """Parities of the elements dealt to a power of two of bits: they differ in no more places than the sets."""
-    bits = 1 << max(7, min(11, int(len(s)).bit_length()))
+    bits = 1 << max(7, min(most, int(len(s)).bit_length()))
     return np.packbits((np.bincount((s & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1).astype(np.uint8)).tobytes()
 
 
@@ -201,26 +206,27 @@ def signatures(s: np.ndarray, j: Join, sets: int) -> np.ndarray:
 
 
 def _classes(j: Join, sets: int, seed: int):
-    """Per document: size, class (64 bits, and 64 more as a check), sketch and signatures; the last two once per class and task."""
+    """Per document: size, class (64 bits, and 64 more as a check), sketches and signatures; the last three once per class and task."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
         for batch in batches:
-            size, cls, check, sketch, sigs = [], [], [], [], []
+            size, cls, check, sketch, fine, sigs = [], [], [], [], [], []
             for text in batch.column(2).to_pylist():
                 s = hashed_set(text, j.n, seed)
                 size.append(len(s))
                 if not len(s):
-                    cls.append(None), check.append(None), sketch.append(None), sigs.append(None)
+                    cls.append(None), check.append(None), sketch.append(None), fine.append(None), sigs.append(None)
                     continue
                 d = xxhash.xxh3_128_intdigest(s.tobytes(), seed)
                 c, k = (np.array([d & (2**64 - 1), d >> 64], np.uint64).view(np.int64)).tolist()
                 cls.append(c), check.append(k)
                 sketch.append(None if c in seen else sketch_of(s))
+                fine.append(None if c in seen or len(s) < 1 << COARSE else sketch_of(s, FINE))
                 sigs.append(None if c in seen or not j.keep_signatures else signatures(s, j, sets).view(np.int64))
                 seen.add(c)
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0), batch.column(1), pa.array(size, pa.int64()), pa.array(cls, pa.int64()), pa.array(check, pa.int64()), pa.array(sketch, pa.binary()), pa.array(sigs, pa.list_(pa.int64()))],
-                names=["doc_id", "h", "n_shingles", "class", "check", "sketch", "sigs"],
+                [batch.column(0), batch.column(1), pa.array(size, pa.int64()), pa.array(cls, pa.int64()), pa.array(check, pa.int64()), pa.array(sketch, pa.binary()), pa.array(fine, pa.binary()), pa.array(sigs, pa.list_(pa.int64()))],
+                names=["doc_id", "h", "n_shingles", "class", "check", "sketch", "fine", "sigs"],
             )
 
     return run
@@ -244,11 +250,14 @@ def _signed(j: Join, sets: int, seed: int):
 
 
 def _possible(j: Join):
-    """Of pairs with their sizes and sketches, those that may link."""
+    """Of pairs with their sizes and sketches, those that may link; a sketch that is null forbids nothing."""
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             ok = []
             for n, m, x, y in zip(*(batch.column(i).to_pylist() for i in range(2, 6)), strict=True):
+                if x is None or y is None:
+                    ok.append(100 * min(n, m) >= j.percent * max(n, m))
+                    continue
                 bits = 8 * min(len(x), len(y))
                 away = int(np.bitwise_count(_folded([x], bits) ^ _folded([y], bits)).sum())
                 ok.append(100 * min(n, m) >= j.percent * max(n, m) and away <= most_difference(n, m, j.percent))
@@ -346,7 +355,7 @@ def _based(docs: DataFrame, j: Join) -> tuple[DataFrame, DataFrame]:
     """Checkpointed documents with their classes, and the signatures (class, key); another seed where two different sets share a class."""
     rows = docs.select("doc_id", F.xxhash64("text").alias("h"), "text")
     kind = docs.schema["doc_id"].dataType.simpleString()
-    schema = f"doc_id {kind}, h long, n_shingles long, class long, check long, sketch binary, sigs array<long>"
+    schema = f"doc_id {kind}, h long, n_shingles long, class long, check long, sketch binary, fine binary, sigs array<long>"
     sets = docs.count()
     for seed in range(100):
         base = cut(rows.mapInArrow(_classes(j, sets, 1000 * seed), schema))
@@ -376,7 +385,7 @@ def _members(keys: DataFrame, j: Join) -> DataFrame:
 def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join) -> DataFrame:
     """Links (u, v) between classes, enough to join every component."""
     known = base.filter(F.col("sketch").isNotNull())
-    facts = known.groupBy("class").agg(F.any_value("sketch").alias("sketch"), F.any_value("n_shingles").alias("size"))
+    facts = known.groupBy("class").agg(F.any_value("sketch").alias("sketch"), F.any_value("fine").alias("fine"), F.any_value("n_shingles").alias("size"))
     members = _members(keys, j)
     needed = members.select("class").distinct()
     facts = cut(facts.join(needed, "class", "left_semi"))
@@ -384,15 +393,20 @@ def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join)
     def beside(pairs: DataFrame, side: str, columns: DataFrame, names: dict[str, str]) -> DataFrame:
         return pairs.join(columns.select(F.col("class").alias(side), *[F.col(c).alias(n) for c, n in names.items()]), side)
 
+    def possible(pairs: DataFrame, sketch: str) -> DataFrame:
+        both = beside(beside(pairs, "a", facts, {"size": "n", sketch: "x"}), "b", facts, {"size": "m", sketch: "y"})
+        return both.select("a", "b", "n", "m", "x", "y").mapInArrow(_possible(j), "a long, b long")
+
     first = members.filter("class <> least").select(F.col("least").alias("a"), F.col("class").alias("b")).distinct()
-    first = beside(beside(first, "a", facts, {"size": "n", "sketch": "x"}), "b", facts, {"size": "m", "sketch": "y"})
-    first = cut(first.select("a", "b", "n", "m", "x", "y").mapInArrow(_possible(j), "a long, b long"))
+    first = cut(possible(possible(first, "sketch"), "fine"))
 
     def fetched(pairs: DataFrame) -> DataFrame:
-        """One text of each class in the pairs."""
+        """One text of each class in the pairs; beside a broadcast of their rows' keys while these are few."""
         asked = pairs.select(F.explode(F.array("a", "b")).alias("class")).distinct()
-        reps = base.join(asked, "class", "left_semi").groupBy("class").agg(F.min(F.struct(keyed(F.col("doc_id")).alias("id"), "h")).alias("r")).select("class", "r.id", "r.h")
-        texts = docs.select(keyed(F.col("doc_id")).alias("id"), F.xxhash64("text").alias("h"), "text").join(reps, ["id", "h"])
+        reps = base.join(asked, "class", "left_semi").groupBy("class").agg(F.min(F.struct(keyed(F.col("doc_id")).alias("id"), "h")).alias("r"))
+        reps = cut(reps.select("class", "r.id", "r.h"))
+        small = reps.count() <= j.broadcast_rows // 4
+        texts = docs.select(keyed(F.col("doc_id")).alias("id"), F.xxhash64("text").alias("h"), "text").join(F.broadcast(reps) if small else reps, ["id", "h"])
         same = Window.partitionBy("id", "h").orderBy(F.lit(0))
         return cut(texts.withColumn("k", F.row_number().over(same)).filter("k = 1").select("class", "text"))
 
@@ -413,13 +427,13 @@ def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join)
         live = cut(rooted.join(still.select("key", "c"), "key"))
         blocks = F.ceil(F.col("c") / j.block).cast("int")
         own = F.pmod(F.xxhash64("class", F.lit(3)), blocks).cast("int")
-        run = live.join(facts, "class").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
+        run = live.join(facts.drop("fine"), "class").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
         run = run.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), F.when(F.col("own") <= F.col("other"), 0).otherwise(1).alias("side"), "class", "root", "size", "sketch")
         parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
         run = run.repartition(parts, "key", "i", "j").sortWithinPartitions("key", "i", "j", "side")
         found = run.mapInArrow(_open_pairs(j, most), "a long, b long, more boolean").groupBy("a", "b").agg(F.max("more").alias("more"))
         found = cut(found)
-        fresh = cut(found.select("a", "b").join(tried.select("a", "b"), ["a", "b"], "left_anti"))
+        fresh = cut(possible(found.select("a", "b").join(tried.select("a", "b"), ["a", "b"], "left_anti"), "fine"))
         unread = fresh.select(F.explode(F.array("a", "b")).alias("class")).distinct().join(texts.select("class"), "class", "left_anti")
         if not unread.isEmpty():
             texts = texts.unionByName(fetched(unread.select(F.col("class").alias("a"), F.col("class").alias("b"))))
@@ -443,11 +457,15 @@ def join(docs: DataFrame, j: Join = Join()) -> DataFrame:
 
 def keep_one(docs: DataFrame, j: Join = Join()) -> DataFrame:
     """The rows of docs in their own columns: of each component one, the least by (doc_id, hash of the text)."""
-    found = join(docs, j)
-    wordless = found.filter("n_shingles = 0").select(keyed(F.col("doc_id")).alias("_id"), F.col("h").alias("_h"))
-    first = found.filter("n_shingles > 0").groupBy(keyed(F.col("component_id")).alias("c")).agg(F.min(F.struct(F.col("doc_id").isNull().alias("no"), "doc_id", "h")).alias("k"))
-    kept = wordless.distinct().union(first.select(keyed(F.col("k.doc_id")), F.col("k.h")))
+    found = join(docs, j).withColumn("_id", keyed(F.col("doc_id")))
+    found = found.groupBy("_id", "h").agg(F.min("doc_id").alias("doc_id"), F.min("n_shingles").alias("n"), F.min("component_id").alias("component_id"), F.count("*").alias("c"))
+    wordless = found.filter("n = 0").select("_id", F.col("h").alias("_h"), "c")
+    first = found.filter("n > 0").groupBy(keyed(F.col("component_id")).alias("k")).agg(F.min(F.struct(F.col("doc_id").isNull().alias("no"), "doc_id", "h", "c")).alias("k0"))
+    kept = cut(wordless.union(first.select(keyed(F.col("k0.doc_id")), F.col("k0.h"), F.col("k0.c"))))
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"), keyed(F.col("doc_id")).alias("_id"), F.xxhash64("text").alias("_h"))
-    one = Window.partitionBy("_id", "_h").orderBy(F.lit(0))
-    out = rows.join(kept, ["_id", "_h"], "left_semi").withColumn("_k", F.row_number().over(one)).filter("_k = 1")
+    rows = rows.join(F.broadcast(kept) if kept.count() <= j.broadcast_rows // 4 else kept, ["_id", "_h"])
+    out = rows.filter("c = 1").select("_row")
+    if not kept.filter("c > 1").isEmpty():  # only rows that agree in doc_id and text are told apart by a window
+        one = Window.partitionBy("_id", "_h").orderBy(F.lit(0))
+        out = out.unionByName(rows.filter("c > 1").withColumn("_k", F.row_number().over(one)).filter("_k = 1").select("_row"))
     return out.select(*[F.col(f"_row.`{c}`").alias(c) for c in docs.columns])
