@@ -393,7 +393,11 @@ def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join)
     def beside(pairs: DataFrame, side: str, columns: DataFrame, names: dict[str, str]) -> DataFrame:
         return pairs.join(columns.select(F.col("class").alias(side), *[F.col(c).alias(n) for c, n in names.items()]), side)
 
+    long = not facts.filter(F.col("fine").isNotNull()).isEmpty()
+
     def possible(pairs: DataFrame, sketch: str) -> DataFrame:
+        if sketch == "fine" and not long:
+            return pairs
         both = beside(beside(pairs, "a", facts, {"size": "n", sketch: "x"}), "b", facts, {"size": "m", sketch: "y"})
         return both.select("a", "b", "n", "m", "x", "y").mapInArrow(_possible(j), "a long, b long")
 

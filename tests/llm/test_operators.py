@@ -84,6 +84,28 @@ def test_jaccard_join_by_brute_force(spark, n, percent, keep):
     assert [out[i]["n_shingles"] for i in range(len(texts))] == list(map(len, sets))
 
 
+def test_long_documents_link_exactly_at_the_threshold(spark):
+    """Two long sets whose similarity is just enough, and two that miss it by one element."""
+    base = [f"w{i}" for i in range(6_000)]
+    size = len(jaccard_join.grams_of(" ".join(base), 5))
+    apart = size // 9  # of 2 * size, the difference that a similarity of 0.8 allows each side
+
+    def cut_off(k):
+        return " ".join(base[: len(base) - k] + [f"x{i}" for i in range(k)])
+
+    texts = [" ".join(base), cut_off(apart), cut_off(apart + 1), cut_off(3_000)]
+    sets = [jaccard_join.grams_of(t, 5) for t in texts]
+    near = [100 * len(sets[0] & s) >= 80 * len(sets[0] | s) for s in sets]
+    assert near == [True, True, False, False]
+    x, y = (jaccard_join.hashed_set(t, 5) for t in texts[:2])
+    away = np.unpackbits(np.frombuffer(jaccard_join.sketch_of(x, jaccard_join.FINE), np.uint8) ^ np.frombuffer(jaccard_join.sketch_of(y, jaccard_join.FINE), np.uint8)).sum()
+    assert away <= jaccard_join.most_difference(len(x), len(y), 80) < len(np.setxor1d(x, y)) + 2
+    out = {r["doc_id"]: r["component_id"] for r in jaccard_join.join(docs_of(spark, [texts[0], texts[1], texts[3]]), jaccard_join.Join(5, 80, keep_signatures=False)).collect()}
+    assert out == {0: 0, 1: 0, 2: 2}
+    out = {r["doc_id"]: r["component_id"] for r in jaccard_join.join(docs_of(spark, [texts[0], texts[2]]), jaccard_join.Join(5, 80)).collect()}
+    assert out == {0: 0, 1: 1}
+
+
 def test_deletion_plan_is_complete():
     """Every linked pair shares a signature, also where segments have one-deletion neighbourhoods."""
     r = np.random.default_rng(0)
