@@ -1,21 +1,29 @@
-"""Line de-duplication by content-defined chunks of several lines.
+"""Line de-duplication by content-defined chunks of several lines, and by runs of lines of over fifty words.
 
 A rolling hash over the hashes of neighbouring lines chooses the boundaries: a chunk ends where
 the hash is smaller than the hashes around it, so a boundary depends on a few lines alone and
 shifts with them, and every chunk inside a text holds two lines at least. A line as long as a
-passage (``long_chars``: about fifty words written without a break) is a chunk of its own. Chunks are counted by
-hash over all documents; only those whose hash occurs again are compared by their bytes. The first
-occurrence, by (doc_id as text, hash of the text, place), stays, and all others are removed.
+passage (``long_chars``: about fifty words written without a break) is a chunk of its own.
 
-All of it is DataFrame functions. Texts are shuffled once, to their removals; chunks travel as
-hashes, but for those whose hash repeats. Each count is pre-aggregated per task, and the join
-of repeated chunks is a plain one whose skewed partitions adaptive execution splits.
+A shared passage may be too short in lines to hold a whole chunk. So from each line with words the shortest
+run that has more than ``run_words`` words is taken too, forwards and backwards: a shared run of more words holds
+the run forwards of each of its lines, or else that line lies in the run backwards of its last one.
 
-Defined results: a null or empty text has no chunks and stays as it is; lines without a word
-never make a chunk multi-line; a chunk of a single short line is never removed, however often
-it occurs; rows with equal doc_id and text are treated alike, so the first occurrence stays
+Chunks and runs are fragments: they are counted by hash over all documents, and those whose hash occurs again are compared
+with the bytes of the first one. The first occurrence, by (doc_id as text, hash of the text, place),
+stays, and the lines of all others are removed; a line that is removed is always left at an earlier place.
+
+All of it is DataFrame functions. Fragments travel as hashes, but for those whose hash repeats.
+Each count is pre-aggregated per task, and the join of repeated fragments is a plain one whose
+skewed partitions adaptive execution splits.
+
+Defined results: a null or empty text has no fragments and stays as it is; lines without a word
+never make a chunk multi-line; a single line is never removed for itself, however often it occurs, if it is short
+in characters and has at most ``run_words`` words; a fragment that overlaps its own first occurrence, as in a line
+said many times over, stays; one whose hash equals another's but not its bytes stays;
+rows with equal doc_id and text are treated alike, so the first occurrence stays
 in each of them; an empty table gives an empty one; other columns are carried as they are, with
-n_chars set to the new length.
+n_chars set to the new length; n_removed_chunks counts the unbroken stretches of lines that went.
 """
 
 from __future__ import annotations
@@ -25,21 +33,25 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import keyed
+from .common import keyed, n_words
 
 
 @dataclass(frozen=True)
 class Chunking:
-    """A chunk can be removed if it has ``min_lines`` lines with words and ``min_chars`` characters, or is one line of ``long_chars``."""
+    """A chunk can be removed if it has ``min_lines`` lines with words and ``min_chars`` characters, or is one line of ``long_chars``; a run if it has over ``run_words`` words."""
 
     min_lines: int = 2
     min_chars: int = 60
     long_chars: int = 240
+    run_words: int = 50
+
 
+#: A fragment's code: its first line, from 0, times this, and its number of lines.
+LINES = 1 << 32
 
-def _rolled(lines: Column) -> Column:
-    """Of each line, a hash of it and of the line before: a window of two that rolls on by rotation and xor."""
-    h = F.transform(lines, lambda x: F.xxhash64(x))
+
+def _rolled(h: Column) -> Column:
+    """Of each line's hash, a hash of it and of the line before: a window of two that rolls on by rotation and xor."""
     turned = lambda x: F.call_function("shiftleft", x, F.lit(1)).bitwiseOR(F.call_function("shiftrightunsigned", x, F.lit(63)))
     before = F.concat(F.array(F.lit(0).cast("long")), F.slice(h, 1, F.greatest(F.size(h) - 1, F.lit(0))))
     return F.zip_with(before, h, lambda a, b: F.xxhash64(turned(a).bitwiseXOR(b)))
@@ -55,34 +67,81 @@ def _ends(lines: Column, rolled: Column, c: Chunking) -> Column:
     return F.filter(F.transform(rolled, ends), lambda x: x.isNotNull())
 
 
-def chunked(docs: DataFrame, keep: list[Column], c: Chunking = Chunking()) -> DataFrame:
-    """The kept columns and chunks: array of (i, text, multi) in the text's order."""
+def _code(first: Column, n: Column) -> Column:
+    return first.cast("long") * LINES + n
+
+
+def _place(code: Column) -> tuple[Column, Column]:
+    """First line, from 0, and number of lines."""
+    return F.call_function("shiftright", code, F.lit(32)).cast("int"), code.bitwiseAND(F.lit(LINES - 1)).cast("int")
+
+
+def _runs(full: Column, c: Chunking) -> Column:
+    """Codes of the shortest runs of over run_words words from each line with words on, and back from it; each such line has a word at least, so run_words + 1 of them do."""
+    def run(near: Column) -> Column:
+        """Words and last line of the shortest beginning of the lines that has enough."""
+        none = F.struct(F.lit(0).cast("long").alias("w"), F.lit(0).alias("i"))
+        return F.aggregate(near, none, lambda a, x: F.when(a["w"] > c.run_words, a).otherwise(F.struct((a["w"] + x["w"]).alias("w"), x["i"].alias("i"))))
+
+    def code(x: Column, found: Column) -> Column:
+        first, last = F.least(x["i"], found["i"]), F.greatest(x["i"], found["i"])
+        return F.when(found["w"] > c.run_words, _code(first, last - first + 1))
+
+    most = F.lit(c.run_words + 1)
+    on = F.transform(full, lambda x, i: code(x, run(F.slice(full, i + 1, most))))
+    back = F.transform(full, lambda x, i: code(x, run(F.reverse(F.slice(full, F.greatest(i + 2 - most, F.lit(1)), F.least(i + 1, most))))))
+    return F.concat(on, back)
+
+
+def fragments(docs: DataFrame, keep: list[Column], c: Chunking = Chunking()) -> DataFrame:
+    """The kept columns, and (code, k) of each fragment: its place and the hash of its lines."""
+    names = docs.select(*keep).columns
     step = docs.select(*keep, F.split(F.coalesce("text", F.lit("")), "\n", -1).alias("_lines"))
-    step = step.select("*", _rolled(F.col("_lines")).alias("_rolled"))
+    step = step.select("*", F.transform("_lines", lambda x: F.xxhash64(x)).alias("_hashes"), F.transform("_lines", lambda x, i: F.struct(i.alias("i"), n_words(x).alias("w"))).alias("_words"))
+    step = step.select("*", _rolled(F.col("_hashes")).alias("_rolled"), F.filter("_words", lambda x: x["w"] > 0).alias("_full"))
     step = step.select("*", _ends(F.col("_lines"), F.col("_rolled"), c).alias("_ends"))
     lines, ends = F.col("_lines"), F.col("_ends")
 
     def chunk(end: Column, i: Column) -> Column:
         first = F.when(i == 0, F.lit(0)).otherwise(F.get(ends, i - 1))
-        own = F.slice(lines, first + 1, end - first)
-        text = F.array_join(own, "\n")
-        full = F.size(F.filter(own, lambda x: x.rlike(r"[^\x20\x09-\x0D]")))
-        return F.struct(i.alias("i"), text.alias("text"), F.when(F.size(own) == 1, F.length(text) >= c.long_chars).otherwise((F.length(text) >= c.min_chars) & (full >= c.min_lines)).alias("multi"))
-
-    return step.withColumn("chunks", F.transform(ends, chunk)).drop("_lines", "_rolled", "_ends")
-
-
-def removals(docs: DataFrame, c: Chunking = Chunking()) -> DataFrame:
-    """(id, h, gone): of documents that lose chunks, the places of these."""
-    row = [keyed(F.col("doc_id")).alias("id"), F.xxhash64("text").alias("h")]
-    parts = chunked(docs, row, c).select("id", "h", F.explode_outer(F.filter("chunks", lambda x: x["multi"])).alias("c")).filter("c is not null")
-    parts = parts.select("id", "h", F.col("c.i").alias("i"), F.col("c.text").alias("text"), F.xxhash64("c.text").alias("k"))
-    first, last = F.struct("id", "h", "i"), F.struct("id", "h", "i")
-    again = parts.groupBy("k").agg(F.min(first).alias("first"), F.max(last).alias("last")).filter("first <> last").select("k")
-    repeated = parts.join(again, "k").select("id", "h", "i", "k", "text")
-    keeper = repeated.groupBy("k", "text").agg(F.min(first).alias("first"), F.max(last).alias("last")).filter("first <> last").select("k", F.col("text").alias("same"), "first")
-    gone = repeated.join(keeper, "k").filter((F.col("text") == F.col("same")) & (F.struct("id", "h", "i") != F.col("first")))
-    return gone.groupBy("id", "h").agg(F.collect_set("i").alias("gone"))
+        n = end - first
+        chars = F.aggregate(F.slice(lines, first + 1, n), n - 1, lambda a, x: a + F.length(x))
+        full = F.size(F.filter(F.slice("_words", first + 1, n), lambda x: x["w"] > 0))
+        return F.when(F.when(n == 1, chars >= c.long_chars).otherwise((chars >= c.min_chars) & (full >= c.min_lines)), _code(first, n))
+
+    codes = F.array_distinct(F.array_compact(F.concat(F.transform(ends, chunk), _runs(F.col("_full"), c))))
+    step = step.select(*names, "_hashes", codes.alias("_codes"))
+
+    def hashed(code: Column) -> Column:
+        first, n = _place(code)
+        return F.struct(code.alias("code"), F.xxhash64(F.slice("_hashes", first + 1, n)).alias("k"))
+
+    return step.select(*names, F.explode(F.transform("_codes", hashed)).alias("f")).select(*names, "f.code", "f.k")
+
+
+def removals(docs: DataFrame, rows: DataFrame, c: Chunking = Chunking()) -> DataFrame:
+    """(_id, _h, gone): of documents that lose lines, the codes of the fragments that go; rows are docs as _without() has them."""
+    parts = fragments(docs, [keyed(F.col("doc_id")).alias("_id"), F.xxhash64("text").alias("_h")], c)
+    place = F.struct("_id", "_h", "code")
+    again = parts.groupBy("k").agg(F.min(place).alias("first"), F.max(place).alias("last")).filter("first <> last").select("k", "first")
+    repeated = parts.join(again, "k")
+    (line, n), (first_line, _) = _place(F.col("code")), _place(F.col("first.code"))
+    own = (F.col("_id") == F.col("first._id")) & (F.col("_h") == F.col("first._h"))
+    marks = repeated.filter((place == F.col("first")) | ~own | (line >= first_line + n))
+    marks = marks.groupBy("_id", "_h").agg(F.collect_set(F.struct("code", "k", (place == F.col("first")).alias("is_first"))).alias("marks"))
+    marks = marks.withColumnsRenamed({"_id": "id", "_h": "h"})
+    # always true, but it needs whole rows, so that this join and the last one read one shuffle of them
+    whole = F.xxhash64("_row", "marks") >= F.lit(-(1 << 63))
+    held = rows.join(marks, (F.col("_id") == F.col("id")) & (F.col("_h") == F.col("h")) & whole).select("_id", "_h", F.split("text", "\n", -1).alias("_lines"), "marks")
+
+    def told(m: Column) -> Column:
+        first, n = _place(m["code"])
+        return F.struct(m["code"].alias("code"), m["k"].alias("k"), m["is_first"].alias("is_first"), F.array_join(F.slice("_lines", first + 1, n), "\n").alias("own"))
+
+    held = held.select("_id", "_h", F.explode(F.transform("marks", told)).alias("m")).select("_id", "_h", "m.*")
+    kept = held.filter("is_first").dropDuplicates(["k"]).select("k", F.col("own").alias("same"))
+    gone = held.filter("not is_first").select("_id", "_h", "code", "k", "own").join(kept, "k").filter("own = same")
+    return gone.groupBy("_id", "_h").agg(F.collect_set("code").alias("gone"))
 
 
 def dedup(docs: DataFrame, c: Chunking = Chunking()) -> DataFrame:
@@ -93,12 +152,17 @@ def dedup(docs: DataFrame, c: Chunking = Chunking()) -> DataFrame:
 def _without(docs: DataFrame, c: Chunking) -> DataFrame:
     other = [x for x in docs.columns if x not in ("text", "n_chars")]
     rows = docs.select(F.struct(*[F.col(f"`{x}`") for x in other]).alias("_row"), keyed(F.col("doc_id")).alias("_id"), F.xxhash64("text").alias("_h"), "text")
-    gone = removals(docs, c).select(F.col("id").alias("_id"), F.col("h").alias("_h"), "gone")
-    out = rows.join(gone, ["_id", "_h"], "left")
-    out = chunked(out.withColumn("_text", F.col("text")), [F.col("_row"), F.col("gone"), F.col("_text")], c)
-    left = F.filter("chunks", lambda x: ~F.array_contains("gone", x["i"]))
-    text = F.when(F.col("gone").isNull(), F.col("_text")).otherwise(F.array_join(F.transform(left, lambda x: x["text"]), "\n"))
-    out = out.select("_row", text.alias("text"), F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("n_removed_chunks"), (F.coalesce(F.length("_text"), F.lit(0)) - F.coalesce(F.length(text), F.lit(0))).cast("long").alias("n_removed_chars"))
+    out = rows.join(removals(docs, rows, c), ["_id", "_h"], "left")
+
+    def lines(code: Column) -> Column:
+        first, n = _place(code)
+        return F.sequence(first, first + n - 1)
+
+    out = out.select("_row", "text", F.split("text", "\n", -1).alias("_lines"), F.array_sort(F.array_distinct(F.flatten(F.transform("gone", lines)))).alias("_gone"))
+    left = F.transform(F.array_except(F.sequence(F.lit(0), F.size("_lines") - 1), "_gone"), lambda i: F.get("_lines", i))
+    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.array_join(left, "\n"))
+    stretches = F.size(F.filter(F.transform("_gone", lambda x, i: F.coalesce(x - F.get("_gone", i - 1) > 1, F.lit(True))), lambda x: x))
+    out = out.select("_row", text.alias("text"), F.when(F.col("_gone").isNull(), 0).otherwise(stretches).cast("long").alias("n_removed_chunks"), (F.coalesce(F.length("text"), F.lit(0)) - F.coalesce(F.length(text), F.lit(0))).cast("long").alias("n_removed_chars"))
 
     def column(x: str) -> Column:
         if x == "text":

@@ -60,6 +60,31 @@ def test_line_dedup_keeps_the_first(spark):
     assert out[1]["n_removed_chunks"] > 0 and out[1]["text"].endswith(texts[1].split("\n")[-1])
 
 
+def test_line_dedup_finds_every_shared_run_of_over_fifty_words(spark):
+    """No run of lines that an earlier place has keeps more than fifty words, however few lines it has; lines that stay come once at least."""
+    r, texts = random.Random(4), []
+    shared = [[words(r.choice([3, 9, 18, 26, 40, 55]), 1000 * p + k, 5_000) for k in range(r.randrange(1, 6))] for p in range(12)]
+    shared = [[*p[:1], *([""] if len(p) > 3 else []), *p[1:]] for p in shared]
+    for d in range(40):
+        own = lambda k: [words(r.randrange(1, 25), 10**6 + 1000 * d + 10 * k + i, 50_000) for i in range(r.randrange(0, 4))]  # noqa: B023, E731
+        texts.append("\n".join([x for k in range(3) for x in [*own(k), *r.choice(shared)]] + own(3)))
+    texts += ["\n".join(["a line of some words said over and over"] * 5), "\n".join([words(30, 7, 900)] * 3)]
+    out = {x["doc_id"]: x["text"].split("\n") for x in line_dedup.dedup(docs_of(spark, texts)).collect()}
+    order = sorted(range(len(texts)), key=str)
+    known: set = set()
+    for d in order:
+        lines, here = out[d], set()
+        runs = [(a, b) for a in range(len(lines)) for b in range(a + 1, len(lines) + 1)]
+        for a, b in runs:
+            run = tuple(lines[a:b])
+            assert len(" ".join(run).split()) <= 50 or run not in known, (d, run)
+            here.add(run)
+        known |= here
+    assert {x for t in texts for x in t.split("\n")} - {""} == {x for v in out.values() for x in v} - {""}
+    assert out[40] == texts[40].split("\n") and out[41] == texts[41].split("\n")  # no two whole passages in them
+    assert any(len(out[d]) < len(texts[d].split("\n")) for d in order)
+
+
 @pytest.mark.parametrize(("n", "percent", "keep"), [(3, 90, True), (5, 80, False)])
 def test_jaccard_join_by_brute_force(spark, n, percent, keep):
     r, texts = random.Random(3), []
