@@ -76,6 +76,18 @@ def test_distributed_and_dominance_match(spark):
     assert [x["sample_id"] for x in c] == [x["sample_id"] for x in d]
 
 
+@pytest.mark.parametrize(("engine", "mode", "balance"), [("exact", "raw", "sum"), ("exact", "shift", "mean"), ("lazy", "raw", "sum"), ("stochastic", "raw", "sum"), ("stochastic", "shift", "sum")])
+def test_large_inputs_keep_their_engine(spark, monkeypatch, engine, mode, balance):
+    """Beyond one task's cells, picks and gains are those of the engine, mode and balance asked for."""
+    rows = vectors(spark)
+    run = lambda: [(x["sample_id"], round(x["gain"], 6)) for x in select.select_greedy(rows, None, 6, 0.7, engine, mode, seed=7, balance=balance).collect()]
+    one = run()
+    monkeypatch.setattr(select, "ONE_TASK_CELLS", 0)
+    assert run() == one
+    with pytest.raises(ValueError):
+        select.select_greedy(rows, None, 6, 0.7, "lazy", balance="mean")
+
+
 def test_budget_edges(spark):
     rows = vectors(spark, 5)
     assert select.select_greedy(rows, None, 9, 0.5).count() == 5 and select.select_greedy(rows, None, 0, 0.5).count() == 0
