@@ -449,22 +449,27 @@ def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join)
         tried, rows, most = cut(tried.unionByName(new)), live.select("key", "class"), most * 16
 
 
-def join(docs: DataFrame, j: Join = Join()) -> DataFrame:
-    """One row per row of docs: doc_id, h (hash of its text), n_shingles, component_id."""
+def _joined(docs: DataFrame, j: Join) -> DataFrame:
+    """One row per row of docs: doc_id, h (hash of its text), n_shingles, component_id, and root, the component's own class: null for texts without words."""
     base, keys = _based(docs, j)
     roots = components(_linked_classes(docs, base, keys, j))
     least = base.filter(F.col("class").isNotNull()).groupBy("class").agg(F.min("doc_id").alias("least"))
     rooted = cut(least.join(roots.select(F.col("node").alias("class"), "root"), "class", "left").withColumn("root", F.coalesce("root", "class")))
-    ids = rooted.select("class", "root").join(rooted.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("class", "component_id")
-    return base.join(ids, "class", "left").select("doc_id", "h", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
+    ids = rooted.select("class", "root").join(rooted.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("class", "root", "component_id")
+    return base.join(ids, "class", "left").select("doc_id", "h", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), "root")
+
+
+def join(docs: DataFrame, j: Join = Join()) -> DataFrame:
+    """One row per row of docs: doc_id, h (hash of its text), n_shingles, component_id."""
+    return _joined(docs, j).drop("root")
 
 
 def keep_one(docs: DataFrame, j: Join = Join()) -> DataFrame:
-    """The rows of docs in their own columns: of each component one, the least by (doc_id, hash of the text)."""
-    found = join(docs, j).withColumn("_id", keyed(F.col("doc_id")))
-    found = found.groupBy("_id", "h").agg(F.min("doc_id").alias("doc_id"), F.min("n_shingles").alias("n"), F.min("component_id").alias("component_id"), F.count("*").alias("c"))
-    wordless = found.filter("n = 0").select("_id", F.col("h").alias("_h"), "c")
-    first = found.filter("n > 0").groupBy(keyed(F.col("component_id")).alias("k")).agg(F.min(F.struct(F.col("doc_id").isNull().alias("no"), "doc_id", "h", "c")).alias("k0"))
+    """The rows of docs in their own columns: of each component one, the least by (doc_id, hash of the text), and all rows without words, which link with nothing."""
+    found = _joined(docs, j).withColumn("_id", keyed(F.col("doc_id")))
+    found = found.groupBy("_id", "h").agg(F.min("doc_id").alias("doc_id"), F.min("n_shingles").alias("n"), F.min("root").alias("root"), F.count("*").alias("c"))
+    wordless = found.filter("n = 0").select("_id", F.col("h").alias("_h"), F.lit(1).cast("long").alias("c"))  # none of them is told apart
+    first = found.filter("n > 0").groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("no"), "doc_id", "h", "c")).alias("k0"))
     kept = cut(wordless.union(first.select(keyed(F.col("k0.doc_id")), F.col("k0.h"), F.col("k0.c"))))
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("_row"), keyed(F.col("doc_id")).alias("_id"), F.xxhash64("text").alias("_h"))
     rows = rows.join(F.broadcast(kept) if kept.count() <= j.broadcast_rows // 4 else kept, ["_id", "_h"])

@@ -131,6 +131,14 @@ def test_long_documents_link_exactly_at_the_threshold(spark):
     assert out == {0: 0, 1: 1}
 
 
+def test_keep_one_goes_by_component_not_by_id(spark):
+    """Unlinked texts stay, whether their ids are null or equal, and so do all rows without words; copies go."""
+    texts = [(None, words(20, s, 900)) for s in range(3)] + [(5, words(20, s, 900)) for s in (10, 11)] + [(6, words(20, 10, 900)), (None, words(20, 1, 900))]
+    texts += [(7, ""), (7, ""), (None, None), (None, None)]
+    kept = jaccard_join.keep_one(spark.createDataFrame([(i, t, "en", "a", 0) for i, t in texts], DOCS)).collect()
+    assert sorted((str(r["doc_id"]), str(r["text"])) for r in kept) == sorted((str(i), str(t)) for i, t in texts[:5] + texts[7:])
+
+
 def test_deletion_plan_is_complete():
     """Every linked pair shares a signature, also where segments have one-deletion neighbourhoods."""
     r = np.random.default_rng(0)
