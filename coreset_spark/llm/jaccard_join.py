@@ -5,19 +5,19 @@ for their size, so a hash that deals the elements to a little more segments than
 segment on which both agree, or differ by one element. Sets lie in bands of size; a band fixes
 the number of segments, and a cost model decides how many of them are compared as they are and
 how many with their one-deletion neighbourhoods, which count twice. Where all are compared as they
-are, there are spare segments, and each set leaves out as many of its smallest subsets: those
-are the ones that most other sets share, and the rarest subset that two linked sets share is
-never among them.
+are, there are spare segments, and each set leaves out as many of its signatures: those that most
+other sets share, by one order over all signatures, so that the rarest of those that two linked sets
+share is never among them.
 
 Equal sets are one class from the start. Classes that share a signature are candidates. Each
 signature's least class is compared with the others first, where their parity sketches, which
 give a lower bound of the difference, allow it. What links falls together, and only signatures
-whose classes still lie in different components are looked at again, in blocks: of the pairs that
-the sketches allow, each class sends its nearest ones to verification, more in each turn, until none is left out. Long
-documents have a second sketch, as many bits as elements, which pairs pass before their texts are fetched. So a large group of
-near copies costs few pairs, and still every pair that could join two components is verified, on
-the words themselves. Texts travel only for
-classes of pairs to verify.
+whose classes still lie in different components are looked at again, in blocks: the largest component's
+classes only against the others. Of the pairs that the sketches allow, each class sends its nearest ones to
+verification, more in each turn, until none is left out. Long documents have a second sketch, as many bits
+as elements, which pairs pass before their texts are fetched. So a large group of near copies costs few
+pairs, and still every pair that could join two components is verified, on the words themselves. Texts
+travel only for classes of pairs to verify.
 
 Defined results: null, empty and wordless texts have no n-grams and link with nothing; fewer than
 n words are one n-gram; rows with equal doc_id are rows of their own; a null doc_id takes part,
@@ -36,26 +36,34 @@ from functools import cache, lru_cache
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import cut, keyed
 from .components import components
 
 
+#: The last bits of a signature are the number of its band.
+BANDS = 64
+
+
 @dataclass(frozen=True)
 class Join:
-    """percent: 100 * |intersection| >= percent * |union| links. spread: of sizes within a band. block: rows of one side of a task's comparison. spare: share of segments left out. broadcast_rows: the most keys of 16 bytes that are broadcast, and four times the most rows of two keys. keep_signatures: checkpoint them, at 8 bytes each, rather than make them
+    """percent: 100 * |intersection| >= percent * |union| links. spread: of sizes within a band. block: rows of one side of a task's comparison. spare: share of signatures left out. broadcast_rows: the most keys of 16 bytes that are broadcast, and four times the most rows of two keys. keep_signatures: checkpoint them, at 8 bytes each, rather than make them
     again from the texts where they are read twice."""
 
     n: int = 5
     percent: int = 80
     spread: float = 1.6
     block: int = 1024
-    spare: float = 0.04
+    spare: float = 0.08
     broadcast_rows: int = 2_000_000
     keep_signatures: bool = True
 
+    def __post_init__(self) -> None:
+        if len(edges(self.spread)) > BANDS:
+            raise ValueError(f"a spread of {self.spread} makes more than {BANDS} bands")
+
 
 # --- sets -------------------------------------------------------------------------------------
 
@@ -97,7 +105,8 @@ def hashed_set(text: str | None, n: int, seed: int = 0) -> np.ndarray:
 
 
 #: Binary logarithms of the most bits of a sketch and of a fine one, which sets have whose sketch would be longer.
-COARSE, FINE = 11, 17
+#: Half as many bits as elements tell unrelated sets apart.
+COARSE, FINE = 13, 17
 
 
 def sketch_of(s: np.ndarray, most: int = COARSE) -> bytes:
@@ -136,7 +145,7 @@ def most_difference(a: int, b: int, percent: int) -> int:
 
 @dataclass(frozen=True)
 class Plan:
-    """single: segments compared as they are. double: segments with their one-deletion neighbourhoods. spare: smallest subsets that a set leaves out."""
+    """single: segments compared as they are. double: segments with their one-deletion neighbourhoods. spare: signatures that a set leaves out."""
 
     single: int
     double: int
@@ -171,8 +180,13 @@ def plan(band: int, j: Join, sets: int) -> Plan | None:
     return best[1]
 
 
+def spares(j: Join, sets: int) -> list[int]:
+    """How many signatures a set leaves out in each band."""
+    return [p.spare if (p := plan(band, j, sets)) else 0 for band in range(len(edges(j.spread)) - 1)]
+
+
 def signatures(s: np.ndarray, j: Join, sets: int) -> np.ndarray:
-    """Keys of the set's segments in each of its bands."""
+    """Keys of the set's segments in each of its bands; their last bits are the band."""
     out = []
     with np.errstate(over="ignore"):
         for band in bands_of(len(s), j):
@@ -190,15 +204,14 @@ def signatures(s: np.ndarray, j: Join, sets: int) -> np.ndarray:
             run = np.concatenate([[np.uint64(0)], np.cumsum(value, dtype=np.uint64)])
             total = run[start + size] - run[start]
             name = salt + np.arange(n, dtype=np.uint64) * _ODD[1]
-            keys = _mix(_mix(total + size.astype(np.uint64)) + name)
-            if p.spare:
-                keys = keys[np.lexsort((keys, size))[p.spare :]]
-            out.append(keys)
+            ending = np.uint64(BANDS - 1)
+            told = lambda x: (x & ~ending) | np.uint64(band)  # noqa: B023, E731
+            out.append(told(_mix(_mix(total + size.astype(np.uint64)) + name)))
             if p.double:
                 at = segment[order]
                 some = at < p.double
                 less = total[at[some]] - value[some] + (size[at[some]] - 1).astype(np.uint64)
-                out.append(_mix(_mix(less) + name[at[some]]))
+                out.append(told(_mix(_mix(less) + name[at[some]])))
     return np.unique(np.concatenate(out)) if out else np.zeros(0, np.uint64)
 
 
@@ -351,12 +364,11 @@ def _open_pairs(j: Join, most: int):
 # --- plans ------------------------------------------------------------------------------------
 
 
-def _based(docs: DataFrame, j: Join) -> tuple[DataFrame, DataFrame]:
+def _based(docs: DataFrame, j: Join, sets: int) -> tuple[DataFrame, DataFrame]:
     """Checkpointed documents with their classes, and the signatures (class, key); another seed where two different sets share a class."""
     rows = docs.select("doc_id", F.xxhash64("text").alias("h"), "text")
     kind = docs.schema["doc_id"].dataType.simpleString()
     schema = f"doc_id {kind}, h long, n_shingles long, class long, check long, sketch binary, fine binary, sigs array<long>"
-    sets = docs.count()
     for seed in range(100):
         base = cut(rows.mapInArrow(_classes(j, sets, 1000 * seed), schema))
         if base.groupBy("class").agg(F.min("check").alias("x"), F.max("check").alias("y")).filter("x <> y").isEmpty():
@@ -366,27 +378,44 @@ def _based(docs: DataFrame, j: Join) -> tuple[DataFrame, DataFrame]:
     raise RuntimeError("classes collide under every seed")
 
 
-def _members(keys: DataFrame, j: Join) -> DataFrame:
-    """(key, class, least) of every key that several classes share, checkpointed.
+def _members(keys: DataFrame, j: Join, sets: int) -> DataFrame:
+    """(key, class, least) of every key that several classes share and do not leave out, checkpointed.
 
-    One aggregation finds them, and both members of those that two rows share. Only for keys of
+    One aggregation finds the keys, and both members of those that two rows share. Only for keys of
     more rows are the signatures looked through once more: beside a broadcast of these keys while
-    they are few, by a plain join beyond that.
+    they are few, by a plain join beyond that. Each class then leaves out its most shared keys.
     """
     met = keys.groupBy("key").agg(F.min("class").alias("least"), F.max("class").alias("last"), F.count("*").alias("c"))
     met = cut(met.filter("least < last"))
-    two = met.filter("c = 2").select("key", F.explode(F.array("least", "last")).alias("class"), "least")
-    many = met.filter("c > 2").select("key", "least")
+    two = met.filter("c = 2").select("key", F.explode(F.array("least", "last")).alias("class"))
+    many = met.filter("c > 2").select("key")
     small = many.count() <= j.broadcast_rows
-    more = keys.join(F.broadcast(many) if small else many, "key").select("key", "class", "least")
-    return cut(two.unionByName(more.distinct()))
-
-
-def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join) -> DataFrame:
+    more = keys.join(F.broadcast(many) if small else many, "key").select("key", "class")
+    shared = cut(two.unionByName(more.distinct()))
+    counts = shared.groupBy("key").agg(F.count("*").alias("c"))
+    band = F.col("key").bitwiseAND(BANDS - 1).cast("int")
+    most_shared = Window.partitionBy("class", "band").orderBy(F.col("c").desc(), "key")
+    ranked = shared.join(counts, "key").withColumn("band", band).withColumn("k", F.row_number().over(most_shared))
+    left = cut(ranked.filter(F.col("k") > F.element_at(F.array(*map(F.lit, spares(j, sets))), F.col("band") + 1)).select("key", "class"))
+    least = left.groupBy("key").agg(F.min("class").alias("least"), F.max("class").alias("last")).filter("least < last")
+    return cut(left.join(least.select("key", "least"), "key"))
+
+
+def _blocks(j: Join) -> dict[str, Column]:
+    """own: a row's block among its key's; last: the last block that it meets, from 0. The classes of the largest component, main, lie in blocks of their own, behind the others', which alone they meet."""
+    few, stray = F.col("c") <= j.block, F.col("root") != F.col("main.root")
+    strays, mains = (F.ceil(x / j.block).cast("int") for x in (F.col("c") - F.col("main.n"), F.col("main.n")))
+    deal = lambda n: F.pmod(F.xxhash64("class", F.lit(3)), n).cast("int")
+    own = F.when(few, 0).when(stray, deal(strays)).otherwise(strays + deal(mains))
+    return {"own": own, "last": F.when(few, 0).when(stray, strays + mains - 1).otherwise(strays - 1)}
+
+
+def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join, sets: int) -> DataFrame:
     """Links (u, v) between classes, enough to join every component."""
-    known = base.filter(F.col("sketch").isNotNull())
-    facts = known.groupBy("class").agg(F.any_value("sketch").alias("sketch"), F.any_value("fine").alias("fine"), F.any_value("n_shingles").alias("size"))
-    members = _members(keys, j)
+    known = base.filter(F.col("sketch").isNotNull())  # a row for each class and task
+    row = F.min(F.struct(keyed(F.col("doc_id")).alias("id"), "h")).alias("row")
+    facts = known.groupBy("class").agg(F.any_value("sketch").alias("sketch"), F.any_value("fine").alias("fine"), F.any_value("n_shingles").alias("size"), row)
+    members = _members(keys, j, sets)
     needed = members.select("class").distinct()
     facts = cut(facts.join(needed, "class", "left_semi"))
 
@@ -407,12 +436,10 @@ def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join)
     def fetched(pairs: DataFrame) -> DataFrame:
         """One text of each class in the pairs; beside a broadcast of their rows' keys while these are few."""
         asked = pairs.select(F.explode(F.array("a", "b")).alias("class")).distinct()
-        reps = base.join(asked, "class", "left_semi").groupBy("class").agg(F.min(F.struct(keyed(F.col("doc_id")).alias("id"), "h")).alias("r"))
-        reps = cut(reps.select("class", "r.id", "r.h"))
+        reps = cut(facts.select("class", "row.id", "row.h").join(asked, "class", "left_semi"))
         small = reps.count() <= j.broadcast_rows // 4
         texts = docs.select(keyed(F.col("doc_id")).alias("id"), F.xxhash64("text").alias("h"), "text").join(F.broadcast(reps) if small else reps, ["id", "h"])
-        same = Window.partitionBy("id", "h").orderBy(F.lit(0))
-        return cut(texts.withColumn("k", F.row_number().over(same)).filter("k = 1").select("class", "text"))
+        return cut(texts.groupBy("class").agg(F.any_value("text").alias("text")))  # rows may agree in id and text
 
     def verify(pairs: DataFrame, texts: DataFrame) -> DataFrame:
         both = beside(beside(pairs, "a", texts, {"text": "x"}), "b", texts, {"text": "y"})
@@ -426,12 +453,11 @@ def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join)
     while True:
         roots = components(links)
         rooted = rows.join(roots.select(F.col("node").alias("class"), "root"), "class", "left").withColumn("root", F.coalesce("root", "class"))
-        still = rooted.groupBy("key").agg(F.min("root").alias("r0"), F.max("root").alias("r1"), F.count("*").alias("c"), F.expr("bit_xor(xxhash64(class))").alias("f0"), F.expr("bit_xor(xxhash64(class, 7))").alias("f1"))
-        still = still.filter("r0 < r1").groupBy("c", "f0", "f1").agg(F.min("key").alias("key"))  # of keys with the same members, one
-        live = cut(rooted.join(still.select("key", "c"), "key"))
-        blocks = F.ceil(F.col("c") / j.block).cast("int")
-        own = F.pmod(F.xxhash64("class", F.lit(3)), blocks).cast("int")
-        run = live.join(facts.drop("fine"), "class").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
+        n = rooted.groupBy("key", "root").agg(F.count("*").alias("n"), F.expr("bit_xor(xxhash64(class))").alias("f0"), F.expr("bit_xor(xxhash64(class, 7))").alias("f1"))
+        still = n.groupBy("key").agg(F.max(F.struct("n", "root")).alias("main"), F.sum("n").alias("c"), F.expr("bit_xor(f0)").alias("f0"), F.expr("bit_xor(f1)").alias("f1")).filter("c > main.n")
+        still = still.groupBy("c", "f0", "f1").agg(F.min(F.struct("key", "main")).alias("one"))  # of keys with the same members, one
+        live = cut(rooted.join(still.select("one.key", "c", "one.main"), "key"))
+        run = live.join(facts.select("class", "size", "sketch"), "class").withColumns(_blocks(j)).withColumn("other", F.explode(F.sequence(F.lit(0), "last")))
         run = run.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), F.when(F.col("own") <= F.col("other"), 0).otherwise(1).alias("side"), "class", "root", "size", "sketch")
         parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
         run = run.repartition(parts, "key", "i", "j").sortWithinPartitions("key", "i", "j", "side")
@@ -451,12 +477,15 @@ def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join)
 
 def _joined(docs: DataFrame, j: Join) -> DataFrame:
     """One row per row of docs: doc_id, h (hash of its text), n_shingles, component_id, and root, the component's own class: null for texts without words."""
-    base, keys = _based(docs, j)
-    roots = components(_linked_classes(docs, base, keys, j))
+    sets = docs.count()
+    base, keys = _based(docs, j, sets)
+    roots = components(_linked_classes(docs, base, keys, j, sets))
     least = base.filter(F.col("class").isNotNull()).groupBy("class").agg(F.min("doc_id").alias("least"))
     rooted = cut(least.join(roots.select(F.col("node").alias("class"), "root"), "class", "left").withColumn("root", F.coalesce("root", "class")))
     ids = rooted.select("class", "root").join(rooted.groupBy("root").agg(F.min("least").alias("component_id")), "root").select("class", "root", "component_id")
-    return base.join(ids, "class", "left").select("doc_id", "h", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), "root")
+    found = base.filter(F.col("class").isNotNull()).join(ids, "class").select("doc_id", "h", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"), "root")
+    wordless = base.filter(F.col("class").isNull())
+    return found.unionByName(wordless.select("doc_id", "h", "n_shingles", F.col("doc_id").alias("component_id"), F.lit(None).cast("long").alias("root")))
 
 
 def join(docs: DataFrame, j: Join = Join()) -> DataFrame:
