@@ -2,8 +2,7 @@
 
 A rolling hash over the hashes of neighbouring lines chooses the boundaries: a chunk ends where
 the hash is smaller than the hashes around it, so a boundary depends on a few lines alone and
-shifts with them, and every chunk inside a text holds two lines at least. A line as long as a
-passage (``long_chars``: about fifty words written without a break) is a chunk of its own.
+shifts with them, and every chunk inside a text holds two lines at least.
 
 A shared passage may be too short in lines to hold a whole chunk. So from each line with words the shortest
 run that has more than ``run_words`` words is taken too, forwards and backwards: a shared run of more words holds
@@ -18,8 +17,8 @@ Each count is pre-aggregated per task, and the join of repeated fragments is a p
 skewed partitions adaptive execution splits.
 
 Defined results: a null or empty text has no fragments and stays as it is; lines without a word
-never make a chunk multi-line; a single line is never removed for itself, however often it occurs, if it is short
-in characters and has at most ``run_words`` words; a fragment that overlaps its own first occurrence, as in a line
+never make a chunk multi-line; a single line is never removed for itself, however often it occurs, if it has
+at most ``run_words`` words; very long texts are taken whole, in one row's arrays of lines; a fragment that overlaps its own first occurrence, as in a line
 said many times over, stays; one whose hash equals another's but not its bytes stays;
 rows with equal doc_id and text are treated alike, so the first occurrence stays
 in each of them; an empty table gives an empty one; other columns are carried as they are, with
@@ -38,16 +37,17 @@ from .common import keyed, n_words
 
 @dataclass(frozen=True)
 class Chunking:
-    """A chunk can be removed if it has ``min_lines`` lines with words and ``min_chars`` characters, or is one line of ``long_chars``; a run if it has over ``run_words`` words."""
+    """A chunk can be removed if it has ``min_lines`` lines with words and ``min_chars`` characters; a run if it has over ``run_words`` words."""
 
     min_lines: int = 2
     min_chars: int = 60
-    long_chars: int = 240
     run_words: int = 50
 
 
 #: A fragment's code: its first line, from 0, times this, and its number of lines.
 LINES = 1 << 32
+#: Lines that mostly have a run's words.
+NEAR = 8
 
 
 def _rolled(h: Column) -> Column:
@@ -57,12 +57,11 @@ def _rolled(h: Column) -> Column:
     return F.zip_with(before, h, lambda a, b: F.xxhash64(turned(a).bitwiseXOR(b)))
 
 
-def _ends(lines: Column, rolled: Column, c: Chunking) -> Column:
-    """Places, from 1, of lines that end a chunk: minima of the rolling hash, both sides of long lines, the last line."""
+def _ends(rolled: Column) -> Column:
+    """Places, from 1, of lines that end a chunk: minima of the rolling hash, and the last line."""
     def ends(x: Column, i: Column) -> Column:
         least = (i > 0) & (x < F.get(rolled, i - 1)) & (x <= F.get(rolled, i + 1))
-        alone = (F.length(F.get(lines, i)) >= c.long_chars) | (F.length(F.get(lines, i + 1)) >= c.long_chars)
-        return F.when((i == F.size(rolled) - 1) | least | alone, i + 1)
+        return F.when((i == F.size(rolled) - 1) | least, i + 1)
 
     return F.filter(F.transform(rolled, ends), lambda x: x.isNotNull())
 
@@ -78,18 +77,27 @@ def _place(code: Column) -> tuple[Column, Column]:
 
 def _runs(full: Column, c: Chunking) -> Column:
     """Codes of the shortest runs of over run_words words from each line with words on, and back from it; each such line has a word at least, so run_words + 1 of them do."""
-    def run(near: Column) -> Column:
-        """Words and last line of the shortest beginning of the lines that has enough."""
+    def run(near: Column, far: Column) -> Column:
+        """Words and last line of the shortest beginning of the lines that has enough; the far ones are looked at where the near ones have too few."""
         none = F.struct(F.lit(0).cast("long").alias("w"), F.lit(0).alias("i"))
-        return F.aggregate(near, none, lambda a, x: F.when(a["w"] > c.run_words, a).otherwise(F.struct((a["w"] + x["w"]).alias("w"), x["i"].alias("i"))))
+        step = lambda a, x: F.when(a["w"] > c.run_words, a).otherwise(F.struct((a["w"] + x["w"]).alias("w"), x["i"].alias("i")))
+        first = F.aggregate(near, none, step)
+        return F.when(first["w"] > c.run_words, first).otherwise(F.aggregate(far, first, step))
 
     def code(x: Column, found: Column) -> Column:
         first, last = F.least(x["i"], found["i"]), F.greatest(x["i"], found["i"])
         return F.when(found["w"] > c.run_words, _code(first, last - first + 1))
 
-    most = F.lit(c.run_words + 1)
-    on = F.transform(full, lambda x, i: code(x, run(F.slice(full, i + 1, most))))
-    back = F.transform(full, lambda x, i: code(x, run(F.reverse(F.slice(full, F.greatest(i + 2 - most, F.lit(1)), F.least(i + 1, most))))))
+    most = c.run_words + 1
+    some = min(NEAR, most)
+
+    def before(i: Column, skip: int, n: int) -> Column:
+        """The n lines before the last ``skip`` ones up to place i, from 0, last first."""
+        end = F.greatest(i + 1 - skip, F.lit(0))
+        return F.reverse(F.slice(full, F.greatest(end - n, F.lit(0)) + 1, F.least(end, F.lit(n))))
+
+    on = F.transform(full, lambda x, i: code(x, run(F.slice(full, i + 1, some), F.slice(full, i + 1 + some, most - some))))
+    back = F.transform(full, lambda x, i: code(x, run(before(i, 0, some), before(i, some, most - some))))
     return F.concat(on, back)
 
 
@@ -99,7 +107,7 @@ def fragments(docs: DataFrame, keep: list[Column], c: Chunking = Chunking()) ->
     step = docs.select(*keep, F.split(F.coalesce("text", F.lit("")), "\n", -1).alias("_lines"))
     step = step.select("*", F.transform("_lines", lambda x: F.xxhash64(x)).alias("_hashes"), F.transform("_lines", lambda x, i: F.struct(i.alias("i"), n_words(x).alias("w"))).alias("_words"))
     step = step.select("*", _rolled(F.col("_hashes")).alias("_rolled"), F.filter("_words", lambda x: x["w"] > 0).alias("_full"))
-    step = step.select("*", _ends(F.col("_lines"), F.col("_rolled"), c).alias("_ends"))
+    step = step.select("*", _ends(F.col("_rolled")).alias("_ends"))
     lines, ends = F.col("_lines"), F.col("_ends")
 
     def chunk(end: Column, i: Column) -> Column:
@@ -107,7 +115,7 @@ def fragments(docs: DataFrame, keep: list[Column], c: Chunking = Chunking()) ->
         n = end - first
         chars = F.aggregate(F.slice(lines, first + 1, n), n - 1, lambda a, x: a + F.length(x))
         full = F.size(F.filter(F.slice("_words", first + 1, n), lambda x: x["w"] > 0))
-        return F.when(F.when(n == 1, chars >= c.long_chars).otherwise((chars >= c.min_chars) & (full >= c.min_lines)), _code(first, n))
+        return F.when((chars >= c.min_chars) & (full >= c.min_lines), _code(first, n))
 
     codes = F.array_distinct(F.array_compact(F.concat(F.transform(ends, chunk), _runs(F.col("_full"), c))))
     step = step.select(*names, "_hashes", codes.alias("_codes"))
