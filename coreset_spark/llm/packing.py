@@ -2,9 +2,13 @@
 
 A task tokenises its documents and packs their pieces best-fit; full and nearly full bins are
 final. The bins with room go on as items of their own, a few partitions' bins meet in one group
-on the next level, and are packed best-fit again, up a tree whose root sees the last of them. Only lengths travel
-between levels. A group hands at most ``residual`` bins up, those with most room; fuller ones
-are final as they are, so no level's group grows with the input, and no piece is ever left out.
+on the next level, and are packed best-fit again, up a tree whose root sees the last of them.
+
+Bins of one fill are interchangeable, so a group is told how many there are of each, at most as
+many numbers as a sequence has places, and packs the numbers: what comes out are kinds of bins,
+each with a count. Bins know their place among those of their fill, from which their place in a
+bin of a kind is worked out afterwards. So a group's size is bounded, whatever the input, and every bin
+with room goes all the way up.
 
 Defined results: a null or empty text is the closing id alone; equal rows are packed each by
 itself; a text longer than a sequence is cut into whole sequences and a shorter rest; an empty
@@ -16,6 +20,7 @@ from __future__ import annotations
 import math
 import re
 import zlib
+from bisect import bisect_right
 from collections import defaultdict
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
@@ -40,7 +45,6 @@ class Packing:
     close_with: int = 0
     nearly_full: float = 0.995
     fan: int = 8
-    residual: int = 4096
     cache: int = 800_000
 
 
@@ -161,13 +165,49 @@ def best_fit(lengths: Iterable[int], capacity: int) -> tuple[np.ndarray, np.ndar
     return place, offset, capacity - np.asarray(room, np.int64)
 
 
-def _final(fill: np.ndarray, capacity: int, nearly_full: float, residual: int) -> np.ndarray:
-    """Whether each bin is final: nearly full, or not among the ``residual`` emptiest of the others."""
-    final = fill >= capacity * nearly_full
-    spare = np.flatnonzero(~final)
-    if len(spare) > residual:
-        final[spare[np.argsort(fill[spare], kind="stable")[residual:]]] = True
-    return final
+@dataclass
+class Kind:
+    """count bins alike: room, and items of one fill each: (fill, how many in a bin, where they begin)."""
+
+    count: int
+    room: int
+    items: list[tuple[int, int, int]]
+
+
+def best_fit_counts(counts: dict[int, int], capacity: int) -> list[Kind]:
+    """Best-fit decreasing of so many items of each length, as best_fit() packs them one by one: an item's like goes beside it while there is room."""
+    kinds: list[Kind] = []
+    piles: dict[int, list[Kind]] = defaultdict(list)
+    mask = 0
+
+    def add(kind: Kind) -> None:
+        nonlocal mask
+        if kind.room:
+            piles[kind.room].append(kind)
+            mask |= 1 << kind.room
+        kinds.append(kind)
+
+    for n in sorted(counts, reverse=True):
+        left = counts[n]
+        while left:
+            fits = mask >> n
+            room = n + (fits & -fits).bit_length() - 1 if fits else capacity
+            each = min(room // n, left)
+            if not fits:
+                add(Kind(left // each, room - each * n, [(n, each, 0)]))
+                left %= each
+                continue
+            pile = piles[room]
+            old = pile[-1]
+            some = min(old.count, left // each)
+            left -= some * each
+            old.count -= some
+            if not old.count:
+                pile.pop()
+                if not pile:
+                    mask &= ~(1 << room)
+            add(Kind(some, room - each * n, [*old.items, (n, each, capacity - room)]))
+    return [k for k in kinds if k.count]
 
 
 def _packed(batches: Iterable[pa.RecordBatch], p: Packing, id_type: pa.DataType) -> Iterator[dict]:
@@ -187,17 +227,21 @@ def _packed(batches: Iterable[pa.RecordBatch], p: Packing, id_type: pa.DataType)
                 length.append(len(part) // 4)
                 crc.append(zlib.crc32(part))
     place, offset, fill = best_fit(length, p.capacity)
-    final = _final(fill, p.capacity, p.nearly_full, p.residual)
+    final = fill >= p.capacity * p.nearly_full
+    among = np.zeros(len(fill), np.int64)  # place of an open bin among those of its fill
+    order = np.flatnonzero(~final)[np.argsort(fill[~final], kind="stable")]
+    first = np.searchsorted(fill[order], fill[order])
+    among[order] = np.arange(len(order)) - first
     yield {
         "doc_id": pa.array(ids, id_type), "piece": pa.array(piece, pa.int32()), "start": pa.array(start, pa.int64()), "length": pa.array(length, pa.int64()),
-        "ids_crc32": pa.array(crc, pa.int64()), "bin": pa.array(place), "offset": pa.array(offset), "fill": pa.array(fill[place]), "final": pa.array(final[place]),
+        "ids_crc32": pa.array(crc, pa.int64()), "bin": pa.array(place), "offset": pa.array(offset), "fill": pa.array(fill[place]), "among": pa.array(among[place]), "final": pa.array(final[place]),
     }
 
 
 def pieces(docs: DataFrame, p: Packing) -> DataFrame:
     """One row per piece, with the task's partition and bin; tokenised and packed within the partition."""
     kind = docs.schema["doc_id"].dataType
-    schema = T.StructType([T.StructField("doc_id", kind), T.StructField("piece", T.IntegerType()), *[T.StructField(c, T.LongType()) for c in ("start", "length", "ids_crc32", "bin", "offset", "fill")], T.StructField("final", T.BooleanType())])
+    schema = T.StructType([T.StructField("doc_id", kind), T.StructField("piece", T.IntegerType()), *[T.StructField(c, T.LongType()) for c in ("start", "length", "ids_crc32", "bin", "offset", "fill", "among")], T.StructField("final", T.BooleanType())])
     arrow = to_arrow_schema(schema)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -208,48 +252,79 @@ def pieces(docs: DataFrame, p: Packing) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, schema).withColumn("part", F.spark_partition_id().cast("long"))
 
 
+#: A row says what becomes of the bins of one fill of one group below, or (below null) how many open bins of a fill there are now.
+MERGED = "at long, below long, fill long, n long, shift long, runs array<struct<begin:long,each:long,offset:long,bin:long,fill:long,among:long,final:boolean>>"
+
+
 def _merge(p: Packing):
-    """Packs the bins of one group: each bin's parent bin, its offset there, the parent's fill and finality."""
-    def run(key: tuple, bins: pd.DataFrame) -> pd.DataFrame:
-        bins = bins.sort_values(["part", "bin"], kind="stable")
-        place, offset, fill = best_fit(bins["fill"], p.capacity)
-        final = _final(fill, p.capacity, p.nearly_full, p.residual)
-        return pd.DataFrame({"part": bins["part"].to_numpy(), "bin": bins["bin"].to_numpy(), "up": key[0], "up_bin": place, "up_offset": offset, "up_fill": fill[place], "up_final": final[place]})
+    """Packs the numbers (at, fill, n) of the groups below that meet in one."""
+    def run(key: tuple, rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values(["fill", "at"], kind="stable")
+        kinds = best_fit_counts(rows.groupby("fill")["n"].sum().to_dict(), p.capacity)
+        used: dict[int, int] = defaultdict(int)  # of a fill, the items that have a place
+        runs: dict[int, list[tuple]] = defaultdict(list)
+        still: dict[int, int] = defaultdict(int)
+        bins = 0
+        for kind in kinds:
+            fill = p.capacity - kind.room
+            final = fill >= p.capacity * p.nearly_full
+            for n, each, offset in kind.items:
+                runs[n].append((used[n], each, offset, bins, fill, still[fill], final))
+                used[n] += kind.count * each
+            bins += kind.count
+            if not final:
+                still[fill] += kind.count
+        out, shift = [], defaultdict(int)
+        for at, fill, n in zip(rows["at"].tolist(), rows["fill"].tolist(), rows["n"].tolist(), strict=True):
+            begin, mine = shift[fill], runs[fill]
+            places = [r[0] for r in mine]
+            low, high = bisect_right(places, begin) - 1, bisect_right(places, begin + n - 1)
+            shift[fill] += n
+            out.append((key[0], at, fill, n, begin, mine[low:high]))
+        out += [(key[0], None, fill, n, 0, []) for fill, n in still.items()]
+        names = ["begin", "each", "offset", "bin", "fill", "among", "final"]
+        frame = pd.DataFrame([(*r[:5], [dict(zip(names, x, strict=True)) for x in r[5]]) for r in out], columns=["at", "below", "fill", "n", "shift", "runs"])
+        return frame.astype({"below": "Int64"})
 
     return run
 
 
+#: Rows of a level's numbers that are broadcast.
+FEW = 200_000
+
+
 def pack(docs: DataFrame, p: Packing) -> DataFrame:
     """One row per piece: doc_id, piece, start, length, ids_crc32, sequence_id, offset.
 
     The lowest level's rows are checkpointed: what is packed on the way up is read once more at
-    the end, and must be the same then. A bin's final place is found by following its parents,
-    one join of bins, not of pieces, per level, and one join at the end.
+    the end, and must be the same then. Each level joins the open bins, not the pieces, to its numbers, and the pieces
+    are joined once at the end.
     """
     base = cut(pieces(docs, p))
     parts = (base.agg(F.max("part")).first()[0] or 0) + 1
     levels = max(0, math.ceil(math.log(parts, p.fan) - 1e-9))
-    open_bins = base.filter("not final").select("part", "bin", "fill").distinct()
-    moved = None  # (part, bin) of the lowest level -> (level, part, bin, offset) so far
-    schema = "part long, bin long, up long, up_bin long, up_offset long, up_fill long, up_final boolean"
+    state = ["part", "own_bin", "level", "at", "bin", "offset", "fill", "among", "final"]
+    rows = base.filter("not final").select("part", F.col("bin").alias("own_bin"), F.lit(0).alias("level"), F.col("part").alias("at"), "bin", F.lit(0).cast("long").alias("offset"), "fill", "among", "final").distinct()
+    counts = rows.groupBy("at", "fill").agg(F.count("*").alias("n"))
+    moved = None
     for level in range(1, levels + 1):
-        merged = cut(open_bins.withColumn("group", F.floor(F.col("part") / p.fan)).groupBy("group").applyInPandas(_merge(p), schema))
-        if moved is None:
-            moved = merged.select("part", "bin", F.lit(level).alias("level"), F.col("up").alias("at"), F.col("up_bin").alias("at_bin"), F.col("up_offset").alias("at_offset"))
-        else:
-            step = merged.select(F.col("part").alias("at"), F.col("bin").alias("at_bin"), "up", "up_bin", "up_offset", F.lit(level - 1).alias("level"))
-            kept = moved.join(step, ["level", "at", "at_bin"], "left")
-            rose = F.col("up").isNotNull()
-            moved = kept.select(
-                "part", "bin", F.when(rose, level).otherwise(F.col("level")).alias("level"), F.coalesce("up", "at").alias("at"), F.coalesce("up_bin", "at_bin").alias("at_bin"),
-                (F.col("at_offset") + F.coalesce("up_offset", F.lit(0))).alias("at_offset"),
-            )
-            moved = cut(moved)
-        open_bins = merged.filter("not up_final").select(F.col("up").alias("part"), F.col("up_bin").alias("bin"), F.col("up_fill").alias("fill")).distinct()
-    if moved is None:
-        moved = open_bins.select("part", "bin", F.lit(0).alias("level"), F.col("part").alias("at"), F.col("bin").alias("at_bin"), F.lit(0).cast("long").alias("at_offset"))
-    out = base.join(moved, ["part", "bin"], "left")
+        merged = cut(counts.withColumn("group", F.floor(F.col("at") / p.fan)).groupBy("group").applyInPandas(_merge(p), MERGED))
+        told = merged.filter("below is not null").select(F.col("at").alias("up"), F.col("below").alias("at"), "fill", "shift", "runs")
+        told = F.broadcast(told) if told.count() <= FEW else told
+        now = rows if moved is None else moved.filter("not final")
+        step = now.join(told, ["at", "fill"]).withColumn("g", F.col("shift") + F.col("among"))
+        step = step.withColumn("r", F.element_at(F.filter("runs", lambda r: r["begin"] <= F.col("g")), -1)).withColumn("i", F.col("g") - F.col("r.begin"))
+        nth = F.floor(F.col("i") / F.col("r.each"))
+        new = step.select(
+            "part", "own_bin", F.lit(level).alias("level"), F.col("up").alias("at"), (F.col("r.bin") + nth).alias("bin"), (F.col("offset") + F.col("r.offset") + F.col("i") % F.col("r.each") * F.col("fill")).alias("offset"),
+            F.col("r.fill").alias("fill"), (F.col("r.among") + nth).alias("among"), F.col("r.final").alias("final"),
+        )
+        moved = cut(new if moved is None else new.unionByName(moved.filter("final")))
+        counts = merged.filter("below is null").select("at", "fill", "n")
+    rows = rows if moved is None else moved
+    rows = rows.select("part", F.col("own_bin").alias("bin"), "level", "at", F.col("bin").alias("at_bin"), F.col("offset").alias("at_offset"))
+    out = base.join(rows, ["part", "bin"], "left")
     level, at, at_bin = F.coalesce("level", F.lit(0)), F.coalesce("at", "part"), F.coalesce("at_bin", "bin")
-    # part * 16 + level and the bin, in one number: a partition's bins stay below 2^31, 16 levels are 8^16 partitions
+    # part * 16 + level and the bin, in one number: a group's bins stay below 2^31, 16 levels are 8^16 partitions
     number = F.call_function("shiftleft", at * 16 + level, F.lit(31)) + at_bin
     return out.select("doc_id", "piece", "start", "length", "ids_crc32", number.alias("sequence_id"), (F.col("offset") + F.coalesce("at_offset", F.lit(0))).alias("offset"))
