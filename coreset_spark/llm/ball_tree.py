@@ -3,14 +3,14 @@
 Vectors become integers, so scores are exact. Rows are dealt to shards by their id. Every query
 first searches the shard it lies in, whose k-th score is a bound that all other shards share:
 there, nodes are tried in order of the largest inner product that their ball allows, and a node
-below the query's current k-th score is left with all that is under it. Queries go to the shards
-in blocks, so neither side of a task grows with the input.
+below the query's current k-th score is left with all that is under it. A task holds one shard
+with its tree, built once, and queries stream past it, so its memory grows with neither side.
 
 Defined results: vectors that are null or hold a null or a component that is not finite take no
 part; vectors are compared with those of their own length; rows with the query's vec_id are its
 own and never its answers; rows that repeat a vec_id and a vector ask once, and answer as often
 as they occur; ties go to the smaller vec_id; scores beyond 64 bits stop at the largest 64-bit
-number; an empty table gives an empty one; only vec_id and embedding are read.
+number; an empty table gives an empty one; only vec_id and embedding are read, whatever other columns are called.
 """
 
 from __future__ import annotations
@@ -31,13 +31,12 @@ LARGEST = 2**63 - 1
 
 @dataclass(frozen=True)
 class Search:
-    """k: answers per query. scale: what a component is multiplied by. shard_rows, block_rows: rows of one task's two sides, about."""
+    """k: answers per query. scale: what a component is multiplied by. shard_numbers: components of a shard's vectors, about."""
 
     k: int = 10
     scale: float = 1024.0
     leaf: int = 256
-    shard_rows: int = 20_000
-    block_rows: int = 4_096
+    shard_numbers: int = 4_000_000
 
 
 @dataclass
@@ -72,14 +71,20 @@ class BallTree:
 
 
 def integers(vectors: np.ndarray, scale: float) -> np.ndarray:
-    """floor(scale * x): as doubles while every inner product of theirs is exact in a double, as Python numbers beyond."""
-    x = np.floor(vectors.astype(np.float64) * scale)
-    most = np.abs(x).max(initial=0.0)
-    if most * most * max(1, x.shape[1]) < 2**53:
-        return x
+    """floor(scale * x), as doubles."""
+    return np.floor(vectors.astype(np.float64) * scale)
+
+
+def wide(x: np.ndarray) -> np.ndarray:
+    """The same as Python numbers, whose products are exact at any size."""
     return np.array([[int(v) for v in row] for row in x], dtype=object).reshape(x.shape)
 
 
+def exact_as_doubles(x: np.ndarray, y: np.ndarray) -> bool:
+    """Whether every inner product of a row of x and one of y is exact in a double."""
+    return np.abs(x).max(initial=0.0) * np.abs(y).max(initial=0.0) * max(1, x.shape[1]) < 2**53
+
+
 def search_block(ids: np.ndarray, rows: np.ndarray, query_ids: np.ndarray, queries: np.ndarray, floor: np.ndarray, s: Search, tree: BallTree | None = None) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
     """Of each query, the k best rows of the shard with a score of at least its floor: (query's place, ids, scores).
 
@@ -132,15 +137,29 @@ def _found(s: Search, pairs) -> pd.DataFrame:
 
 
 def _searched(s: Search):
-    """One shard's rows against one block of queries, of the same length of vectors."""
-    def run(rows: pd.DataFrame, queries: pd.DataFrame) -> pd.DataFrame:
-        if not len(rows) or not len(queries):
-            return _found(s, [])
-        both = integers(np.concatenate([_matrix(rows["v"]), _matrix(queries["v"])]), s.scale)
-        x, q = both[: len(rows)], both[len(rows) :]
-        floor = queries["floor"].fillna(-np.inf).to_numpy()
-        qid, h = queries["vec_id"].to_numpy(), queries["h"].to_numpy()
-        return _found(s, ((qid[i], h[i], ids, scores) for i, ids, scores in search_block(rows["vec_id"].to_numpy(), x, qid, q, floor, s)))
+    """Of rows sorted by (dim, shard, asks): the shard's tree is built from the rows that do not ask, and those that do stream past it."""
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        key, parts, ids, rows, objects, tree = None, [], None, None, None, None
+        for batch in batches:
+            for at, some in batch.groupby(["dim", "shard"], sort=False):
+                if at != key:
+                    key, parts, rows, objects, tree = at, [], None, None, None
+                shard, asking = some[~some["asks"]], some[some["asks"]]
+                if len(shard):
+                    parts.append((shard["vec_id"].to_numpy(), _matrix(shard["v"])))
+                if not len(asking) or not parts:
+                    continue
+                if rows is None:
+                    ids, rows = np.concatenate([p[0] for p in parts]), integers(np.concatenate([p[1] for p in parts]), s.scale)
+                    tree = BallTree(rows, s.leaf)
+                q = integers(_matrix(asking["v"]), s.scale)
+                x = rows
+                if not exact_as_doubles(rows, q):
+                    objects = wide(rows) if objects is None else objects
+                    x, q = objects, wide(q)
+                qid, h = asking["vec_id"].to_numpy(), asking["h"].to_numpy()
+                floor = asking["floor"].fillna(-np.inf).to_numpy()
+                yield _found(s, ((qid[i], h[i], found, scores) for i, found, scores in search_block(ids, x, qid, q, floor, s, tree)))
 
     return run
 
@@ -153,30 +172,26 @@ def _ranked(found: DataFrame, k: int) -> DataFrame:
 def top_k(rows: DataFrame, is_query: Column, s: Search = Search()) -> DataFrame:
     """query_id, rank, vec_id, score of each query's k best rows among all others.
 
-    Two passes over a grid of shards and blocks: the home shard gives each query a floor, and
+    Two passes over the shards: the home shard gives each query a floor, and
     then every other shard searches above it.
     """
     live = _usable(rows).withColumn("h", F.xxhash64("v")).withColumn("dim", F.size("v"))
     asking = live.filter(is_query).dropDuplicates(["vec_id", "h"])
-    counts = live.agg(F.count("*").alias("n")).crossJoin(asking.agg(F.count("*").alias("q"))).first()
-    shards, blocks = max(1, -(-counts["n"] // s.shard_rows)), max(1, -(-counts["q"] // s.block_rows))
+    shards = max(1, -(-(live.agg(F.sum("dim")).first()[0] or 0) // s.shard_numbers))
     shard = F.pmod(F.xxhash64("vec_id", "h"), F.lit(shards)).cast("int")
-    block = F.pmod(F.xxhash64("h", "vec_id"), F.lit(blocks)).cast("int")
-    found = "query_id long, h long, vec_id long, score long"
-    base = live.select("vec_id", "v", "dim", shard.alias("shard"))
-    every_block = base.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
-    keys = ["dim", "shard", "block"]
-
-    def grid(questions: DataFrame) -> DataFrame:
-        questions = questions.select(*[F.col(c).alias(c) for c in questions.columns])  # apart from the rows' own columns
-        return every_block.groupBy(*keys).cogroup(questions.groupBy(*keys)).applyInPandas(_searched(s), found)
-
-    home = asking.select("vec_id", "v", "h", "dim", shard.alias("shard"), block.alias("block"), F.lit(None).cast("double").alias("floor"))
-    first = cut(grid(home))
-    kth = first.groupBy("query_id", "h").agg(F.count("*").alias("n"), F.min("score").alias("least"))
-    floor = kth.select(F.col("query_id").alias("vec_id"), "h", F.when(F.col("n") >= s.k, F.col("least").cast("double")).alias("floor"))
-    if shards == 1:
-        return _ranked(first, s.k).select("query_id", "rank", "vec_id", "score")
-    away = home.drop("floor").join(floor, ["vec_id", "h"], "left").withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(shards - 1)))).filter("other <> shard")
-    rest = grid(away.select("vec_id", "v", "h", "dim", F.col("other").alias("shard"), "block", "floor"))
-    return _ranked(first.unionByName(rest), s.k).select("query_id", "rank", "vec_id", "score")
+    columns = ["vec_id", "v", "h", "dim", "shard", "asks", "floor"]
+    none = F.lit(None).cast("double")
+    base = live.select("vec_id", "v", "h", "dim", shard.alias("shard"), F.lit(False).alias("asks"), none.alias("floor"))
+    home = asking.select("vec_id", "v", "h", "dim", shard.alias("shard"), F.lit(True).alias("asks"), none.alias("floor"))
+
+    def searched(questions: DataFrame) -> DataFrame:
+        met = base.unionByName(questions).repartition(shards, "dim", "shard").sortWithinPartitions("dim", "shard", "asks")
+        return met.select(*columns).mapInPandas(_searched(s), "query_id long, h long, vec_id long, score long")
+
+    first = cut(searched(home))
+    if shards > 1:
+        kth = first.groupBy("query_id", "h").agg(F.count("*").alias("n"), F.min("score").alias("least"))
+        floor = kth.select(F.col("query_id").alias("vec_id"), "h", F.when(F.col("n") >= s.k, F.col("least").cast("double")).alias("floor"))
+        away = home.drop("floor").join(floor, ["vec_id", "h"], "left").withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(shards - 1)))).filter("other <> shard")
+        first = first.unionByName(searched(away.drop("shard").withColumnRenamed("other", "shard").select(*columns)))
+    return _ranked(first, s.k).select("query_id", "rank", "vec_id", "score")

@@ -193,7 +193,7 @@ def test_top_k_by_brute_force(spark):
     rows = spark.createDataFrame(list(enumerate(x)), "vec_id long, embedding array<double>")
     from pyspark.sql import functions as F
 
-    got = ball_tree.top_k(rows, F.col("vec_id") % 50 == 0, ball_tree.Search(k=5, leaf=16, shard_rows=70, block_rows=2)).toPandas()
+    got = ball_tree.top_k(rows, F.col("vec_id") % 50 == 0, ball_tree.Search(k=5, leaf=16, shard_numbers=600)).toPandas()
     live = {i: np.floor(1024 * np.array(v)) for i, v in enumerate(x) if v is not None and np.isfinite(v).all()}
     for q in range(0, 300, 50):
         best = sorted(((-int(live[q] @ v), i) for i, v in live.items() if i != q))[:5]
