@@ -14,16 +14,18 @@ conversations, turn.
 
 Defined results: a null text has no words and no quotes, and stays null; rows that repeat (conv_id, turn)
 are messages of their own; a message never answers itself or a later one; a conversation without links
-is its own thread; null ids come first in their order and link to nothing; an empty table gives an
-empty one; only conv_id, turn, role and text are read.
+is its own thread; null ids come first in their order and link to nothing; rows that agree in all are ordered
+anyhow; a very long text is one row's lines; an empty table gives an empty one; only conv_id, turn, role and text are read,
+whatever other columns are called. Rows are numbered by one global sort, so a conversation of any length takes as many tasks as it fills.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from ..operators.ranks import row_numbers
+from .common import cut, keyed
 
 _QUOTED = r"^[ \t]*>"
 _MARKS = r"^[ \t]*((?:>[ \t]?)*)"
@@ -100,10 +102,11 @@ def conversations(messages: DataFrame) -> DataFrame:
     best = F.max(F.when((F.col("level") == 1) & (F.col("to_conv") == F.col("conv_id")), F.col("to_turn")))
     far = F.min(F.when((F.col("level") == 1) & (F.col("to_conv") != F.col("conv_id")), F.struct("to_conv", "to_turn")))
     said = links.groupBy("conv_id", "turn").agg(F.count("*").alias("n_links"), best.alias("near"), far.alias("far"))
-    order = Window.partitionBy("conv_id").orderBy(F.col("turn").asc_nulls_first(), F.col("role"), F.xxhash64("text"))
-    earlier = order.rowsBetween(Window.unboundedPreceding, -1)
-    out = rows.withColumn("position", F.row_number().over(order)).withColumn("before", F.max("turn").over(earlier))
-    out = out.withColumn("before", F.when(F.col("before") < F.col("turn"), F.col("before")))
+    numbered = row_numbers(rows, F.col("conv_id").asc_nulls_first(), F.col("turn").asc_nulls_first(), F.col("role").asc_nulls_first(), F.xxhash64("text"), name="row").withColumn("_conv", keyed(F.col("conv_id")))
+    last = numbered.select((F.col("row") + 1).alias("row"), F.col("_conv").alias("_last_conv"), F.col("turn").alias("_last"))
+    first = numbered.groupBy("_conv").agg(F.min("row").alias("_first"))
+    out = numbered.join(last, "row", "left").join(first, "_conv").withColumn("position", F.col("row") - F.col("_first") + 1)
+    out = out.withColumn("before", F.when((F.col("_last_conv") == F.col("_conv")) & (F.col("_last") < F.col("turn")), F.col("_last")))
     out = out.join(said, ["conv_id", "turn"], "left")
     ups = links.filter("level = 1 and to_conv <> conv_id").groupBy("conv_id").agg(F.min("to_conv").alias("up"))
     out = out.join(_threads(ups), "conv_id", "left")
