@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..operators.storage import cut
+
 #: One word is a run of characters other than ASCII white space.
 WORD = r"[^\x20\x09-\x0D]+"
 SPACE = r"[\x20\x09-\x0D]+"
@@ -16,19 +16,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def ensure_checkpoint_dir(spark: SparkSession) -> None:
-    """Use the shared folder that the cluster names; a local one only where none is set (tests)."""
-    context = spark.sparkContext
-    if context.getCheckpointDir() is None:
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="checkpoint-"))
-
-
-def cut(df: DataFrame) -> DataFrame:
-    """Reliable checkpoint: later reads survive lost executors, and never recompute."""
-    ensure_checkpoint_dir(df.sparkSession)
-    return df.checkpoint(eager=True)
-
-
 def words(text: Column) -> Column:
     """Words of a text; none for null and for empty texts."""
     return F.array_remove(F.split(F.coalesce(text, F.lit("")), SPACE), "")
@@ -53,3 +40,6 @@ def only(df: DataFrame, condition: Column) -> DataFrame:
     """
     one = F.explode_outer(F.when(condition, F.array(F.lit(1))).otherwise(F.array(F.lit(0))))
     return df.withColumn("_holds", one).filter("_holds = 1").drop("_holds")
+
+
+__all__ = ["SPACE", "WORD", "cut", "keyed", "n_words", "only", "table", "words"]

@@ -12,7 +12,7 @@ fitted on a bounded sample of labelled rows that are not held out.
 
 Defined results: null and empty texts are judged as empty; a null host or path is a site of its
 own; rows with equal doc_id are judged each by itself; a document alone on its site gets the
-global rate; without usable labels every probability is one half; an empty table gives an empty
+global rate; without usable labels every probability is one half; a very long text is measured whole; an empty table gives an empty
 one; other columns are never read.
 """
 

@@ -13,7 +13,9 @@ scoring is one pass over all texts, whole, and shuffles nothing.
 Defined results: null and empty texts get the score of a text without known words; labels that
 are null, or of ids that documents lack, are ignored; several labels of one id count as the
 largest; rows with equal doc_id are scored each by its text; without usable labels every score is
-one half; an empty table gives an empty one; only doc_id and text are read.
+one half; a text is its set of words, however long it is; an empty table gives an empty one; only doc_id and text are read.
+
+The identity terms are a parameter: ``Toxicity(identities={kind: (term, ...)})`` takes one's own.
 """
 
 from __future__ import annotations
@@ -32,14 +34,29 @@ from pyspark.sql import functions as F
 from .common import cut
 from .fitting import Rows, held_out, logistic, sampled
 
-# Words that name groups of people, by kind; a swap stays within its kind.
+# Words that name groups of people, by language and kind; a swap stays within both.
 IDENTITIES = {
-    "gender": ("man", "woman", "men", "women", "male", "female", "boy", "girl", "transgender"),
-    "religion": ("christian", "muslim", "jewish", "hindu", "buddhist", "atheist", "catholic", "sikh"),
-    "origin": ("african", "asian", "european", "american", "mexican", "arab", "indian", "chinese", "black", "white", "latino"),
-    "orientation": ("gay", "lesbian", "straight", "bisexual", "queer", "heterosexual"),
-    "ability": ("disabled", "blind", "deaf", "autistic"),
-    "age": ("old", "young", "elderly", "teenage"),
+    "en gender": ("man", "woman", "men", "women", "male", "female", "boy", "girl", "transgender"),
+    "en religion": ("christian", "muslim", "jewish", "hindu", "buddhist", "atheist", "catholic", "sikh"),
+    "en origin": ("african", "asian", "european", "american", "mexican", "arab", "indian", "chinese", "black", "white", "latino"),
+    "en orientation": ("gay", "lesbian", "straight", "bisexual", "queer", "heterosexual"),
+    "en ability": ("disabled", "blind", "deaf", "autistic"),
+    "en age": ("old", "young", "elderly", "teenage"),
+    "de gender": ("mann", "frau", "männer", "frauen", "männlich", "weiblich", "junge", "mädchen"),
+    "de religion": ("christ", "muslimin", "moslem", "jude", "jüdin", "katholik", "protestant", "atheistin"),
+    "de origin": ("deutscher", "türke", "pole", "russe", "afrikaner", "asiate", "araber", "inder", "syrer"),
+    "de orientation": ("schwul", "lesbisch", "heterosexuell", "bisexuell"),
+    "de ability": ("behindert", "gehörlos", "autistisch"),
+    "es gender": ("hombre", "mujer", "hombres", "mujeres", "chico", "chica", "niño", "niña"),
+    "es religion": ("cristiano", "musulmán", "judío", "hindú", "budista", "ateo", "católico"),
+    "es origin": ("español", "mexicano", "africano", "asiático", "árabe", "gitano", "chino", "colombiano"),
+    "es orientation": ("lesbiana", "heterosexual", "bisexual", "homosexual"),
+    "es ability": ("discapacitado", "ciego", "sordo", "autista"),
+    "fr gender": ("homme", "femme", "hommes", "femmes", "garçon", "fille"),
+    "fr religion": ("chrétien", "musulman", "juif", "hindou", "bouddhiste", "athée", "catholique"),
+    "fr origin": ("français", "africain", "asiatique", "arabe", "chinois", "algérien", "marocain", "polonais"),
+    "fr orientation": ("homosexuel", "lesbienne", "hétérosexuel", "bisexuel"),
+    "fr ability": ("handicapé", "aveugle", "sourd"),
 }
 
 

@@ -1,20 +1,23 @@
 """A corpus pipeline: quality rules, line and near de-duplication, mixing and packing, each stage written and reread.
 
 STAGES lists (name, function); each function takes (spark, docs, sf_dir) and returns a DataFrame.
-All but the last return the columns of docs.
+All but the last return the columns of docs, whatever others there are.
+
+Defined results: an empty table gives empty ones. Documents whose text is null, empty or without words go in the
+first stage, which rejects texts of under fifty words, and any that the second one empties go there. Null ids and sources, and ids that
+repeat, are rows of their own in every stage; rows that agree in id and text lose their copies in the third. Texts
+of any length are taken whole.
 """
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from coreset_spark.llm import jaccard_join, line_dedup, mixing, packing, quality_rules
 from coreset_spark.llm.common import only
 from coreset_spark.llm.queries import tokenizer
+from coreset_spark.operators.storage import new_folder, remove
 
 
 def quality_rules_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -54,15 +57,12 @@ STAGES = [
 ORACLE_SQL = None
 
 
-def _shared_folder(spark: SparkSession) -> str:
-    """A new folder beside the checkpoints, which all executors share; a local one only where none is set (tests)."""
-    return f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp(prefix='pipeline-')}/pipeline-{uuid.uuid4().hex}"
-
-
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Applies the stages to documents; each result is written as Parquet and read again."""
-    docs, folder = spark.read.parquet(f"{sf_dir}/documents.parquet"), _shared_folder(spark)
+    """Applies the stages to documents; each result is written as Parquet in the shared folder and read again, and goes when the next one is there."""
+    docs, folder = spark.read.parquet(f"{sf_dir}/documents.parquet"), new_folder(spark, "pipeline")
     for number, (_, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(path := f"{folder}/{number}")
         docs = spark.read.parquet(path)
+        if number:
+            remove(spark, f"{folder}/{number - 1}")
     return docs
