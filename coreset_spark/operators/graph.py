@@ -1,84 +1,183 @@
-"""Mutual nearest-neighbour graph: exact and hashed search, mutual filter, edge weights, local repair."""
+"""Mutual nearest-neighbour graph: exact and hashed search, mutual filter, edge weights, local repair.
+
+Both searches are products of matrices of bounded blocks, of which each row sends its k nearest on; pairs are never
+listed. The hashed one looks only into the buckets of random hyperplanes that a row's own signs name, and into those
+that its least certain signs might have named; how many of them are needed is measured on a sample of rows against
+an exact search, and a setting that looks at no fewer pairs than there are gives way to the exact search itself.
+"""
 
 from __future__ import annotations
 
 import math
+from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .. import schema
+from ..schema import KNN
+from ..sources.tables import draw_pool
+from .blocks import SIDE, deal, every, meet, together
+from .proxy import matrix
+from .ranks import quantile
+from .storage import cut
+
+PLACES = 12  # distances are compared to so many decimals, then by id
+FEW = 100_000  # rows of two numbers that are broadcast
+
+
+@dataclass(frozen=True)
+class Hashing:
+    """tables: of hyperplanes. bits: hyperplanes of each. loose: a question's least certain bits, of which all signs are looked up. No bits are one bucket, which is the exact search."""
+
+    tables: int = 1
+    bits: int = 0
+    loose: int = 0
+    seed: int = 42
 
-BLOCK = 2048
+    def share(self) -> float:
+        """Of all pairs, those that a search looks at where buckets are even."""
+        return self.tables * 2.0 ** (self.loose - self.bits)
+
+
+EVERY = Hashing()
 
 
 def _vectors(column: pd.Series) -> np.ndarray:
     return np.stack(column.to_list()) if len(column) else np.zeros((0, 0))
 
 
-def _near(k: int, metric: str):
-    def run(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
-        if not len(a) or not len(b):
-            return pd.DataFrame({"src": [], "dst": [], "d2": []})
-        x, y = _vectors(a["vec"]), _vectors(b["vec"])
-        if metric == "cosine":
-            x, y = (v / np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-300) for v in (x, y))
-            d = 1 - x @ y.T
-        else:
-            d = np.maximum((x**2).sum(1)[:, None] + (y**2).sum(1)[None, :] - 2 * x @ y.T, 0)
-        src, dst = a["sample_id"].to_numpy(), b["sample_id"].to_numpy()
+def _apart(x: np.ndarray, y: np.ndarray, metric: str) -> np.ndarray:
+    if metric == "cosine":
+        x, y = (v / np.maximum(np.linalg.norm(v, axis=1, keepdims=True), 1e-300) for v in (x, y))
+        return 1 - x @ y.T
+    return np.maximum((x**2).sum(1)[:, None] + (y**2).sum(1)[None, :] - 2 * x @ y.T, 0)
+
+
+def nearest(d: np.ndarray, k: int) -> np.ndarray:
+    """Mask of each row's k least distances to PLACES decimals, ties to the first columns; infinite ones are none."""
+    d = np.round(d, PLACES)
+    if d.shape[1] <= k:
+        return np.isfinite(d)
+    kth = np.partition(d, k - 1, axis=1)[:, k - 1 : k]
+    less, tie = d < kth, d == kth
+    return (less | tie & (np.cumsum(tie, axis=1) <= k - less.sum(1, keepdims=True))) & np.isfinite(d)
+
+
+def _near(k: int, metric: str, radius: bool = False):
+    """Of a block of askers and one of rows: each asker's k nearest rows; with a radius, also each row's nearest askers within its own."""
+    def run(a: pa.Table, b: pa.Table) -> pa.Table:
+        empty = pa.table({"src": pa.array([], pa.int64()), "dst": pa.array([], pa.int64()), "d2": pa.array([], pa.float64())})
+        if not a.num_rows or not b.num_rows:
+            return empty
+        a, b = a.sort_by("sample_id").combine_chunks(), b.sort_by("sample_id").combine_chunks()
+        vec = lambda t: matrix(t["vec"].combine_chunks())
+        src, dst = (t["sample_id"].to_numpy() for t in (a, b))
+        d = _apart(vec(a), vec(b), metric)
         d[src[:, None] == dst[None, :]] = np.inf
-        some = min(k + 4, d.shape[1])  # a few more than k, so that ties go by id
-        at = np.argpartition(d, some - 1, axis=1)[:, :some]
-        near = np.take_along_axis(d, at, 1)
-        out = pd.DataFrame({"src": np.repeat(src, some), "dst": dst[at].ravel(), "d2": near.ravel()})
-        return out[np.isfinite(out["d2"])]
+        i, j = np.nonzero(nearest(d, k))
+        out = [(src[i], dst[j], d[i, j])]
+        if radius:
+            i, j = np.nonzero(nearest(d.T, k) & (np.round(d.T, PLACES) <= b["radius"].to_numpy()[:, None]))
+            out.append((dst[i], src[j], d[j, i]))
+        s, t, v = (np.concatenate(x) for x in zip(*out, strict=True))
+        return pa.table({"src": s, "dst": t, "d2": v})
 
     return run
 
 
-def knn_exact(rows: DataFrame, k: int = 10, metric: str = "l2", block: int = BLOCK) -> DataFrame:
-    """(src, dst, d2, rank) of each row's k nearest others, by a grid of blocks: each pair of blocks is one product of matrices."""
-    n = rows.count()
-    blocks = max(1, math.ceil(n / block))
-    own = rows.select("sample_id", "vec", F.pmod(F.xxhash64("sample_id"), F.lit(blocks)).cast("int").alias("own"))
-    other = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
-    left = own.select("sample_id", "vec", F.col("own").alias("i"), other.alias("j"))
-    right = own.select("sample_id", "vec", F.col("own").alias("j"), other.alias("i")).select(F.col("sample_id").alias("sample_id"), F.col("vec").alias("vec"), F.col("i").alias("i"), F.col("j").alias("j"))
-    right = right.select(*[F.col(c).alias(c) for c in right.columns])
-    found = left.groupBy("i", "j").cogroup(right.groupBy("i", "j")).applyInPandas(_near(k, metric), "src long, dst long, d2 double")
-    return top(found, k)
+FOUND = "src long, dst long, d2 double"
+
+
+def knn_exact(rows: DataFrame, k: int = 10, metric: str = "l2", block: int = SIDE) -> DataFrame:
+    """(src, dst, d2, rank) of each row's k nearest others, ties to the smaller id, by a grid of blocks: each pair of blocks is one product of matrices."""
+    rows = rows.select("sample_id", "vec")
+    return top(meet(rows, rows, _near(k, metric), FOUND, block), k)
 
 
 def top(found: DataFrame, k: int) -> DataFrame:
-    order = Window.partitionBy("src").orderBy(F.round("d2", 12), "dst")
+    order = Window.partitionBy("src").orderBy(F.round("d2", PLACES), "dst")
     return found.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k)
 
 
-def lsh_keys(rows: DataFrame, tables: int = 8, bits: int = 8, seed: int = 42) -> DataFrame:
-    """(sample_id, vec, table, bucket): signs of fixed random directions."""
-    dims = len(rows.select("vec").first()[0])
-    planes = np.random.default_rng(seed).normal(size=(dims, tables * bits))
+def _planes(how: Hashing, dims: int) -> np.ndarray:
+    return np.random.default_rng(how.seed).normal(size=(how.tables, how.bits, dims))
 
-    @F.pandas_udf("array<long>")
-    def keys(vec: pd.Series) -> pd.Series:
-        sign = (_vectors(vec) @ planes > 0).reshape(len(vec), tables, bits)
-        return pd.Series(list((sign * (1 << np.arange(bits))).sum(2).astype(np.int64)))
 
-    return rows.select("sample_id", "vec", F.posexplode(keys("vec")).alias("table", "bucket"))
+def _signs(x: np.ndarray, how: Hashing) -> tuple[np.ndarray, np.ndarray]:
+    """(rows, tables, bits): distances from the hyperplanes, and which side."""
+    away = np.einsum("nd,tbd->ntb", x, _planes(how, x.shape[1]))
+    return away, away > 0
 
 
-def knn_lsh(rows: DataFrame, k: int = 10, tables: int = 8, bits: int = 6, seed: int = 42, changed: DataFrame | None = None) -> DataFrame:
-    """Candidates that share a bucket, refined exactly: equi-join on (table, bucket), of changed rows only where these are given."""
-    keys = lsh_keys(rows, tables, bits, seed)
-    asking = keys if changed is None else keys.join(changed.select("sample_id"), "sample_id", "left_semi")
-    a = asking.select(F.col("sample_id").alias("src"), "table", "bucket")
-    b = keys.select(F.col("sample_id").alias("dst"), "table", "bucket")
-    pairs = a.join(b, ["table", "bucket"]).filter("src <> dst").select("src", "dst").distinct()
-    return top(distances(pairs, rows), k)
+def codes(rows: DataFrame, how: Hashing, asking: bool = False) -> DataFrame:
+    """rows with code, once for each bucket that a row lies in, or that it asks."""
+    loose = how.loose if asking else 0
+
+    @F.pandas_udf("array<long>")
+    def buckets(vec: pd.Series) -> pd.Series:
+        away, sign = _signs(_vectors(vec), how)
+        weight = 1 << np.arange(how.bits, dtype=np.int64)
+        own = (sign * weight).sum(2) + (np.arange(how.tables, dtype=np.int64) << how.bits)[None, :]
+        least = weight[np.argsort(np.abs(away), axis=2, kind="stable")[:, :, :loose]]
+        turned = np.stack([(least * ((c >> np.arange(loose)) & 1)).sum(2) for c in range(1 << loose)], 2)  # of different bits: sums are as good as or
+        return pd.Series(list((own[:, :, None] ^ turned).reshape(len(vec), -1)))
+
+    if how.bits == 0:
+        return rows.withColumn("code", F.lit(0).cast("long"))
+    return rows.withColumn("code", F.explode(buckets("vec")))
+
+
+def _search(askers: DataFrame, rows: DataFrame, k: int, how: Hashing, block: int = SIDE, radius: bool = False) -> DataFrame:
+    """(src, dst, d2) of every bucket's near pairs; buckets of more than a block are split on both sides."""
+    left, right = codes(askers.select("sample_id", "vec"), how, True), codes(rows, how)
+    count = lambda x, n: x.groupBy("code").agg(F.ceil(F.count("*") / block).cast("int").alias(n)).filter(F.col(n) > 1)
+    large = cut(count(left.drop("vec"), "a").join(count(right.drop("vec"), "b"), "code", "full"))  # a number for each block at most
+    large = F.broadcast(large) if large.count() <= FEW else large
+    one = lambda n: F.coalesce(n, F.lit(1))
+    left = left.join(large, "code", "left").withColumn("i", deal(one("a"))).withColumn("j", every(one("b"))).drop("a", "b")
+    right = right.join(large, "code", "left").withColumn("j", deal(one("b"))).withColumn("i", every(one("a"))).drop("a", "b")
+    found = together(left, right, ["code", "i", "j"], _near(k, "l2", radius), FOUND)
+    return found.groupBy("src", "dst").agg(F.min("d2").alias("d2"))
+
+
+def calibrate(rows: DataFrame, k: int = 10, recall: float = 0.95, sample: int = 200, seed: int = 42, tables: tuple[int, ...] = (1, 2, 4, 8, 16), bucket: int = 64) -> Hashing:
+    """The cheapest setting whose recall on a hash-drawn sample of rows reaches a bound; EVERY where none is cheaper than all pairs.
+
+    Buckets hold ``bucket`` rows or more, so bits grow with the rows. The sample's true neighbours come from one exact
+    search against all rows; which least certain bits a table needs to reach each of them is read off their vectors.
+    """
+    n = rows.count()
+    if n <= bucket:
+        return EVERY
+    asked = cut(draw_pool(rows.select("sample_id", "vec"), sample, seed))
+    true = top(_search(asked, rows.select("sample_id", "vec"), k, EVERY), k).select("src", "dst")
+    v = rows.select(F.col("sample_id").alias("dst"), F.col("vec").alias("y"))
+    both = v.join(F.broadcast(true), "dst").join(F.broadcast(asked.select(F.col("sample_id").alias("src"), "vec")), "src").select("vec", "y").toPandas()  # sample times k pairs
+    x, y = _vectors(both["vec"]), _vectors(both["y"])
+    best = EVERY
+    for bits in range(1, max(1, int(math.log2(n / bucket))) + 1):
+        how = Hashing(max(tables), bits, 0, seed)
+        (away, a), (_, b) = _signs(x, how), _signs(y, how)
+        place = np.argsort(np.argsort(np.abs(away), axis=2, kind="stable"), axis=2)
+        need = np.where(a != b, place + 1, 0).max(2)  # least certain bits that a table has to turn
+        for some in tables:
+            for loose in range(bits + 1):
+                found = Hashing(some, bits, loose, seed)
+                if found.share() < best.share() and (need[:, :some].min(1) <= loose).mean() >= recall:
+                    best = found
+    # the planes of fewer tables are the first of those of more
+    return best
+
+
+def knn_lsh(rows: DataFrame, k: int = 10, how: Hashing | None = None, askers: DataFrame | None = None, block: int = SIDE) -> DataFrame:
+    """Nearest among the rows of the buckets that a row asks; of some rows only where askers are given. how: calibrated where none is given."""
+    rows = rows.select("sample_id", "vec")
+    asking = rows if askers is None else rows.join(askers.select("sample_id"), "sample_id", "left_semi")
+    return top(_search(asking, rows, k, how or calibrate(rows, k), block), k)
 
 
 @F.pandas_udf(T.DoubleType())
@@ -102,36 +201,44 @@ def mutual_edges(knn: DataFrame) -> DataFrame:
 def weight_edges(edges: DataFrame, bandwidth: float | str = 100.0) -> DataFrame:
     """exp(-d2 / bandwidth); 'median' takes the median squared length of the edges."""
     if bandwidth == "median":
-        middle = edges.agg(F.percentile("d2", 0.5).alias("_b"))
-        return edges.crossJoin(F.broadcast(middle)).withColumn("w", F.exp(-F.col("d2") / F.col("_b"))).drop("_b")  # one row
+        return edges.withColumn("w", F.exp(-F.col("d2") / F.lit(quantile(edges, "d2", 0.5))))
     return edges.withColumn("w", F.exp(-F.col("d2") / float(bandwidth)))
 
 
-def build_graph(rows: DataFrame, k: int = 10, bandwidth: float | str = 100.0, metric: str = "l2") -> DataFrame:
-    """Weighted edges (src, dst, d2, w) in both directions; degrees never exceed k."""
-    return weight_edges(mutual_edges(knn_exact(rows, k, metric)), bandwidth)
+def knn(rows: DataFrame, k: int = 10, how: Hashing | None = None) -> DataFrame:
+    """Lists by the hashed search, or by all pairs where there is no setting."""
+    return knn_exact(rows, k) if how is None else knn_lsh(rows, k, how)
+
 
+def build_graph(rows: DataFrame, k: int = 10, bandwidth: float | str = 100.0, metric: str = "l2", how: Hashing | None = None) -> DataFrame:
+    """Weighted edges (src, dst, d2, w) in both directions; degrees never exceed k. how: a setting of the hashed search."""
+    if how is not None and metric != "l2":
+        raise ValueError("the hashed search measures squared distances")
+    return weight_edges(mutual_edges(knn_exact(rows, k, metric) if how is None else knn_lsh(rows, k, how)), bandwidth)
 
-def repair_graph(rows: DataFrame, knn: DataFrame, changed: DataFrame, k: int = 10, exact: bool = False, bandwidth: float | str = 100.0, **lsh) -> tuple[DataFrame, DataFrame]:
-    """Lists and edges after some vectors changed. Rebuilt are the lists of changed rows, and of rows that have one in their
-    list or meet one among the candidates; all other lists stay. exact: candidates are all rows."""
-    if exact:
-        new = knn_exact(rows, k)
-        return new, weight_edges(mutual_edges(new), bandwidth)
-    ids = changed.select("sample_id")
-    listed = knn.join(ids.withColumnRenamed("sample_id", "dst"), "dst", "left_semi").select(F.col("src").alias("sample_id"))
-    met = knn_lsh(rows, k, changed=ids, **lsh).select(F.col("dst").alias("sample_id"))
-    touched = ids.union(listed).union(met).distinct()
-    fresh = knn_lsh(rows, k, changed=touched, **lsh)
-    known = knn.join(touched.withColumnRenamed("sample_id", "src"), "src", "left_semi").select("src", "dst")
-    again = top(distances(known.union(fresh.select("src", "dst")).distinct(), rows), k)
-    lists = knn.join(touched.withColumnRenamed("sample_id", "src"), "src", "left_anti").select("src", "dst", "d2", "rank").unionByName(again)
-    return lists, weight_edges(mutual_edges(lists), bandwidth)
+
+def repair_graph(rows: DataFrame, lists: DataFrame, changed: DataFrame, k: int = 10, how: Hashing | None = None, bandwidth: float | str = 100.0) -> tuple[DataFrame, DataFrame]:
+    """Lists and edges after some vectors changed; rows have the new ones.
+
+    Searched anew are the lists of changed rows and of rows that had one in their list. To all other lists those changed
+    rows are added that now lie within their reach. Without a setting candidates are all rows, and the lists are those
+    of a new build; with one they are as near to them as its recall.
+    """
+    rows, how = rows.select("sample_id", "vec"), how or EVERY
+    ids = cut(changed.select("sample_id").distinct())
+    listed = lists.join(ids.withColumnRenamed("sample_id", "dst"), "dst", "left_semi").select(F.col("src").alias("sample_id"))
+    touched = cut(ids.union(listed).distinct())
+    reach = lists.groupBy(F.col("src").alias("sample_id")).agg(F.when(F.count("*") >= k, F.round(F.max("d2"), PLACES)).otherwise(float("inf")).alias("radius"))
+    others = rows.join(touched, "sample_id", "left_anti").join(reach, "sample_id", "left").withColumn("radius", F.coalesce("radius", F.lit(float("inf"))))
+    moved = rows.join(ids, "sample_id", "left_semi")
+    asked = touched.withColumnRenamed("sample_id", "src")
+    entering = _search(moved, others, k, how, radius=True).join(asked, "src", "left_anti")
+    stay = lists.join(asked, "src", "left_anti").select("src", "dst", "d2").unionByName(entering)
+    again = _search(rows.join(touched, "sample_id", "left_semi"), rows, k, how)
+    fresh = cut(top(stay.unionByName(again), k).to(T.StructType.fromDDL(KNN)))
+    return fresh, weight_edges(mutual_edges(fresh), bandwidth)
 
 
 def knn_recall(approximate: DataFrame, exact: DataFrame) -> DataFrame:
     hit = approximate.select("src", "dst").join(exact.select("src", "dst"), ["src", "dst"], "left_semi").agg(F.count("*").alias("hits"))
     return hit.crossJoin(exact.agg(F.count("*").alias("total"))).select((F.col("hits") / F.col("total")).alias("recall"))  # one row each
-
-
-__all__ = ["build_graph", "distances", "knn_exact", "knn_lsh", "knn_recall", "lsh_keys", "mutual_edges", "repair_graph", "schema", "top", "weight_edges"]

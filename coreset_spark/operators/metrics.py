@@ -6,9 +6,14 @@ import math
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from . import select
+from .blocks import meet
+from .proxy import matrix
+
 
 def gradients(extracted: DataFrame) -> DataFrame:
     """(sample_id, label, grad): last-layer gradient, (p - y) times the pooled vector, flattened."""
@@ -20,20 +25,32 @@ def _stack(v: pd.Series) -> np.ndarray:
     return np.stack(v.to_list()) if len(v) else np.zeros((0, 1))
 
 
-def assign_representatives(rows: DataFrame, picks: DataFrame, vec: str = "vec", most: int = 20_000) -> DataFrame:
-    """(sample_id, rep_id, dist): each row's nearest pick, ties to the smaller id. Picks are broadcast up to a checked number."""
-    if picks.count() > most:
-        raise ValueError("too many picks to broadcast: assign within graph neighbourhoods")
+def assign_representatives(rows: DataFrame, picks: DataFrame, vec: str = "vec") -> DataFrame:
+    """(sample_id, rep_id, dist): each row's nearest pick, ties to the smaller id. Picks are broadcast up to a checked number; beyond it both sides meet in blocks."""
+    def nearest(x: np.ndarray, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        d = np.sqrt(np.maximum((x**2).sum(1)[:, None] + (y**2).sum(1)[None, :] - 2 * x @ y.T, 0))
+        at = np.round(d, 9).argmin(1)
+        return at, d[np.arange(len(x)), at]
+
+    if picks.count() > select.FEW_PICKS:
+        def near(u: pa.Table, p: pa.Table) -> pa.Table:
+            if not u.num_rows or not p.num_rows:
+                return pa.table({"sample_id": pa.array([], pa.int64()), "rep_id": pa.array([], pa.int64()), "dist": pa.array([], pa.float64())})
+            p = p.sort_by("sample_id")
+            at, d = nearest(matrix(u["vec"].combine_chunks()), matrix(p["vec"].combine_chunks()))
+            return pa.table({"sample_id": u["sample_id"], "rep_id": p["sample_id"].to_numpy()[at], "dist": d})
+
+        sides = (x.select("sample_id", F.col(vec).alias("vec")) for x in (rows, picks))
+        best = meet(*sides, near, "sample_id long, rep_id long, dist double").groupBy("sample_id").agg(F.min(F.struct(F.round("dist", 9).alias("r"), "rep_id", "dist")).alias("b"))
+        return best.select("sample_id", "b.rep_id", "b.dist")
     p = picks.select("sample_id", vec).toPandas().sort_values("sample_id")
     y, ids = _stack(p[vec]), p["sample_id"].to_numpy()
 
     def run(batches):
         for u in batches:
             if len(u) and len(ids):
-                x = _stack(u[vec])
-                d = np.sqrt(np.maximum((x**2).sum(1)[:, None] + (y**2).sum(1)[None, :] - 2 * x @ y.T, 0))
-                at = np.round(d, 9).argmin(1)
-                yield pd.DataFrame({"sample_id": u["sample_id"], "rep_id": ids[at], "dist": d[np.arange(len(x)), at]})
+                at, d = nearest(_stack(u[vec]), y)
+                yield pd.DataFrame({"sample_id": u["sample_id"], "rep_id": ids[at], "dist": d})
 
     return rows.select("sample_id", vec).mapInPandas(run, "sample_id long, rep_id long, dist double")
 

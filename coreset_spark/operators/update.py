@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -54,36 +55,56 @@ def priority(nodes: DataFrame, edges: DataFrame, step: int, min_staleness: int =
     return rows.withColumn("priority", value)
 
 
-def choose_anchors(ranked: DataFrame, edges: DataFrame, budget: int, most: int = 100) -> DataFrame:
+#: Undecided rows that the sequential rule takes into one task.
+ONE_TASK_ROWS = 20_000
+
+
+def choose_anchors(ranked: DataFrame, edges: DataFrame, budget: int) -> DataFrame:
     """(sample_id, priority) of the greedy independent set in order of priority, ties by id, up to a budget.
 
     Rounds of local maxima: an undecided row that beats all undecided neighbours is what the sequential order would
-    take, and its neighbours are out. Rows without priority never become anchors.
+    take, and its neighbours are out. They go on until the budget's last anchor beats every undecided row, or so few
+    are left that one task applies the rule itself; each round decides one row at least. Rows without priority never become anchors.
     """
     live = cut(ranked.select("sample_id", F.round("priority", 9).alias("priority")).filter("priority > 0"))
     links = cut(edges.select("src", "dst").join(live.select(F.col("sample_id").alias("src")), "src", "left_semi").join(live.select(F.col("sample_id").alias("dst")), "dst", "left_semi"))
-    taken = None
+    order = [F.col("priority").desc(), F.col("sample_id")]
+    taken = live.limit(0)
     rank = F.struct("priority", (-F.col("sample_id")).alias("n"))
-    for _ in range(most):
+    while live.count() > ONE_TASK_ROWS:
         ranks = live.select("sample_id", rank.alias("r"))
         around = links.join(ranks.withColumnRenamed("sample_id", "dst"), "dst").groupBy("src").agg(F.max("r").alias("m"))
         new = cut(ranks.join(around.withColumnRenamed("src", "sample_id"), "sample_id", "left").filter(F.col("m").isNull() | (F.col("r") > F.col("m"))).select("sample_id", "r.priority"))
-        taken = new if taken is None else cut(taken.unionByName(new))
+        taken = cut(taken.unionByName(new))
         out = links.join(new.select(F.col("sample_id").alias("src")), "src", "left_semi").select(F.col("dst").alias("sample_id")).union(new.select("sample_id")).distinct()
         live = cut(live.join(out, "sample_id", "left_anti"))
-        if live.isEmpty():
-            break
-    return taken.orderBy(F.col("priority").desc(), "sample_id").limit(budget)
+        last = taken.orderBy(*order).limit(budget).agg(F.count("*"), F.min(rank)).first()
+        if last[0] == budget and (not budget or live.agg(F.max(rank)).first()[0] is None or live.agg(F.max(rank)).first()[0] < last[1]):
+            return taken.orderBy(*order).limit(budget)
+
+    def run(key: tuple, rows: pd.DataFrame, pairs: pd.DataFrame) -> pd.DataFrame:
+        near: dict[int, set[int]] = {}
+        for a, b in zip(pairs["src"], pairs["dst"], strict=True):
+            near.setdefault(int(a), set()).add(int(b))
+        chosen = set(choose_anchors_sequential(list(zip(rows["sample_id"].tolist(), rows["priority"].tolist(), strict=True)), near, budget))
+        return rows[rows["sample_id"].isin(chosen)][["sample_id", "priority"]]
+
+    one, few = F.lit(1).alias("one"), live.select("sample_id")
+    pairs = links.join(few.withColumnRenamed("sample_id", "src"), "src", "left_semi").join(few.withColumnRenamed("sample_id", "dst"), "dst", "left_semi")
+    rest = live.select("*", one).groupBy("one").cogroup(pairs.select("*", one).groupBy("one")).applyInPandas(run, "sample_id long, priority double")
+    return taken.unionByName(rest).orderBy(*order).limit(budget)
 
 
 def choose_anchors_sequential(ranked: list[tuple[int, float]], neighbours: dict[int, set[int]], budget: int) -> list[int]:
     """The rule itself, for small inputs and tests."""
     out: list[int] = []
+    beside: set[int] = set()
     for i, p in sorted(ranked, key=lambda x: (-x[1], x[0])):
         if len(out) == budget:
             break
-        if p > 0 and not neighbours.get(i, set()) & set(out):
+        if p > 0 and i not in beside:
             out.append(i)
+            beside |= neighbours.get(i, set())
     return out
 
 
