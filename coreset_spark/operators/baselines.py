@@ -10,12 +10,12 @@ from pyspark.sql import functions as F
 from ..functions import expressions as X
 from ..sources.tables import draw_pool
 from . import select
+from .ranks import quantile, row_numbers
 from .storage import cut
 
 
 def _best(rows: DataFrame, b: int, *order: Column) -> DataFrame:
-    best = rows.orderBy(*order, "sample_id").limit(b)
-    return best.withColumn("rank", F.row_number().over(Window.orderBy(*order, F.col("sample_id")))).select("sample_id", "rank")
+    return row_numbers(rows.orderBy(*order, "sample_id").limit(b), *order, F.col("sample_id"), name="rank").select("sample_id", F.col("rank").cast("int").alias("rank"))
 
 
 def uniform(rows: DataFrame, b: int, seed: int = 42, epoch: int = 0) -> DataFrame:
@@ -25,8 +25,7 @@ def uniform(rows: DataFrame, b: int, seed: int = 42, epoch: int = 0) -> DataFram
 
 def median_loss(rows: DataFrame, b: int) -> DataFrame:
     """Nearest to the median loss."""
-    middle = rows.agg(F.percentile("loss", 0.5).alias("_m"))
-    near = rows.crossJoin(F.broadcast(middle)).withColumn("_d", F.round(F.abs(F.col("loss") - F.col("_m")), 9))  # one row
+    near = rows.withColumn("_d", F.round(F.abs(F.col("loss") - F.lit(quantile(rows, "loss", 0.5))), 9))
     return _best(near, b, F.col("_d"))
 
 
@@ -54,10 +53,70 @@ def least_confidence(rows: DataFrame, b: int, log_confidence: str = "log_confide
     return _best(rows.withColumn("_c", F.round(log_confidence, 9)), b, F.col("_c"))
 
 
+def nnls(g: np.ndarray, h: np.ndarray, places: float = 1e-12) -> np.ndarray:
+    """Weights w >= 0 of the least w'gw / 2 - h'w, by active sets: a row comes in while it would lower the value, and those that turn negative go out."""
+    w, inside = np.zeros(len(h)), np.zeros(len(h), bool)
+    while True:
+        slope = h - g @ w
+        slope[inside] = -np.inf
+        if not len(h) or slope.max() <= places * max(1.0, np.abs(h).max()):
+            return w
+        inside[int(slope.argmax())] = True
+        while True:
+            at = np.flatnonzero(inside)
+            goal = np.zeros(len(h))
+            goal[at] = np.linalg.solve(g[np.ix_(at, at)], h[at])
+            low = at[goal[at] <= places]
+            if not len(low):
+                w = goal
+                break
+            step = min(w[i] / (w[i] - goal[i]) if w[i] > goal[i] else 0.0 for i in low)
+            w = w + step * (goal - w)
+            inside[at[w[at] <= places]] = False
+            w[~inside] = 0
+
+
+def _weights(columns: list[np.ndarray], full: np.ndarray, ridge: float, nonneg: bool) -> np.ndarray:
+    a = np.stack(columns, 1)
+    g, h = a.T @ a + ridge * np.eye(a.shape[1]), a.T @ full
+    return nnls(g, h) if nonneg else np.linalg.solve(g, h)
+
+
+def pursue(a: np.ndarray, ids: np.ndarray, b: int, ridge: float = 1e-8, nonneg: bool = False) -> tuple[np.ndarray, np.ndarray]:
+    """Picks (ids, weights) of orthogonal matching pursuit over the rows of a, whose ids ascend."""
+    full = a.sum(0)
+    residual, chosen, w = full, [], np.zeros(0)
+    for _ in range(min(b, len(ids))):
+        c = np.round(a @ residual, 9)
+        c[chosen] = -np.inf
+        if c.max() <= 0:
+            break
+        chosen.append(int(c.argmax()))
+        w = _weights([a[i] for i in chosen], full, ridge, nonneg)
+        residual = full - w @ a[chosen]
+    return ids[chosen], w
+
+
+#: Numbers of gradients that one task takes.
+ONE_TASK_NUMBERS = 20_000_000
+
+
+def _in_one(g: pd.DataFrame, b: int, ridge: float, nonneg: bool) -> pd.DataFrame:
+    g = g.sort_values("sample_id")
+    ids, w = pursue(np.stack(g["grad"].to_list()), g["sample_id"].to_numpy(), b, ridge, nonneg)
+    return pd.DataFrame({"round": np.arange(1, len(ids) + 1, dtype=np.int32), "sample_id": ids, "weight": w})
+
+
+OMP = "round int, sample_id long, weight double"
+
+
 def omp_select(grads: DataFrame, b: int, ridge: float = 1e-8, nonneg: bool = False) -> DataFrame:
     """Orthogonal matching pursuit: (round, sample_id, weight); each round the row best correlated with what is left of the full
-    gradient, then least squares over the rows so far. Per round one pass with the residual broadcast, and a b x b system."""
+    gradient, then least squares over the rows so far, with weights of at least 0 if asked. One task while the gradients fit it;
+    beyond that a round is one pass with the residual broadcast, and a system of b rows on the driver."""
     grads = cut(grads.select("sample_id", "grad"))
+    if (grads.agg(F.sum(F.size("grad"))).first()[0] or 0) <= ONE_TASK_NUMBERS:
+        return grads.withColumn("one", F.lit(1)).groupBy("one").applyInPandas(lambda g: _in_one(g, b, ridge, nonneg), OMP)
 
     def total(batches):
         out = None
@@ -85,36 +144,31 @@ def omp_select(grads: DataFrame, b: int, ridge: float = 1e-8, nonneg: bool = Fal
             break
         ids.append(found[0]["sample_id"])
         columns.append(np.array(found[0]["grad"]))
-        a = np.stack(columns, 1)
-        weights = np.linalg.solve(a.T @ a + ridge * np.eye(len(ids)), a.T @ full)
-        if nonneg:
-            weights = np.maximum(weights, 0)
-        residual = full - a @ weights
+        weights = _weights(columns, full, ridge, nonneg)
+        residual = full - np.stack(columns, 1) @ weights
     rows = [(i + 1, int(s), float(w)) for i, (s, w) in enumerate(zip(ids, weights, strict=True))]
-    return grads.sparkSession.createDataFrame(rows, "round int, sample_id long, weight double")
-
-
-def omp_per_cluster(grads: DataFrame, b: int, cluster: str = "label", ridge: float = 1e-8) -> DataFrame:
-    """Matching pursuit within clusters, each with its share of the budget: less memory, one task per cluster."""
-    n = max(1, grads.select(cluster).distinct().count())
-
-    def run(g: pd.DataFrame) -> pd.DataFrame:
-        g = g.sort_values("sample_id")
-        a, ids = np.stack(g["grad"].to_list()).T, g["sample_id"].to_numpy()
-        full, chosen, w = a.sum(1), [], np.zeros(0)
-        residual = full
-        for _ in range(max(1, b // n)):
-            c = np.round(a.T @ residual, 9)
-            c[chosen] = -np.inf
-            if not len(c) or c.max() <= 0:
-                break
-            chosen.append(int(c.argmax()))
-            s = a[:, chosen]
-            w = np.linalg.solve(s.T @ s + ridge * np.eye(len(chosen)), s.T @ full)
-            residual = full - s @ w
-        return pd.DataFrame({"sample_id": ids[chosen], "weight": w})
-
-    return grads.groupBy(cluster).applyInPandas(run, "sample_id long, weight double")
+    return grads.sparkSession.createDataFrame(rows, OMP)
+
+
+def omp_per_cluster(grads: DataFrame, b: int, cluster: str = "label", ridge: float = 1e-8, nonneg: bool = False) -> DataFrame:
+    """(sample_id, weight) of matching pursuit within clusters, each with an even share of the budget, the first ones one more: less memory,
+    one task for each cluster that fits it, and rounds of their own for those that do not."""
+    grads = cut(grads.select("sample_id", F.col(cluster).alias("cluster"), "grad"))
+    sizes = grads.groupBy("cluster").agg(F.sum(F.size("grad")).alias("n")).orderBy(F.col("cluster").asc_nulls_last()).collect()  # a row a cluster
+    share = {r["cluster"]: b // len(sizes) + (i < b % len(sizes)) for i, r in enumerate(sizes)}
+    large = [r["cluster"] for r in sizes if r["n"] > ONE_TASK_NUMBERS]
+    of = lambda c: F.col("cluster").eqNullSafe(F.lit(c))
+    small = grads
+    for c in large:
+        small = small.filter(~of(c))
+
+    def run(key: tuple, g: pd.DataFrame) -> pd.DataFrame:
+        return _in_one(g, share[None if pd.isna(key[0]) else key[0]], ridge, nonneg)
+
+    out = small.groupBy("cluster").applyInPandas(run, OMP)
+    for c in large:
+        out = out.unionByName(omp_select(grads.filter(of(c)), share[c], ridge, nonneg))
+    return out.select("sample_id", "weight")
 
 
 def kmeans(rows: DataFrame, clusters: int, rounds: int = 3) -> DataFrame:

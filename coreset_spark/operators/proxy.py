@@ -62,8 +62,8 @@ class SoftmaxProxy:
             out["in"] = ((error @ self.weights["out"]) * (1 - h**2)).T @ x
         return out
 
-    def fit_steps(self, rows: DataFrame, steps: int, weight: str | None = None) -> SoftmaxProxy:
-        """Trained further on (vec, label): mean gradient, optionally of weighted rows."""
+    def fit_steps(self, rows: DataFrame, steps: int, weight: str | None = None, lr: float | None = None) -> SoftmaxProxy:
+        """Trained further on (vec, label): mean gradient, optionally of weighted rows, at the model's rate or another; no rows change nothing."""
         model = self.copy()
         rows = rows.select("vec", "label", (F.col(weight) if weight else F.lit(1.0)).cast("double").alias("weight"))
         for _ in range(steps):
@@ -94,7 +94,7 @@ class SoftmaxProxy:
                 part = sums[sums["name"] == k]
                 g = np.zeros(v.size)
                 g[part["place"].to_numpy()] = part["value"].to_numpy()
-                v -= self.lr * (g.reshape(v.shape) / n + self.l2 * v)
+                v -= (self.lr if lr is None else lr) * (g.reshape(v.shape) / n + self.l2 * v)
         return model
 
     def params(self, spark) -> DataFrame:
