@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+from functools import reduce
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -9,10 +12,14 @@ from ..config import SelectorConfig
 from ..functions import expressions as X
 from ..operators import baselines, graph, metrics, scores, select, update
 from ..operators.proxy import SoftmaxProxy
+from ..operators.ranks import ranks, tiles
+from ..operators.storage import cut
 from ..sources import tables
+from . import schedule
+from .loop import run_adaptive
 
 CFG = SelectorConfig()
-B = 10
+FIXED = 10  # rows of the fixed set that measures are shown on
 STEP = 40
 
 
@@ -36,8 +43,14 @@ def warped(spark: SparkSession, d: str, cfg: SelectorConfig = CFG, steps: int =
     return scores.weighted(extracted(spark, d, steps).select("sample_id", "vec", "label", "score"), cfg)
 
 
-def pool(rows: DataFrame, n: int = CFG.pool_size, turn: int = 0) -> DataFrame:
-    return tables.draw_pool(rows, n, CFG.seed, turn)
+def pool(rows: DataFrame, n: int | None = None, turn: int = 0) -> DataFrame:
+    """The configured share of the corpus, or so many rows."""
+    return tables.draw_pool(rows, CFG.sizes(rows.count())[0] if n is None else n, CFG.seed, turn)
+
+
+def budget(rows: DataFrame, cfg: SelectorConfig = CFG) -> int:
+    """Picks: the configured share of the pool."""
+    return cfg.sizes(rows.count())[1]
 
 
 def edges(spark: SparkSession, d: str, k: int = 10, bandwidth: float | str = 100.0) -> DataFrame:
@@ -52,25 +65,26 @@ def nodes(spark: SparkSession, d: str) -> DataFrame:
     return rows.withColumn("user_id", F.col("sample_id") % F.col("users")).join(counts, "user_id", "left").select("sample_id", "vec", "score", (F.coalesce("n", F.lit(0)) % 40).cast("long").alias("last_step"))
 
 
-def ranked(spark: SparkSession, d: str) -> DataFrame:
-    return update.priority(nodes(spark, d), edges(spark, d), STEP)
+def ranked(n: DataFrame, e: DataFrame) -> DataFrame:
+    return update.priority(n, e, STEP)
 
 
-def anchors(spark: SparkSession, d: str, m: int = 20) -> DataFrame:
-    """Anchors with the score after one more step, and a vector moved a little toward the next id's."""
-    chosen = update.choose_anchors(ranked(spark, d), edges(spark, d), m).select("sample_id")
+def state(spark: SparkSession, d: str, m: int = 20) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Nodes, edges, and anchors with the score after one more step and a vector moved a little toward the next id's; each made once."""
+    n, e = cut(nodes(spark, d)), cut(edges(spark, d))
+    chosen = update.choose_anchors(ranked(n, e), e, m).select("sample_id")
     two = extracted(spark, d, 2).select("sample_id", F.col("score").alias("score_new"))
     v = tables.vectors(spark, d).select("sample_id", "vec")
-    n = v.agg((F.max("sample_id") + 1).alias("n"))
+    last = v.agg((F.max("sample_id") + 1).alias("n"))
     nxt = v.select(F.col("sample_id").alias("_next"), F.col("vec").alias("_v"))
-    moved = v.crossJoin(F.broadcast(n)).withColumn("_next", (F.col("sample_id") + 1) % F.col("n")).join(nxt, "_next")  # one row
+    moved = v.crossJoin(F.broadcast(last)).withColumn("_next", (F.col("sample_id") + 1) % F.col("n")).join(nxt, "_next")  # one row
     moved = moved.select("sample_id", "vec", X.normalise(F.zip_with("vec", "_v", lambda a, b: a + 0.05 * b)).alias("vec_new"))
-    return chosen.join(two, "sample_id").join(moved, "sample_id")
+    return n, e, cut(chosen.join(two, "sample_id").join(moved, "sample_id"))
 
 
 def picks10(spark: SparkSession, d: str) -> DataFrame:
     """The ten smallest keys of the pool's draw, with vectors and weights: a fixed set for measures."""
-    return tables.draw_pool(warped(spark, d), B, CFG.seed, 0)
+    return tables.draw_pool(warped(spark, d), FIXED, CFG.seed, 0)
 
 
 # --- extraction and scores --------------------------------------------------------------------
@@ -153,8 +167,8 @@ def first_round_gains(spark, d):
 
 
 def _greedy(spark, d, lam, engine="exact", **options):
-    rows = warped(spark, d)
-    out = select.select_greedy(pool(rows), rows.select("sample_id", "vec"), B, lam, engine, **options)
+    rows = cut(warped(spark, d))
+    out = select.select_greedy(pool(rows), rows.select("sample_id", "vec"), budget(rows), lam, engine, **options)
     return out.select("round", "sample_id", *r6("gain"))
 
 
@@ -191,7 +205,8 @@ def select_representation_only(spark, d):
 
 
 def _graph_greedy(spark, d, engine):
-    out = select.select_greedy(warped(spark, d), None, B, 0.5, engine, edges=edges(spark, d))
+    rows = cut(warped(spark, d))
+    out = select.select_greedy(rows, None, budget(rows), 0.5, engine, edges=cut(edges(spark, d)))
     return out.select("round", "sample_id", *r6("gain"))
 
 
@@ -242,9 +257,20 @@ def graph_degree_stats(spark, d):
     return rows.groupBy("degree").agg(F.count("*").alias("n"))
 
 
+def knn_with_copies(spark, d):
+    """Groups of twenty-five equal vectors: every distance is tied."""
+    v = tables.vectors(spark, d)
+    first = v.select(F.col("sample_id").alias("_f"), "vec")
+    rows = v.select("sample_id", (F.col("sample_id") - F.col("sample_id") % 25).alias("_f")).join(first, "_f")
+    return graph.knn_exact(rows).select("src", "dst", "rank")
+
+
 def knn_lsh_recall(spark, d):
-    rows = tables.vectors(spark, d)
-    return graph.knn_recall(graph.knn_lsh(rows, 10, tables=12, bits=4), graph.knn_exact(rows, 10))
+    """The calibrated setting, the share of pairs that it looks at, and its recall of the exact lists of all rows."""
+    rows = cut(tables.vectors(spark, d))
+    how = graph.calibrate(rows, CFG.k, CFG.recall)
+    found = graph.knn_recall(graph.knn_lsh(rows, CFG.k, how), graph.knn_exact(rows, CFG.k))
+    return found.select("recall", F.lit(how.tables).alias("tables"), F.lit(how.bits).alias("bits"), F.lit(how.loose).alias("loose"), F.lit(how.share()).alias("share"))
 
 
 def adjacency_lists(spark, d):
@@ -301,23 +327,25 @@ def staleness(spark, d):
 
 
 def uniqueness(spark, d):
-    return update.uniqueness(nodes(spark, d), edges(spark, d)).select("sample_id", *r6("uniqueness"))
+    return update.uniqueness(cut(nodes(spark, d)), edges(spark, d)).select("sample_id", *r6("uniqueness"))
 
 
 def update_priority(spark, d):
-    return ranked(spark, d).select("sample_id", *r6("priority"))
+    return ranked(cut(nodes(spark, d)), edges(spark, d)).select("sample_id", *r6("priority"))
 
 
 def anchor_choice(spark, d):
-    return update.choose_anchors(ranked(spark, d), edges(spark, d), 20).select("sample_id", *r6("priority"))
+    e = cut(edges(spark, d))
+    return update.choose_anchors(ranked(cut(nodes(spark, d)), e), e, 20).select("sample_id", *r6("priority"))
 
 
 def edge_affinity(spark, d):
-    return update.affinity(edges(spark, d), nodes(spark, d)).filter("src < dst").select("src", "dst", *r6("affinity"))
+    return update.affinity(edges(spark, d), cut(nodes(spark, d))).filter("src < dst").select("src", "dst", *r6("affinity"))
 
 
 def _propagated(spark, d, **options):
-    return update.propagate_scores(nodes(spark, d), edges(spark, d), anchors(spark, d), step=STEP, **options)
+    n, e, a = state(spark, d)
+    return update.propagate_scores(n, e, a, step=STEP, **options)
 
 
 def propagated_scores(spark, d):
@@ -337,20 +365,22 @@ def propagated_scores_all(spark, d):
 
 
 def propagation_energy(spark, d):
-    return update.energy(_propagated(spark, d), edges(spark, d)).select(*r6("fidelity", "smoothness"))
+    n, e, a = state(spark, d)
+    return update.energy(cut(update.propagate_scores(n, e, a, step=STEP)), e).select(*r6("fidelity", "smoothness"))
 
 
 def embedding_shift(spark, d):
-    return update.embedding_shift(anchors(spark, d)).select(*r6("shift"))
+    return update.embedding_shift(state(spark, d)[2]).select(*r6("shift"))
 
 
 def propagated_vectors(spark, d):
-    out = update.propagate_vectors(nodes(spark, d), edges(spark, d), anchors(spark, d))
+    out = update.propagate_vectors(*state(spark, d))
     return out.select("sample_id", F.posexplode("vec_new").alias("dim", "value")).select("sample_id", "dim", *r6("value"))
 
 
 def update_change_bound(spark, d):
-    return update.change_bound(_propagated(spark, d), anchors(spark, d)).select(*r6("largest_change", "bound"), (F.col("largest_change") <= F.col("bound") + 1e-12).alias("holds"))
+    n, e, a = state(spark, d)
+    return update.change_bound(cut(update.propagate_scores(n, e, a, step=STEP)), a).select(*r6("largest_change", "bound"), (F.col("largest_change") <= F.col("bound") + 1e-12).alias("holds"))
 
 
 def selective_update_error(spark, d):
@@ -409,8 +439,8 @@ def rank_stability(spark, d):
     h = tables.history(spark, d)
     n = F.max("step").over(Window.partitionBy("sample_id"))
     s = h.withColumn("n", n).groupBy("sample_id").agg(F.max_by("score", F.when(F.col("step") <= F.floor(F.col("n") / 2), F.col("step"))).alias("mid"), F.max_by("score", "step").alias("end"))
-    r = s.select(F.rank().over(Window.orderBy("mid")).cast("double").alias("a"), F.rank().over(Window.orderBy("end")).cast("double").alias("b"))
-    return r.agg(F.round(F.corr("a", "b"), 6).alias("correlation"))
+    r = ranks(ranks(cut(s), "mid", "a"), "end", "b")
+    return r.agg(F.round(F.corr(F.col("a").cast("double"), F.col("b").cast("double")), 6).alias("correlation"))
 
 
 def score_summary(spark, d):
@@ -419,8 +449,8 @@ def score_summary(spark, d):
 
 
 def difficulty_deciles(spark, d):
-    s = extracted(spark, d).withColumn("s9", F.round("score", 9))
-    s = s.withColumn("decile", F.ntile(10).over(Window.orderBy("s9", "sample_id")))
+    s = cut(extracted(spark, d).select("sample_id", "score", F.round("score", 9).alias("s9")))
+    s = tiles(s, 10, "s9", "sample_id", name="decile")
     return s.groupBy("decile").agg(F.count("*").alias("n"), F.round(F.min("score"), 6).alias("low"), F.round(F.max("score"), 6).alias("high"))
 
 
@@ -453,14 +483,16 @@ def base_median_loss_epochs(spark, d):
 
 
 def base_facility_location(spark, d):
-    return baselines.facility_location(tables.vectors(spark, d), B).select("sample_id", "rank")
+    rows = tables.vectors(spark, d)
+    return baselines.facility_location(rows, budget(rows), engine="lazy").select("sample_id", "rank")
 
 
 def base_facility_location_epochs(spark, d):
     """Vectors are extracted anew each epoch; with the linear proxy they stay as they are."""
     out = None
     for epoch in (1, 2):
-        one = baselines.facility_location(extracted(spark, d, epoch).select("sample_id", "vec"), B).select(F.lit(epoch).alias("epoch"), "sample_id", "rank")
+        rows = cut(extracted(spark, d, epoch).select("sample_id", "vec"))
+        one = baselines.facility_location(rows, budget(rows), engine="lazy").select(F.lit(epoch).alias("epoch"), "sample_id", "rank")
         out = one if out is None else out.union(one)
     return out
 
@@ -487,7 +519,12 @@ def base_omp_first_picks(spark, d):
 
 
 def base_omp(spark, d):
-    return baselines.omp_select(metrics.gradients(extracted(spark, d)), B).select("round", "sample_id", *r6("weight"))
+    return baselines.omp_select(metrics.gradients(extracted(spark, d)), FIXED).select("round", "sample_id", *r6("weight"))
+
+
+def base_omp_nonneg(spark, d):
+    """With weights of at least 0."""
+    return baselines.omp_select(metrics.gradients(extracted(spark, d)), FIXED, nonneg=True).select("round", "sample_id", *r6("weight"))
 
 
 def base_omp_per_cluster(spark, d):
@@ -506,54 +543,54 @@ def cluster_quota_draw(spark, d):
 
 
 def w1b_selector_objectives(spark, d):
-    """Objective, its parts and gradient gap of each selector's ten picks over the vectors."""
-    rows = warped(spark, d).cache()
-    e = extracted(spark, d)
-    g = metrics.gradients(e)
-    chosen = {
-        "adaptive": select.select_greedy(rows, None, B, 0.5), "facility_location": select.select_greedy(rows, None, B, 1.0), "importance": select.top_weight(rows, B),
-        "uniform": baselines.uniform(rows, B), "median_loss": baselines.median_loss(e, B), "grad_norm": baselines.grad_norm(e, B),
-    }
-    out = None
-    for name, picks in chosen.items():
-        p = rows.join(picks.select("sample_id"), "sample_id", "left_semi")
-        o = select.objective(rows, p, 0.5, mode="shift").select(F.lit(name).alias("selector"), *r6("coverage", "importance", "objective"))
+    """Objective, its parts and gradient gap of what each selector picks of the vectors in its last epoch, and of the adaptive run's picks."""
+    rows = cut(tables.vectors(spark, d))
+    first = SoftmaxProxy()
+    warm = first.fit_steps(rows, 1)
+    b = max(1, round(CFG.budget_frac * rows.count()))
+    e = cut(warm.extract(rows))
+    weighed, g = cut(scores.weighted(e.select("sample_id", "vec", "label", "score"), CFG)), cut(metrics.gradients(e))
+    lengths = rows.select("sample_id", F.col("sample_id").cast("string").alias("completion"))  # vectors have no text: their ids' digits stand for one
+    out = []
+    chosen = [(s.name, s.choose(warm, 0)) for s in schedule.selectors(rows, lengths, b, first, warm) if s.name not in ("base", "full")]
+    chosen.append(("objective_once", schedule.objective_picks(rows, e, b, CFG)))
+    chosen.append(("adaptive", run_adaptive(rows, replace(CFG, pool_frac=1.0, engine="lazy", intervals=2)).picks))
+    for name, picks in chosen:
+        p = cut(weighed.join(picks.select("sample_id"), "sample_id", "left_semi"))
+        o = select.objective(weighed, p, 0.5, mode="shift").select(F.lit(name).alias("selector"), *r6("coverage", "importance", "objective"))
         gap = metrics.gradient_gap(g, p.select("sample_id", F.lit(1.0).alias("weight"))).select(*r6("gap"))
-        one = o.crossJoin(gap)  # one row each
-        out = one if out is None else out.union(one)
-    return out
+        out.append(o.crossJoin(gap))  # one row each
+    return reduce(DataFrame.unionByName, out)
 
 
 def w5_budget_sweep(spark, d):
-    """Objective of greedy picks at each budget; the warp follows the budget."""
-    out = None
+    """Objective of greedy picks at each budget, a share of the pool; the warp follows the budget."""
+    out = []
     for share in (0.02, 0.05, 0.10, 0.20, 0.30):
-        rows = warped(spark, d, SelectorConfig(budget_frac=share))
-        p = select.select_greedy(pool(rows), rows, max(1, round(share * 100)), 0.5)
-        one = p.agg(F.count("*").alias("picks"), F.round(F.sum("gain"), 5).alias("objective")).select(F.lit(share).alias("budget"), "picks", "objective")
-        out = one if out is None else out.union(one)
-    return out
+        cfg = SelectorConfig(budget_frac=share)
+        rows = cut(warped(spark, d, cfg))
+        p = select.select_greedy(pool(rows), rows, budget(rows, cfg), 0.5, "lazy")
+        out.append(p.agg(F.count("*").alias("picks"), F.round(F.sum("gain"), 5).alias("objective")).select(F.lit(share).alias("budget"), "picks", "objective"))
+    return reduce(DataFrame.union, out)
 
 
 def w6_lambda_sweep(spark, d):
-    rows = warped(spark, d)
-    out = None
+    rows, out = cut(warped(spark, d)), []
     for lam in (0.0, 0.2, 0.4, 0.6, 0.8, 1.0):
-        p = select.select_greedy(pool(rows), rows, B, lam)
-        one = p.agg(F.round(F.sum("gain"), 5).alias("objective")).select(F.lit(lam).alias("lam"), "objective")
-        out = one if out is None else out.union(one)
-    return out
+        p = select.select_greedy(pool(rows), rows, budget(rows), lam, "lazy")
+        out.append(p.agg(F.round(F.sum("gain"), 5).alias("objective")).select(F.lit(lam).alias("lam"), "objective"))
+    return reduce(DataFrame.union, out)
 
 
 QUERIES = [
     warmup_params, importance_softmax, importance_native, importance_rescaled, importance_rescaled_by_source, beta_params, importance_warped, warp_mode_by_budget,
     warmup_eval, eval_base, eval_full, interval_train_params, coverage_of_set, objective_of_set, first_round_gains, greedy_select, greedy_lazy, greedy_distributed,
     greedy_clip, greedy_stochastic, greedy_partitioned, select_importance_only, select_representation_only, greedy_graph, greedy_dominance, cumulative_coverage,
-    candidate_pool, knn_exact, knn_cosine, mutual_knn_edges, edge_weights, edge_weights_median, graph_degree_stats, knn_lsh_recall, adjacency_lists, graph_diff,
+    candidate_pool, knn_exact, knn_cosine, mutual_knn_edges, edge_weights, edge_weights_median, graph_degree_stats, knn_with_copies, knn_lsh_recall, adjacency_lists, graph_diff,
     history_latest, drift_statistic, drift_statistic_as_printed, drift_by_threshold, w9_interval_sweep, staleness, uniqueness, update_priority, anchor_choice,
     edge_affinity, propagated_scores, propagated_scores_energy, propagated_scores_with_recent, propagated_scores_all, propagation_energy, embedding_shift,
     propagated_vectors, update_change_bound, selective_update_error, gradient_gap, nearest_gradient_bound, representative_assignment, representative_weights,
     gradient_gap_weighted, bound_terms, subset_overlap, subset_mix, rank_stability, score_summary, difficulty_deciles, base_uniform, base_uniform_epochs,
     base_median_loss, base_median_loss_epochs, base_facility_location, base_facility_location_epochs, base_loss_drop, base_longest_completion, base_grad_norm,
-    base_least_confidence, base_omp_first_picks, base_omp, base_omp_per_cluster, kmeans_assign, cluster_quota_draw, w1b_selector_objectives, w5_budget_sweep, w6_lambda_sweep,
+    base_least_confidence, base_omp_first_picks, base_omp, base_omp_nonneg, base_omp_per_cluster, kmeans_assign, cluster_quota_draw, w1b_selector_objectives, w5_budget_sweep, w6_lambda_sweep,
 ]

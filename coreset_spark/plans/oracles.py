@@ -15,7 +15,8 @@ STEPS: dict[str, str] = {
     "e": "SELECT id, label, unnest(range(0, len(v))) AS j, unnest(v) AS x FROM v",
     "k": f"SELECT unnest(range({K})) AS k",
     "w0": "SELECT k, j, 0.0 AS w FROM k, (SELECT DISTINCT j FROM e)",
-    "pool": "SELECT id FROM v ORDER BY md5('42:0:' || id), id LIMIT 200",
+    "pool": "SELECT id FROM v ORDER BY md5('42:0:' || id), id LIMIT (SELECT CAST(round(0.4 * n) AS BIGINT) FROM n)",
+    "bud": "SELECT CAST(round(0.1 * round(0.4 * n)) AS BIGINT) AS picks FROM n",
     "ten": "SELECT id FROM v ORDER BY md5('42:0:' || id), id LIMIT 10",
     "r": "SELECT id, s, CASE WHEN max(s) OVER () > min(s) OVER () THEN (s - min(s) OVER ()) / (max(s) OVER () - min(s) OVER ()) ELSE 0.5 END AS z FROM i1",
     "near": "SELECT a.id AS src, b.id AS dst, list_sum(list_transform(list_zip(a.v, b.v), lambda p: (p[1] - p[2]) * (p[1] - p[2]))) AS d2 FROM v a JOIN v b ON a.id <> b.id",
@@ -54,8 +55,8 @@ _train(1, "ten")
 
 
 def _warp(share: float, name: str) -> None:
-    STEPS[f"b{name}"] = f"SELECT avg(z) AS mean, 1 + 10 * avg(z) * power({share}, 0.5) AS a FROM r"
-    STEPS[f"x{name}"] = f"SELECT r.id, CASE WHEN z > 0 AND z < 1 THEN exp((a - 1) * ln(z) + (10 - a - 1) * ln(1 - z) - (lgamma(a) + lgamma(10 - a) - lgamma(10))) ELSE 0 END AS x FROM r, b{name}"
+    STEPS[f"beta{name}"] = f"SELECT avg(z) AS mean, 1 + 10 * avg(z) * power({share}, 0.5) AS a FROM r"
+    STEPS[f"x{name}"] = f"SELECT r.id, CASE WHEN z > 0 AND z < 1 THEN exp((a - 1) * ln(z) + (10 - a - 1) * ln(1 - z) - (lgamma(a) + lgamma(10 - a) - lgamma(10))) ELSE 0 END AS x FROM r, beta{name}"
 
 
 _warp(0.10, "")
@@ -67,7 +68,11 @@ def _knn(name: str, k: int, d: str = "d2") -> None:
     STEPS[name] = f"SELECT src, dst, d2, rank FROM (SELECT src, dst, {d} AS d2, row_number() OVER (PARTITION BY src ORDER BY round({d}, 12), dst) AS rank FROM near) WHERE rank <= {k}"
 
 
+STEPS["vc"] = "SELECT a.id, b.v FROM v a JOIN v b ON b.id = a.id - a.id % 25"
+STEPS["nearc"] = STEPS["near"].replace("FROM v a JOIN v b", "FROM vc a JOIN vc b")
 _knn("knn", 10)
+_knn("knnc", 10)
+STEPS["knnc"] = STEPS["knnc"].replace("FROM near", "FROM nearc")
 _knn("knn5", 5)
 STEPS["edges5"] = STEPS["edges"].replace("knn", "knn5")
 
@@ -95,15 +100,17 @@ STEPS["simclip"] = "SELECT c, u, greatest(s - 1, 0) AS s FROM sim"
 STEPS["simall"] = "SELECT p.id AS c, o.id AS u, 1 + list_cosine_similarity(p.v, o.v) AS s FROM v p, v o"
 STEPS["cells"] = "SELECT src AS c, dst AS u, greatest(1 - d2 / 2, 0) AS s FROM edges UNION ALL SELECT id, id, 1.0 FROM v"
 STEPS["none"] = "SELECT id, 0.0 AS x FROM v"
-_chain("ga", "sim", "x", 10, 0.5)
-_chain("gb", "sim", "x", 10, 1.0)
-_chain("gc", "simclip", "x", 10, 0.5)
-_chain("gg", "cells", "x", 10, 0.5)
-_chain("gf", "simall", "none", 10, 1.0)
+# A tenth, or another share, of a pool of 0.4 of the 500 vectors that the two smaller table sizes have.
+PICKS = 20
+_chain("ga", "sim", "x", PICKS, 0.5)
+_chain("gb", "sim", "x", PICKS, 1.0)
+_chain("gc", "simclip", "x", PICKS, 0.5)
+_chain("gg", "cells", "x", PICKS, 0.5)
+_chain("gf", "simall", "none", PICKS, 1.0)
 for _l in (2, 4, 6, 8):
-    _chain(f"gl{_l}q", "sim", "x", 10, _l / 10)
-for _c, _b in ((2, 2), (5, 5), (10, 10), (20, 20), (30, 30)):
-    _chain(f"gh{_c}q", "sim", f"x_{_c}", _b, 0.5)
+    _chain(f"gl{_l}q", "sim", "x", PICKS, _l / 10)
+for _c in (2, 5, 10, 20, 30):
+    _chain(f"gh{_c}q", "sim", f"x_{_c}", 2 * _c, 0.5)
 
 STEPS["rank0"] = "SELECT id, round(p, 9) AS p FROM pri WHERE p > 0"
 for _t in range(1, 21):
@@ -174,8 +181,8 @@ STEPS["bt"] = "SELECT a.id, list_distance(a.gr, b.gr) AS gd, list_distance(va.v,
 
 
 def oracles() -> dict[str, str]:
-    greedy = lambda name, b=10: f"SELECT round, c AS sample_id, round(gain, 6) AS gain FROM ({_union(name, b)})"
-    top_x = "SELECT CAST(row_number() OVER (ORDER BY round(x, 9) DESC, id) AS INTEGER) AS round, id AS sample_id, round(x, 6) AS gain FROM x WHERE id IN (SELECT id FROM pool) ORDER BY round(x, 9) DESC, id LIMIT 10"
+    greedy = lambda name, b=PICKS: f"SELECT round, c AS sample_id, round(gain, 6) AS gain FROM ({_union(name, b)})"
+    top_x = "SELECT CAST(row_number() OVER (ORDER BY round(x, 9) DESC, id) AS INTEGER) AS round, id AS sample_id, round(x, 6) AS gain FROM x WHERE id IN (SELECT id FROM pool) ORDER BY round(x, 9) DESC, id LIMIT (SELECT picks FROM bud)"
     parts = " UNION ALL ".join(
         f"SELECT {p} AS parts, part, round(avg(d), 6) AS drift FROM (SELECT id, part, sum(power(0.99, top - step) * abs(s - now)) / sum(power(0.99, top - step) * now) AS d FROM (SELECT id, step, s, part, max(step) OVER q AS top, last_value(s) OVER (PARTITION BY id, part ORDER BY step ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS now FROM (SELECT id, step, s, CAST(floor(step * {p} / count(*) OVER (PARTITION BY id)) AS INTEGER) AS part FROM h) WINDOW q AS (PARTITION BY id, part)) GROUP BY id, part) GROUP BY part"
         for p in (8, 4, 2, 1)
@@ -183,16 +190,16 @@ def oracles() -> dict[str, str]:
     weigh = lambda total: f"SELECT round(sqrt(sum(t * t)), 6) AS gap FROM (SELECT k, j, sum(g * (1 - coalesce(w, 0))) AS t FROM g LEFT JOIN ({total}) q USING (id) GROUP BY k, j)"
     epochs = lambda f, span: " UNION ALL ".join(f"SELECT {i} AS epoch, * FROM ({f(i)})" for i in span)
     uniform = lambda i: f"SELECT id AS sample_id FROM v ORDER BY md5('42:{i}:' || id), id LIMIT 50"
-    facility = f"SELECT c AS sample_id, round AS rank FROM ({_union('gf', 10)})"
+    facility = f"SELECT c AS sample_id, round AS rank FROM ({_union('gf', PICKS)})"
     out = {
         "warmup_params": "SELECT CAST(k AS INTEGER) AS label, CAST(j AS INTEGER) AS dim, round(w, 6) AS value FROM w1",
         "importance_softmax": "SELECT id AS sample_id, round(s, 6) AS score, round(loss, 6) AS loss FROM i1",
         "importance_native": "SELECT id AS sample_id, round(s, 6) AS score FROM i1",
         "importance_rescaled": "SELECT id AS sample_id, round(z, 6) AS z FROM r",
         "importance_rescaled_by_source": "SELECT id AS sample_id, label, round((s - min(s) OVER q) / (max(s) OVER q - min(s) OVER q), 6) AS z FROM i1 WINDOW q AS (PARTITION BY label)",
-        "beta_params": "SELECT round(mean, 6) AS mean, round(a, 6) AS beta_a, round(10 - a, 6) AS beta_b, round((a - 1) / 8, 6) AS mode, false AS clamped FROM b",
+        "beta_params": "SELECT round(mean, 6) AS mean, round(a, 6) AS beta_a, round(10 - a, 6) AS beta_b, round((a - 1) / 8, 6) AS mode, false AS clamped FROM beta",
         "importance_warped": "SELECT id AS sample_id, round(x, 6) AS warped FROM x",
-        "warp_mode_by_budget": " UNION ALL ".join(f"SELECT {c / 100} :: DOUBLE AS budget, round((a - 1) / 8, 6) AS mode FROM b_{c}" for c in (2, 5, 10, 20, 30)),
+        "warp_mode_by_budget": " UNION ALL ".join(f"SELECT {c / 100} :: DOUBLE AS budget, round((a - 1) / 8, 6) AS mode FROM beta_{c}" for c in (2, 5, 10, 20, 30)),
         "warmup_eval": "SELECT round(avg(CASE WHEN guess = label THEN 1.0 ELSE 0.0 END), 6) AS accuracy, round(avg(loss), 6) AS loss FROM i1",
         "eval_base": "SELECT round(avg(loss), 6) AS loss, round(avg(s), 6) AS score FROM i0",
         "eval_full": "SELECT round(avg(loss), 6) AS loss, round(avg(s), 6) AS score FROM i3",
@@ -204,6 +211,7 @@ def oracles() -> dict[str, str]:
         "cumulative_coverage": f"SELECT round, round(sum(gain) OVER (ORDER BY round), 5) AS so_far, round(sum(gain) OVER (ORDER BY round) / sum(gain) OVER (), 5) AS share FROM ({greedy('ga')})",
         "candidate_pool": "SELECT id AS sample_id FROM pool",
         "knn_exact": "SELECT src, dst, CAST(rank AS INTEGER) AS rank, round(d2, 6) AS d2 FROM knn",
+        "knn_with_copies": "SELECT src, dst, CAST(rank AS INTEGER) AS rank FROM knnc",
         "knn_cosine": "SELECT src, dst, CAST(rank AS INTEGER) AS rank, round(d, 6) AS d2 FROM (SELECT a.id AS src, b.id AS dst, 1 - list_cosine_similarity(a.v, b.v) AS d, row_number() OVER (PARTITION BY a.id ORDER BY round(1 - list_cosine_similarity(a.v, b.v), 12), b.id) AS rank FROM v a JOIN v b ON a.id <> b.id) WHERE rank <= 10",
         "mutual_knn_edges": "SELECT src, dst FROM edges WHERE src < dst",
         "edge_weights": "SELECT src, dst, round(w, 6) AS w FROM edges WHERE src < dst",
@@ -249,8 +257,8 @@ def oracles() -> dict[str, str]:
         "base_omp_first_picks": "SELECT CAST(1 AS INTEGER) AS round, id AS sample_id FROM od ORDER BY c DESC, id LIMIT 1",
         "kmeans_assign": "SELECT id AS sample_id, cl AS cluster FROM ka2",
         "cluster_quota_draw": "SELECT id AS sample_id, cl AS cluster FROM (SELECT id, cl, row_number() OVER (PARTITION BY cl ORDER BY md5('42:0:' || id)) AS k FROM ka2) JOIN kr USING (cl) WHERE k <= quota",
-        "w6_lambda_sweep": " UNION ALL ".join([f"SELECT 0.0 :: DOUBLE AS lam, round(sum(gain), 5) AS objective FROM ({top_x})", *(f"SELECT {i / 10} :: DOUBLE AS lam, round(sum(gain), 5) AS objective FROM ({_union(f'gl{i}q', 10)})" for i in (2, 4, 6, 8)), f"SELECT 1.0 :: DOUBLE AS lam, round(sum(gain), 5) AS objective FROM ({_union('gb', 10)})"]),
-        "w5_budget_sweep": " UNION ALL ".join(f"SELECT {c / 100} :: DOUBLE AS budget, count(*) AS picks, round(sum(gain), 5) AS objective FROM ({_union(f'gh{c}q', c)})" for c in (2, 5, 10, 20, 30)),
+        "w6_lambda_sweep": " UNION ALL ".join([f"SELECT 0.0 :: DOUBLE AS lam, round(sum(gain), 5) AS objective FROM ({top_x})", *(f"SELECT {i / 10} :: DOUBLE AS lam, round(sum(gain), 5) AS objective FROM ({_union(f'gl{i}q', PICKS)})" for i in (2, 4, 6, 8)), f"SELECT 1.0 :: DOUBLE AS lam, round(sum(gain), 5) AS objective FROM ({_union('gb', PICKS)})"]),
+        "w5_budget_sweep": " UNION ALL ".join(f"SELECT {c / 100} :: DOUBLE AS budget, count(*) AS picks, round(sum(gain), 5) AS objective FROM ({_union(f'gh{c}q', 2 * c)})" for c in (2, 5, 10, 20, 30)),
     }
     from . import relational_sql
 

@@ -3,26 +3,27 @@
 from __future__ import annotations
 
 import hashlib
-import tempfile
 import time
-import uuid
 from collections import Counter
 from collections.abc import Iterator
 from dataclasses import replace
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..config import SelectorConfig
 from ..functions.rouge import scored
-from ..operators import baselines, metrics, ngram, scores, select
+from ..operators import baselines, graph, metrics, ngram, scores, select
 from ..operators.proxy import SoftmaxProxy
+from ..operators.ranks import tiles
+from ..operators.storage import cut, new_folder
 from ..sources import tables
 from ..streaming import readings
-from .loop import run_adaptive
-from .methods import extracted
+from . import schedule
+from .loop import check_and_update, run_adaptive
 
 LANGS = ["de", "en", "es", "fr"]
 
@@ -61,64 +62,127 @@ def w1_split(spark, d):
 
 def _w1(spark, d):
     docs = tables.domains(spark, d)
-    rows = doc_vectors(docs).join(docs.select(F.col("doc_id").alias("sample_id"), "domain"), "sample_id")
-    from ..operators.storage import cut
+    return cut(doc_vectors(docs).join(docs.select(F.col("doc_id").alias("sample_id"), "domain"), "sample_id"))
 
-    return cut(rows)
 
-
-def _accuracy(model: SoftmaxProxy, rows: DataFrame, name: str) -> DataFrame:
+def _accuracy(model, rows: DataFrame, name: str) -> DataFrame:
     test = rows.filter("domain <> 'train'").select("sample_id", "vec", "label", "domain")
     told = model.extract(test).join(test.select("sample_id", F.substring("domain", 1, 2).alias("side")), "sample_id")
-    return told.groupBy("side").agg(F.round(F.avg((F.col("predicted") == F.col("label")).cast("double")), 6).alias("accuracy"), F.count("*").alias("n")).select(F.lit(name).alias("selector"), "side", "accuracy", "n")
+    return cut(told.groupBy("side").agg(F.round(F.avg((F.col("predicted") == F.col("label")).cast("double")), 6).alias("accuracy"), F.count("*").alias("n")).select(F.lit(name).alias("selector"), "side", "accuracy", "n"))
 
 
 PROXY = SoftmaxProxy(classes=len(LANGS), lr=20.0)
+W1 = SelectorConfig(learning_rate=20.0, engine="lazy", pool_frac=1.0, delta=0.05)
+EPOCHS = 3
 
 
-def w1_accuracy(spark: SparkSession, d: str) -> DataFrame:
-    """Held-out accuracy in and out of domain of the same number of steps on each selector's picks."""
+def _training(rows: DataFrame) -> DataFrame:
+    return cut(rows.filter("domain = 'train'").select("sample_id", "vec", "label"))
+
+
+def _texts(spark, d, train: DataFrame) -> DataFrame:
+    return tables.table(spark, d, "documents").select(F.col("doc_id").alias("sample_id"), F.col("text").alias("completion")).join(train.select("sample_id"), "sample_id", "left_semi")
+
+
+def _w1_runs(spark: SparkSession, d: str) -> Iterator[tuple[str, object, dict[str, float]]]:
+    """Every selector with its schedule, then one static choice by the objective and the adaptive run: name, trained model, seconds; the corpus comes first."""
     rows = _w1(spark, d)
-    train = rows.filter("domain = 'train'").select("sample_id", "vec", "label")
-    b, steps = max(4, round(0.1 * train.count())), 3
-    warm = PROXY.fit_steps(train, 1)
-    before, after = PROXY.extract(train), warm.extract(train)
-    weighed = scores.weighted(after.select("sample_id", "vec", "label", "score"), SelectorConfig())
-    texts = tables.table(spark, d, "documents").select(F.col("doc_id").alias("sample_id"), F.col("text").alias("completion")).join(train.select("sample_id"), "sample_id", "left_semi")
-    clusters = baselines.kmeans(train, 8, 2)
-    chosen = {
-        "uniform": baselines.uniform(train, b), "median_loss": baselines.median_loss(after, b), "facility_location": baselines.facility_location(train, b, engine="lazy"),
-        "loss_drop": baselines.loss_drop(before, after, b), "longest_completion": baselines.longest_completion(texts, b), "grad_norm": baselines.grad_norm(after, b),
-        "least_confidence": baselines.least_confidence(after.withColumn("log_confidence", F.log("confidence")), b), "cluster_reweight": baselines.cluster_reweight(clusters, b, after),
-        "adaptive_objective": select.select_greedy(weighed, None, b, 0.5, "lazy"),
-    }
-    out = _accuracy(PROXY, rows, "base").unionByName(_accuracy(PROXY.fit_steps(train, steps), rows, "full"))
-    for name, picks in chosen.items():
-        model = PROXY.fit_steps(train.join(picks.select("sample_id"), "sample_id", "left_semi"), steps)
-        out = out.unionByName(_accuracy(model, rows, name))
-    run = run_adaptive(train, SelectorConfig(learning_rate=20.0, engine="lazy", pool_size=max(40, train.count() // 2), intervals=3), PROXY)
-    return out.unionByName(_accuracy(run.model, rows, "adaptive"))
+    yield "rows", rows, {}
+    train_rows = _training(rows)
+    b = max(4, round(0.1 * train_rows.count()))
+    began = time.time()
+    warm = PROXY.fit_steps(train_rows, 1)
+    warmed = time.time() - began
+    for s in [*schedule.selectors(train_rows, _texts(spark, d, train_rows), b, PROXY, warm), schedule.Schedule("objective_once", lambda m, e: schedule.objective_picks(train_rows, m.extract(train_rows), b, W1))]:
+        model, _, seconds = schedule.train(s, train_rows, PROXY, warm, EPOCHS)
+        yield s.name, model, {"warm_up": warmed} | seconds
+    run = run_adaptive(train_rows, W1, PROXY)
+    yield "adaptive", run.model, run.seconds
+
+
+def w1_accuracy(spark: SparkSession, d: str) -> DataFrame:
+    """Held-out accuracy in and out of domain of the same number of steps under each selector, static, anew each epoch, or adaptive."""
+    runs = _w1_runs(spark, d)
+    _, rows, _ = next(runs)
+    return reduce(DataFrame.unionByName, [_accuracy(model, rows, name) for name, model, _ in runs])
+
+
+def w4_time_by_method(spark: SparkSession, d: str) -> DataFrame:
+    """Seconds of every selector's stages on the same corpus."""
+    runs = _w1_runs(spark, d)
+    next(runs)
+    return spark.createDataFrame([(name, stage, float(s)) for name, _, seconds in runs for stage, s in seconds.items()], "selector string, stage string, seconds double")
+
+
+VARIANTS = {"full": {}, "no_representation": {"lam": 0.0}, "no_importance": {"lam": 1.0}, "no_update": {"update_policy": "never"}, "frozen_subset": {"update_policy": "frozen_subset"}, "always_update": {"update_policy": "always"}}
 
 
 def w7_ablation_log(spark, d):
     """Interval logs of the full method and its ablations."""
     rows = tables.vectors(spark, d)
     cfg = SelectorConfig(intervals=2)
-    out = None
-    for name, c in {"full": cfg, "no_representation": replace(cfg, lam=0.0), "no_importance": replace(cfg, lam=1.0), "no_update": replace(cfg, update_policy="never"), "always_update": replace(cfg, update_policy="always")}.items():
-        one = run_adaptive(rows, c).frame(spark).select(F.lit(name).alias("variant"), "*")
-        out = one if out is None else out.unionByName(one)
-    return out
+    return reduce(DataFrame.unionByName, [run_adaptive(rows, replace(cfg, **change)).frame(spark).select(F.lit(name).alias("variant"), "*") for name, change in VARIANTS.items()])
+
+
+def _adaptive_accuracies(spark, d, runs: list[tuple[str, SelectorConfig]], what: str) -> DataFrame:
+    """Accuracy in and out of domain, checks that fired and anchors of adaptive runs with different settings."""
+    rows = _w1(spark, d)
+    train_rows, out = _training(rows), []
+    for name, cfg in runs:
+        run = run_adaptive(train_rows, cfg, PROXY)
+        fired, anchors = (sum(int(x[k]) for x in run.log) for k in ("fired", "anchors"))
+        out.append(_accuracy(run.model, rows, name).withColumnRenamed("selector", what).withColumns({"fired": F.lit(fired), "anchors": F.lit(anchors)}))
+    return reduce(DataFrame.unionByName, out)
+
+
+def w7_ablation_accuracy(spark, d):
+    """What the full method and its ablations reach."""
+    return _adaptive_accuracies(spark, d, [(name, replace(W1, **change)) for name, change in VARIANTS.items()], "variant")
+
+
+def w5_budget_accuracy(spark, d):
+    return _adaptive_accuracies(spark, d, [(f"{share:.2f}", replace(W1, budget_frac=share)) for share in (0.02, 0.05, 0.10, 0.20, 0.30)], "budget")
+
+
+def w6_lambda_accuracy(spark, d):
+    return _adaptive_accuracies(spark, d, [(f"{lam:.1f}", replace(W1, lam=lam)) for lam in (0.0, 0.2, 0.4, 0.6, 0.8, 1.0)], "lam")
+
+
+def w8_delta_accuracy(spark, d):
+    """Low thresholds behave like updating always, high ones like never."""
+    return _adaptive_accuracies(spark, d, [(f"{0.05 * i:.2f}", replace(W1, delta=round(0.05 * i, 2))) for i in range(8)], "delta")
+
+
+def w9_interval_accuracy(spark, d):
+    """An interval as a share of an epoch, which is also the pool's share of the corpus; eight steps in all."""
+    return _adaptive_accuracies(spark, d, [(f"{share:.3f}", replace(W1, pool_frac=share, intervals=round(1 / share), interval_steps=round(8 * share))) for share in (0.125, 0.25, 0.5, 1.0)], "share")
 
 
 def adaptive_run_log(spark, d):
-    return run_adaptive(tables.vectors(spark, d), SelectorConfig(intervals=3, delta=0.01)).frame(spark)
+    """With a hidden layer, whose states move, so that an update also moves vectors and repairs the graph."""
+    return run_adaptive(tables.vectors(spark, d), SelectorConfig(intervals=3, delta=0.01, learning_rate=5.0), SoftmaxProxy(hidden=32, lr=5.0)).frame(spark)
 
 
 def full_refresh_log(spark, d):
     return run_adaptive(tables.vectors(spark, d), SelectorConfig(intervals=2, update_policy="full")).frame(spark)
 
 
+def check_update_round(spark, d):
+    """One check-and-update after two steps of a hidden-layer model, on the graph of its first state: what was checked, moved and repaired, and the checksum of the new scores."""
+    rows = cut(tables.vectors(spark, d))
+    cfg = SelectorConfig(delta=0.0, learning_rate=5.0)
+    first = SoftmaxProxy(hidden=32, lr=5.0).fit_steps(rows, 1)
+    nodes = cut(first.extract(rows).select("sample_id", "vec", "score", F.lit(0).cast("long").alias("last_step")))
+    lists = cut(graph.knn_exact(nodes, cfg.k))
+    edges = cut(graph.weight_edges(graph.mutual_edges(lists), cfg.bandwidth))
+    subset = cut(tables.draw_pool(rows, cfg.sizes(rows.count())[1], cfg.seed, 0))
+    picks = rows.join(subset.select("sample_id"), "sample_id", "left_semi")
+    history, at = first.extract(picks).select("sample_id", F.lit(0).cast("long").alias("step"), "score"), first.fit_steps(picks, 2)
+    nodes, edges, _, note = check_and_update(nodes, edges, lists, rows, at, subset.select("sample_id"), history, 2, cfg)
+    told = {k: v for k, v in note.items() if k not in ("drift", "shift")}
+    return nodes.agg(F.round(F.sum("score"), 6).alias("scores"), F.sum("last_step").alias("freshness")).select(*[F.lit(v).alias(k) for k, v in told.items()], F.lit(round(note["drift"], 5)).alias("drift"), F.lit(round(note["shift"], 5)).alias("shift"), "scores", "freshness", F.lit(edges.count()).alias("edges"))
+
+
 def w4_time_by_stage(spark, d):
     began = time.time()
     run = run_adaptive(tables.vectors(spark, d), SelectorConfig(intervals=2))
@@ -127,13 +191,22 @@ def w4_time_by_stage(spark, d):
 
 
 def w10_backbones(spark, d):
-    """Training fit of three proxies: linear, tanh layer, and base."""
-    rows = tables.vectors(spark, d)
-    out = None
-    for name, m, steps in (("base", SoftmaxProxy(), 0), ("linear", SoftmaxProxy(), 2), ("tanh", SoftmaxProxy(hidden=32, lr=5.0), 2)):
-        one = (m.fit_steps(rows, steps) if steps else m).extract(rows).agg(F.round(F.avg("loss"), 6).alias("loss"), F.round(F.avg((F.col("predicted") == F.col("label")).cast("double")), 6).alias("fit")).select(F.lit(name).alias("model"), "loss", "fit")
-        out = one if out is None else out.unionByName(one)
-    return out
+    """Three backbones, linear, tanh layer and token counts, each untrained, and trained on uniform, objective and adaptive picks: accuracy in and out of domain."""
+    rows = _w1(spark, d)
+    train_rows = _training(rows)
+    b = max(4, round(0.1 * train_rows.count()))
+    texts = tables.table(spark, d, "documents").select(F.col("doc_id").alias("sample_id"), "text").join(rows.select("sample_id"), "sample_id", "left_semi")
+    out = []
+    for backbone, m in (("linear", PROXY), ("tanh", SoftmaxProxy(classes=len(LANGS), hidden=32, lr=5.0)), ("ngram", ngram.NgramBackbone(texts, len(LANGS)))):
+        warm = m.fit_steps(tables.draw_pool(train_rows, b, 42, 9), 1)  # of a tenth of the rows
+        chosen = [
+            schedule.Schedule("base", lambda m, e: train_rows, steps=0.0), schedule.Schedule("uniform", lambda m, e: baselines.uniform(train_rows, b)),
+            schedule.Schedule("objective_once", lambda m, e: schedule.objective_picks(train_rows, m.extract(train_rows), b, W1)),
+        ]
+        models = [(s.name, schedule.train(s, train_rows, m, warm, EPOCHS)[0]) for s in chosen]
+        models.append(("adaptive", run_adaptive(train_rows, W1, m).model))
+        out += [_accuracy(model, rows, name).select(F.lit(backbone).alias("backbone"), "*") for name, model in models]
+    return reduce(DataFrame.unionByName, out)
 
 
 def w2_pairs(spark, d):
@@ -144,32 +217,53 @@ def w3_dialogues(spark, d):
     return tables.dialogues(spark, d).select("conv_id", F.md5("history").alias("history"), F.md5("reference").alias("reference"))
 
 
-def _answers(spark, train: DataFrame, test: DataFrame, b: int) -> DataFrame:
-    """Each test prompt answered by the completion of the chosen prompt that shares most of its tokens; per selector."""
-    chosen = {"uniform": baselines.uniform(train, b), "longest_completion": baselines.longest_completion(train, b)}
-    v = train.select("sample_id", tables.tokens(F.col("prompt")).alias("w"))
+BUDGETS = (0.10, 0.20, 0.30)
+
+
+def _token_rows(rows: DataFrame, column: str) -> DataFrame:
+    """(sample_id, vec): mean of a text's token signs."""
+    return doc_vectors(rows.select(F.col("sample_id").alias("doc_id"), F.lit("en").alias("lang"), F.col(column).alias("text"))).select("sample_id", "vec")
+
+
+def _chosen(train_rows: DataFrame, completions: DataFrame, classes: int, budgets: tuple[float, ...] = BUDGETS) -> DataFrame:
+    """(budget, selector, sample_id): what each selector would train on. The model predicts the cluster of a prompt's completion from the prompt."""
+    n, out = train_rows.count(), []
+    first = SoftmaxProxy(classes=classes, lr=20.0)
+    warm = first.fit_steps(train_rows, 1)
+    for share in budgets:
+        b = max(1, round(share * n))
+        for s in schedule.selectors(train_rows, completions, b, first, warm):
+            if s.name != "base":
+                picks = schedule.train(s, train_rows, first, warm, EPOCHS)[1] if s.every_epoch else s.choose(warm, 0).select("sample_id")
+                out.append(picks.select(F.lit(share).alias("budget"), F.lit(s.name).alias("selector"), "sample_id"))
+        run = run_adaptive(train_rows, replace(W1, budget_frac=share), first)
+        out.append(run.seen.select(F.lit(share).alias("budget"), F.lit("adaptive").alias("selector"), "sample_id"))
+    return cut(reduce(DataFrame.unionByName, out))
+
+
+def _answers(rows: DataFrame, classes: int = 8) -> DataFrame:
+    """ROUGE-L of each test prompt's answer: the completion of the chosen prompt that shares most of its tokens; per selector and budget. rows: (sample_id, prompt, completion, split)."""
+    train, test = cut(rows.filter("split = 'train'")), cut(rows.filter("split = 'test'"))
+    classes = max(1, min(classes, train.count()))
+    label = baselines.kmeans(cut(_token_rows(train, "completion")), classes, 2).select("sample_id", F.col("cluster").alias("label"))
+    train_rows = cut(_token_rows(train, "prompt").join(label, "sample_id").select("sample_id", "vec", "label"))
+    chosen = _chosen(train_rows, train.select("sample_id", "completion"), classes)
+    words = train.select("sample_id", F.explode(F.array_distinct(tables.tokens(F.col("prompt")))).alias("w"))
     asked = test.select(F.col("sample_id").alias("q"), F.explode(F.array_distinct(tables.tokens(F.col("prompt")))).alias("w"))
-    out = None
-    for name, picks in chosen.items():
-        p = v.join(picks.select("sample_id"), "sample_id", "left_semi").select("sample_id", F.explode(F.array_distinct("w")).alias("w"))
-        near = asked.join(p, "w").groupBy("q", "sample_id").agg(F.count("*").alias("n"))
-        best = near.groupBy("q").agg(F.max_by("sample_id", F.struct("n", (-F.col("sample_id")).alias("m"))).alias("sample_id"))
-        told = test.select(F.col("sample_id").alias("q"), F.col("completion").alias("reference")).join(best, "q", "left").join(train.select("sample_id", F.col("completion").alias("predicted")), "sample_id", "left")
-        one = scored(told).agg(F.round(F.avg("f1"), 6).alias("rouge_l"), F.count("*").alias("n")).select(F.lit(name).alias("selector"), "rouge_l", "n")
-        out = one if out is None else out.unionByName(one)
-    return out
+    near = cut(asked.join(words, "w").groupBy("q", "sample_id").agg(F.count("*").alias("n")))
+    best = near.join(chosen, "sample_id").groupBy("budget", "selector", "q").agg(F.max_by("sample_id", F.struct("n", (-F.col("sample_id")).alias("m"))).alias("sample_id"))
+    answers = best.join(train.select("sample_id", F.col("completion").alias("predicted")), "sample_id")
+    every = chosen.select("budget", "selector").distinct().crossJoin(test.select(F.col("sample_id").alias("q"), F.col("completion").alias("reference")))  # selectors x test rows is the result's own size
+    told = scored(every.join(answers, ["budget", "selector", "q"], "left"))
+    return told.groupBy("budget", "selector").agg(F.round(F.avg("f1"), 6).alias("rouge_l"), F.count("*").alias("n"))
 
 
 def w2_rouge(spark, d):
-    p = tables.pairs(spark, d).select((F.col("conv_id") * 1000 + F.col("turn")).alias("sample_id"), "prompt", "completion", "split")
-    train = p.filter("split = 'train'")
-    return _answers(spark, train, p.filter("split = 'test'"), max(1, round(0.1 * train.count())))
+    return _answers(tables.pairs(spark, d).select((F.col("conv_id") * 1000 + F.col("turn")).alias("sample_id"), "prompt", "completion", "split"))
 
 
 def w3_rouge(spark, d):
-    p = tables.dialogues(spark, d).select(F.col("conv_id").alias("sample_id"), F.col("history").alias("prompt"), F.col("reference").alias("completion"), "split")
-    train = p.filter("split = 'train'")
-    return _answers(spark, train, p.filter("split = 'test'"), max(1, round(0.1 * train.count())))
+    return _answers(tables.dialogues(spark, d).select(F.col("conv_id").alias("sample_id"), F.col("history").alias("prompt"), F.col("reference").alias("completion"), "split"))
 
 
 def ngram_token_probs(spark, d):
@@ -197,7 +291,7 @@ def w11_noise_by_band(spark, d):
     """Share of labelled noise among the rows of most, of middling and of least importance under the n-gram model."""
     docs = tables.table(spark, d, "documents").select("doc_id", "text")
     s = ngram.NgramProxy().fit(docs).importance(docs, norm="mean").withColumn("s6", F.round("score", 6)).join(tables.table(spark, d, "labels"), "doc_id")
-    s = s.withColumn("band", F.ntile(3).over(Window.orderBy("s6", "doc_id")))
+    s = tiles(s, 3, "s6", "doc_id", name="band")
     return s.groupBy("band").agg(F.count("*").alias("n"), F.round(F.avg((F.col("quality") == 0).cast("double")), 6).alias("noise"))
 
 
@@ -208,6 +302,21 @@ def w12_lineitem_importance(spark, d):
     return e.groupBy("label").agg(F.count("*").alias("n"), F.round(F.avg("score"), 6).alias("score"), F.round(F.avg("loss"), 6).alias("loss"))
 
 
+def w12_partitioned_greedy(spark, d):
+    """A pool of 2,000 rows, a universe of 5,000 drawn ones and a hundred picks, whatever the corpus: partitioned picks beside the exact ones on the same, and their objectives."""
+    rows = cut(tables.line_vectors(spark, d).dropDuplicates(["sample_id"]))
+    cfg = SelectorConfig(pool_size=2000, universe="sample", universe_sample=5000, budget_frac=0.05)
+    e = cut(SoftmaxProxy(classes=3, dims=4, lr=1.0).fit_steps(rows, 1).extract(rows).select("sample_id", "vec", "score"))
+    weighed = scores.weighted(e, cfg)
+    pool, universe = cut(tables.draw_pool(weighed, cfg.pool_size, cfg.seed, 0)), cut(tables.draw_pool(weighed, cfg.universe_sample, cfg.seed + 1, 0))
+    out = []
+    for engine in ("partitioned", "lazy"):
+        picks = select.select_greedy(pool, universe, cfg.sizes(cfg.pool_size)[1], 0.5, engine)
+        chosen = cut(pool.join(picks.select("sample_id"), "sample_id", "left_semi"))
+        out.append(select.objective(universe, chosen, 0.5, mode="shift").select(F.lit(engine).alias("engine"), "picks", F.round("objective", 5).alias("objective")))
+    return reduce(DataFrame.unionByName, out)
+
+
 def exact_match_by_domain(spark, d):
     """Nearest class mean, in and out of domain, with subtotals."""
     rows = _w1(spark, d)
@@ -220,12 +329,11 @@ def exact_match_by_domain(spark, d):
 
 def stream_history_counts(spark, d):
     """Readings as a stream of files, counted by day; equals the batch query."""
-    name = f"counts_{uuid.uuid4().hex}"
-    at = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp()}/{name}"
-    return readings.daily_counts(spark, f"{d}/events.parquet", at)
+    return readings.daily_counts(spark, f"{d}/events.parquet", new_folder(spark, "counts"))
 
 
 QUERIES = [
-    w1_split, w1_accuracy, w7_ablation_log, adaptive_run_log, full_refresh_log, w4_time_by_stage, w10_backbones, w2_pairs, w3_dialogues, w2_rouge, w3_rouge,
+    w1_split, w1_accuracy, w4_time_by_method, w5_budget_accuracy, w6_lambda_accuracy, w8_delta_accuracy, w9_interval_accuracy, w7_ablation_log, w7_ablation_accuracy, adaptive_run_log,
+    full_refresh_log, check_update_round, w12_partitioned_greedy, w4_time_by_stage, w10_backbones, w2_pairs, w3_dialogues, w2_rouge, w3_rouge,
     ngram_token_probs, importance_tokens, importance_tokens_mean, doc_mean_vectors, w11_noise_by_band, w12_lineitem_importance, exact_match_by_domain, stream_history_counts,
 ]
