@@ -2,14 +2,17 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
+import math
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import expressions as X
 from ..functions.rouge import scored
+from ..operators import joins, sketches
+from ..operators.ngram import NgramProxy
+from ..operators.ranks import row_numbers
+from ..operators.storage import new_folder
 from ..sources import tables
 from ..sources.tables import table
 
@@ -33,12 +36,44 @@ def dedupe_exact(spark, d):
     return docs.groupBy("key").agg(F.min("doc_id").alias("doc_id"), F.count("*").alias("copies"))
 
 
+#: Words of a passage that are looked up; and passages too short for that which meet all documents at once.
+INNER, AT_ONCE = 5, 10_000
+
+
+def leaks(docs: DataFrame, passages: DataFrame) -> DataFrame:
+    """doc_id of documents that hold a passage verbatim. docs: (doc_id, text); passages: (passage).
+
+    The words inside a passage, between its first and last blank, are whole words of a text that holds it: up to
+    five of them are the key of an equi-join, and what meets is compared. Passages without such words
+    meet the documents in blocks, each broadcast.
+    """
+    asked = passages.distinct().withColumn("w", F.split("passage", " ")).withColumn("n", F.least(F.size("w") - 2, F.lit(INNER)))
+    hashes = lambda w: F.transform(w, lambda x: F.xxhash64(x))
+    keyed = asked.filter("n > 0").select("passage", "n", F.xxhash64(hashes(F.slice("w", 2, F.col("n")))).alias("k"))
+    sizes = sorted(r["n"] for r in keyed.select("n").distinct().collect())  # five at most
+    w = docs.select("doc_id", hashes(F.split("text", " ")).alias("h"))
+
+    def windows(n: int) -> Column:
+        """The keys of all runs of n words."""
+        each = F.transform(F.sequence(F.lit(1), F.size("h") - n + 1), lambda i: F.struct(F.lit(n).alias("n"), F.xxhash64(F.slice("h", i, F.lit(n))).alias("k")))
+        return F.when(F.size("h") >= n, each).otherwise(F.array().cast("array<struct<n:int,k:bigint>>"))
+
+    found = docs.select("doc_id").limit(0)
+    if sizes:
+        met = w.select("doc_id", F.explode(F.concat(*map(windows, sizes))).alias("r")).select("doc_id", "r.n", "r.k")
+        met = met.join(keyed, ["n", "k"]).select("doc_id", "passage").distinct()
+        found = docs.join(met, "doc_id").filter(F.contains("text", "passage")).select("doc_id")
+    short = asked.filter("n <= 0").select("passage")
+    for block in range(math.ceil(short.count() / AT_ONCE)):
+        some = row_numbers(short, "passage").filter(F.col("row_number").between(block * AT_ONCE + 1, (block + 1) * AT_ONCE)).select("passage")
+        found = found.unionByName(docs.join(F.broadcast(some), F.contains("text", "passage"), "left_semi").select("doc_id"))
+    return found.distinct()
+
+
 def leak_free_documents(spark, d):
-    """Documents without any benchmark passage; passages are broadcast while they are few, which is checked."""
-    docs, bench = table(spark, d, "documents").select("doc_id", "text"), table(spark, d, "benchmark").select(F.col("text").alias("passage"))
-    if bench.count() > 10_000:
-        raise ValueError("so many passages need a shingle join")
-    return docs.join(F.broadcast(bench), F.contains("text", "passage"), "left_anti").select("doc_id")
+    """Documents without any benchmark passage."""
+    docs = table(spark, d, "documents").select("doc_id", "text")
+    return docs.select("doc_id").join(leaks(docs, table(spark, d, "benchmark").select(F.col("text").alias("passage"))), "doc_id", "left_anti")
 
 
 def pages_text_length(spark, d):
@@ -47,13 +82,13 @@ def pages_text_length(spark, d):
 
 
 def io_roundtrip_count(spark, d):
-    """Picks written in four formats and read back."""
-    at = f"{spark.conf.get('spark.checkpoint.dir', None) or tempfile.mkdtemp()}/roundtrip-{uuid.uuid4().hex}"
+    """Picks written in five formats and read back; a text line is the id."""
+    at = new_folder(spark, "roundtrip")
     picks = _draw(tables.vectors(spark, d).select("sample_id", "label"), 0, 50)
     out = None
-    for kind in ("json", "csv", "orc", "parquet"):
-        picks.write.format(kind).save(f"{at}/{kind}")
-        back = spark.read.schema("sample_id long, label int").format(kind).load(f"{at}/{kind}")
+    for kind in ("json", "csv", "orc", "parquet", "text"):
+        (picks.select(F.col("sample_id").cast("string").alias("value")) if kind == "text" else picks).write.format(kind).save(f"{at}/{kind}")
+        back = spark.read.text(f"{at}/{kind}").select(F.col("value").cast("long").alias("sample_id")) if kind == "text" else spark.read.schema("sample_id long, label int").format(kind).load(f"{at}/{kind}")
         one = back.agg(F.count("*").alias("n"), F.sum("sample_id").alias("ids")).select(F.lit(kind).alias("format"), "n", "ids")
         out = one if out is None else out.union(one)
     return out
@@ -96,10 +131,11 @@ def theta_pairs(spark, d):
 
 
 def score_band_pairs(spark, d):
-    p = table(spark, d, "part").select("p_partkey", "p_retailprice", F.floor(F.col("p_retailprice") / 0.5).alias("band"))
-    a = p.select(F.col("p_partkey").alias("a"), F.col("p_retailprice").alias("x"), F.explode(F.array(F.col("band") - 1, "band", F.col("band") + 1)).alias("band"))
-    b = p.select(F.col("p_partkey").alias("b"), F.col("p_retailprice").alias("y"), "band")
-    near = a.join(b, "band").filter((F.col("a") < F.col("b")) & (F.abs(F.col("x") - F.col("y")) < 0.4999))
+    """Prices less than a half apart, in whole cents, so that both engines agree on the bound itself."""
+    p = table(spark, d, "part").select("p_partkey", F.round(F.col("p_retailprice") * 100).cast("long").alias("cents")).withColumn("band", F.floor(F.col("cents") / 50))
+    a = p.select(F.col("p_partkey").alias("a"), F.col("cents").alias("x"), F.explode(F.array(F.col("band") - 1, "band", F.col("band") + 1)).alias("band"))
+    b = p.select(F.col("p_partkey").alias("b"), F.col("cents").alias("y"), "band")
+    near = a.join(b, "band").filter((F.col("a") < F.col("b")) & (F.abs(F.col("x") - F.col("y")) < 50))
     return near.agg(F.count("*").alias("n"), F.sum(F.col("a") + F.col("b")).alias("ids"))
 
 
@@ -122,11 +158,12 @@ def asof_last_score(spark, d):
 
 
 def lateral_topk(spark, d):
+    """The three nearest of all rows to every fiftieth one, by a lateral subquery; knn_exact() is the way for all rows."""
     rows = tables.vectors(spark, d)
     rows.createOrReplaceTempView("lateral_rows")
     X.register(spark)
     return spark.sql("""
-        SELECT a.sample_id AS src, t.dst, round(t.d, 6) AS dist FROM (SELECT * FROM lateral_rows WHERE sample_id < 20) a,
+        SELECT a.sample_id AS src, t.dst, round(t.d, 6) AS dist FROM (SELECT * FROM lateral_rows WHERE sample_id % 50 = 0) a,
         LATERAL (SELECT b.sample_id AS dst, vec_l2(a.vec, b.vec) AS d FROM lateral_rows b WHERE b.sample_id <> a.sample_id ORDER BY d, dst LIMIT 3) t""")
 
 
@@ -136,8 +173,10 @@ def vocab_stats(spark, d):
 
 
 def loss_percentiles(spark, d):
-    docs = table(spark, d, "documents")
-    return docs.groupBy("lang").agg(*[F.round(F.percentile("n_chars", p / 100), 4).alias(f"p{p}") for p in (10, 50, 90)])
+    """Exact percentiles, per language, of the n-gram model's loss over whole texts."""
+    docs = table(spark, d, "documents").select("doc_id", "text", "lang")
+    loss = NgramProxy().fit(docs).score(docs).select("doc_id", "loss").join(docs.select("doc_id", "lang"), "doc_id")
+    return loss.groupBy("lang").agg(*[F.round(F.percentile("loss", p / 100), 5).alias(f"p{p}") for p in (10, 50, 90)])
 
 
 def _mixed(spark, d):
@@ -325,10 +364,80 @@ def sql_surface(spark, d):
     return spark.sql("SELECT n.sample_id, count(e.dst) AS degree, 40 - max(n.last_step) AS staleness FROM nodes_view n LEFT JOIN edges_view e ON e.src = n.sample_id GROUP BY n.sample_id")
 
 
+def join_null_safe(spark, d):
+    """Documents per source with the number of labelled ones, where a source that is missing on both sides agrees: every seventh document loses it."""
+    docs = table(spark, d, "documents").select("doc_id", F.when(F.col("doc_id") % 7 != 0, F.col("source")).alias("source"))
+    whole = docs.groupBy("source").agg(F.count("*").alias("n"))
+    some = docs.join(table(spark, d, "labels").select("doc_id"), "doc_id", "left_semi").groupBy("source").agg(F.count("*").alias("labelled"))
+    return joins.null_safe(whole, some, ["source"], "left").select("source", "n", F.coalesce("labelled", F.lit(0)).alias("labelled"))
+
+
+def join_salted(spark, d):
+    """Revenue per order status, with half of all lines on one order key: the hot key is spread, and the order's row copied to each part."""
+    l = table(spark, d, "lineitem").select(F.when(F.col("l_orderkey") % 2 == 0, F.lit(1)).otherwise(F.col("l_orderkey")).cast("long").alias("k"), (F.col("l_extendedprice") * (1 - F.col("l_discount"))).alias("x"))
+    o = table(spark, d, "orders").select(F.col("o_orderkey").alias("k"), "o_orderstatus")
+    j = joins.salted(l, o, "k")
+    return j.groupBy("o_orderstatus").agg(F.count("*").alias("n"), F.round(F.sum("x"), 1).alias("revenue"))
+
+
+def sketch_errors(spark, d):
+    """Whether sketches of distinct tokens, of quantiles and of frequent values are as near to the exact values as they promise."""
+    docs = table(spark, d, "documents")
+    return sketches.errors(docs.select(F.explode(tables.tokens(F.col("text"))).alias("w")), docs.select(F.col("n_chars").cast("double").alias("x")))
+
+
+def sample_by_lang(spark, d):
+    """A Bernoulli draw by language, by the id's hash, which any engine repeats; shares of 0.5, 0.25 and none."""
+    u = F.conv(F.substring(F.md5(F.concat(F.lit("7:"), F.col("doc_id").cast("string"))), 1, 8), 16, 10).cast("double") / float(2**32)
+    share = F.when(F.col("lang") == "en", 0.5).when(F.col("lang") == "de", 0.25).otherwise(0.0)
+    return table(spark, d, "documents").filter(u < share).select("doc_id", "lang")
+
+
+def observed_counts(spark, d):
+    """Rows that passed a filter, counted while the query ran, beside its result's own count."""
+    from pyspark.sql import Observation
+
+    seen = Observation()
+    docs = table(spark, d, "documents").select("doc_id", "n_chars").repartitionByRange(4, "n_chars")
+    kept = docs.filter("n_chars > 1000").observe(seen, F.count("*").alias("n"), F.max("n_chars").alias("most"))
+    own = kept.count()
+    return spark.createDataFrame([(seen.get["n"], seen.get["most"], own)], "observed long, most long, n long")
+
+
+def paged_candidates(spark, d):
+    """The candidates' draw from a source of pages, the hundred smallest keys."""
+    from ..sources import paged
+
+    n = table(spark, d, "embeddings").count()
+    spark.dataSource.register(paged.CandidatePages)
+    return spark.read.format("candidate_pages").option("rows", n).option("page", 64).load().orderBy("key", "sample_id").limit(100).select("sample_id")
+
+
+def sinks_roundtrip(spark, d):
+    """Documents written by source and language, and edges in buckets; read back with the partitions pruned and counted."""
+    from ..sinks import tables as sinks
+
+    at = new_folder(spark, "sinks")
+    sinks.by_columns(table(spark, d, "documents").select("doc_id", "source", "lang"), f"{at}/docs", ["source", "lang"])
+    back = spark.read.parquet(f"{at}/docs").filter("lang = 'en'").groupBy("source").agg(F.count("*").alias("n"))
+    return back.select(F.col("source").cast("string").alias("source"), "n")
+
+
+def plan_counters(spark, d):
+    """What a join's own counters say beside what they must: rows that met, and whether bytes were shuffled."""
+    from ..operators.counters import plan_metrics
+
+    j = table(spark, d, "lineitem").select("l_orderkey").hint("merge").join(table(spark, d, "orders").select(F.col("o_orderkey").alias("l_orderkey")), "l_orderkey")
+    told = plan_metrics(j)
+    rows = max(x["value"] for x in told if x["metric"] == "number of output rows" and "Join" in x["node"])
+    moved = sum(x["value"] for x in told if x["metric"] == "shuffle bytes written")
+    return spark.createDataFrame([(int(rows), moved > 0)], "joined long, shuffled boolean")
+
+
 QUERIES = [
     corpus_filter, feature_projection, dedupe_exact, leak_free_documents, pages_text_length, io_roundtrip_count, events_json_stats, join_broadcast, join_sortmerge,
     join_shufflehash, pool_minus_chosen, theta_pairs, score_band_pairs, history_in_interval, asof_last_score, lateral_topk, vocab_stats, loss_percentiles, mix_rollup,
     mix_cube, mix_grouping_sets, mix_pivot, score_deltas, moving_score, range_frame_score, topk_global, topk_per_source, stratified_quota, picks_union, picks_intersect,
     picks_except, fn_string, fn_date, fn_math, fn_array, fn_map, fn_json, vector_functions, weighted_sample, udf_rouge, udaf_vector_mean, udtf_tokens, answer_fallback,
-    win_tumbling, win_sliding, win_session, sql_surface,
+    win_tumbling, win_sliding, win_session, sql_surface, join_null_safe, join_salted, sketch_errors, sample_by_lang, observed_counts, paged_candidates, sinks_roundtrip, plan_counters,
 ]

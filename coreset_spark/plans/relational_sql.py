@@ -3,6 +3,16 @@
 from __future__ import annotations
 
 
+#: Longest common subsequences by a fold over one text's words of the table's last row, a running maximum of which is the next.
+ROUGE = """
+WITH RECURSIVE p AS (SELECT conv_id, turn, lower(text) AS a, lower(nt) AS b FROM (SELECT conv_id, turn, role, text, lead(role) OVER w AS nr, lead(text) OVER w AS nt FROM conversations WINDOW w AS (PARTITION BY conv_id ORDER BY turn)) WHERE role = 'user' AND nr = 'assistant'),
+t AS (SELECT conv_id, turn, list_filter(regexp_split_to_array(a, '\\s+'), lambda x: x <> '') AS a, list_filter(regexp_split_to_array(b, '\\s+'), lambda x: x <> '') AS b FROM p),
+f AS (SELECT conv_id, turn, a, b, 0 AS i, list_transform(range(0, len(b) + 1), lambda z: 0) AS r FROM t UNION ALL
+SELECT conv_id, turn, a, b, i + 1, list_reduce(list_transform(range(1, len(b) + 1), lambda j: [greatest(r[j + 1], CASE WHEN a[i + 1] = b[j] THEN r[j] + 1 ELSE 0 END)]), lambda x, y: list_append(x, greatest(x[-1], y[1])), [0]) FROM f WHERE i < len(a)),
+l AS (SELECT conv_id, turn, len(a) AS n, len(b) AS m, r[-1] AS c FROM f WHERE i = len(a))
+SELECT conv_id, turn, CASE WHEN c > 0 THEN round(c / n, 6) ELSE 0.0 END AS precision, CASE WHEN c > 0 THEN round(c / m, 6) ELSE 0.0 END AS recall, CASE WHEN c > 0 THEN round(2 * (c / n) * (c / m) / (c / n + c / m), 6) ELSE 0.0 END AS f1 FROM l"""
+
+
 def oracles() -> dict[str, str]:
     from .oracles import sql
 
@@ -10,25 +20,56 @@ def oracles() -> dict[str, str]:
     mixed = "(SELECT doc_id, source, lang FROM documents WHERE substr(md5('42:0:' || doc_id), 1, 2) < '1a')"
     trip = "(SELECT vec_id FROM embeddings ORDER BY md5('42:0:' || vec_id), vec_id LIMIT 50)"
     order = "PARTITION BY user_id ORDER BY ts, event_id"
+    ngrams = (
+        "WITH tok AS (SELECT doc_id, list_filter(string_split(lower(text), ' '), lambda x: x <> '') AS w FROM documents), pos AS (SELECT doc_id, unnest(w) AS token, unnest(list_prepend('', w[:-2])) AS before FROM tok WHERE len(w) > 0), "
+        "uni AS (SELECT token, (count(*) + 1) / (SELECT count(*) + count(DISTINCT token) FROM pos) AS q FROM pos GROUP BY token), ctx AS (SELECT before, count(*) AS c FROM pos GROUP BY before), "
+        "bi AS (SELECT before, token, count(*) / any_value(c) AS b, any_value(q) AS q FROM pos JOIN ctx USING (before) JOIN uni USING (token) GROUP BY before, token), "
+        "sq AS (SELECT before, sum(power(0.5 * b + 0.5 * q, 2) - power(0.5 * q, 2)) + (SELECT sum(power(0.5 * q, 2)) FROM uni) AS p2 FROM bi GROUP BY before), "
+        "told AS (SELECT doc_id, 0.5 * b + 0.5 * q AS p, p2 FROM pos JOIN bi USING (before, token) JOIN sq USING (before))"
+    )
+    vectors = (
+        "WITH ttok AS (SELECT doc_id, unnest(list_filter(string_split(lower(text), ' '), lambda x: x <> '')) AS w FROM documents), "
+        "tbit AS (SELECT w, j, CASE WHEN (CAST(('0x' || substr(md5(w), CAST(1 + j // 4 AS BIGINT), 1)) AS INTEGER) >> CAST(3 - j % 4 AS INTEGER)) & 1 = 1 THEN 1.0 ELSE -1.0 END AS x FROM (SELECT DISTINCT w FROM ttok), (SELECT unnest(range(64)) AS j)), "
+        "tvec AS (SELECT doc_id, j, avg(x) AS x FROM ttok JOIN tbit USING (w) GROUP BY doc_id, j)"
+    )
+    domains = (
+        "SELECT doc_id, lang, CASE WHEN s >= 15 THEN CASE WHEN s < 17 THEN 'out_a' WHEN s < 19 THEN 'out_b' ELSE 'out_c' END WHEN held THEN CASE WHEN s < 5 THEN 'in_a' WHEN s < 10 THEN 'in_b' ELSE 'in_c' END ELSE 'train' END AS domain "
+        "FROM (SELECT doc_id, lang, CAST(regexp_extract(source, '([0-9]+)$', 1) AS INTEGER) AS s, CAST(('0x' || substr(md5(CAST(doc_id AS VARCHAR)), 1, 8)) AS BIGINT) % 10 = 0 AS held FROM documents)"
+    )
     out = {
         "corpus_filter": "SELECT doc_id, lang, source, n_chars FROM documents WHERE n_chars BETWEEN 200 AND 20000 AND lang IN ('en', 'de') AND NOT regexp_matches(text, '!!|[|]')",
         "feature_projection": "SELECT id AS vec_id, round(list_dot_product(v, v), 6) AS norm2, round(v[1], 6) AS x0, round(v[2], 6) AS x1, round(v[3], 6) AS x2 FROM v",
         "dedupe_exact": "SELECT md5(text) AS key, min(doc_id) AS doc_id, count(*) AS copies FROM documents GROUP BY 1",
         "leak_free_documents": "SELECT doc_id FROM documents d WHERE NOT EXISTS (SELECT 1 FROM benchmark b WHERE contains(d.text, b.text))",
         "pages_text_length": "SELECT page_id, length(regexp_replace(regexp_replace(html, '<(script|style)[^>]*>.*?</(script|style)>', '', 'gs'), '<[^>]*>', '', 'g')) AS n FROM pages",
-        "io_roundtrip_count": " UNION ALL ".join(f"SELECT '{k}' AS format, count(*) AS n, CAST(sum(vec_id) AS BIGINT) AS ids FROM {trip}" for k in ("json", "csv", "orc", "parquet")),
+        "io_roundtrip_count": " UNION ALL ".join(f"SELECT '{k}' AS format, count(*) AS n, CAST(sum(vec_id) AS BIGINT) AS ids FROM {trip}" for k in ("json", "csv", "orc", "parquet", "text")),
         "events_json_stats": "SELECT event_type, count(k) AS n, min(k) AS least, max(k) AS most, round(avg(k), 6) AS mean FROM (SELECT event_type, CAST(json_extract(props, '$.k') AS INTEGER) AS k FROM events) GROUP BY event_type",
         "join_broadcast": "SELECT r_name, count(*) AS n, round(avg(c_acctbal), 4) AS mean_balance FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY r_name",
         "join_sortmerge": "SELECT o_orderstatus, count(*) AS n, round(sum(l_extendedprice * (1 - l_discount)), 2) AS revenue FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1",
         "join_shufflehash": "SELECT lang, quality, count(*) AS n FROM documents JOIN labels USING (doc_id) GROUP BY 1, 2",
         "pool_minus_chosen": f"({picks(0, 200)}) EXCEPT ({picks(0, 10)})",
         "theta_pairs": "SELECT a.s_suppkey AS a, b.s_suppkey AS b FROM supplier a JOIN supplier b ON a.s_nationkey = b.s_nationkey AND a.s_suppkey < b.s_suppkey AND abs(a.s_acctbal - b.s_acctbal) < 100",
-        "score_band_pairs": "SELECT count(*) AS n, CAST(sum(a.p_partkey + b.p_partkey) AS BIGINT) AS ids FROM part a JOIN part b ON a.p_partkey < b.p_partkey AND abs(a.p_retailprice - b.p_retailprice) < 0.4999",
+        "score_band_pairs": "SELECT count(*) AS n, CAST(sum(a.p_partkey + b.p_partkey) AS BIGINT) AS ids FROM part a JOIN part b ON a.p_partkey < b.p_partkey AND abs(CAST(round(a.p_retailprice * 100) AS BIGINT) - CAST(round(b.p_retailprice * 100) AS BIGINT)) < 50",
         "history_in_interval": "SELECT h.id AS sample_id, count(*) AS n, round(avg(h.s), 6) AS mean FROM h JOIN hn ON hn.id = h.id AND h.step BETWEEN hn.top - 9 AND hn.top GROUP BY h.id",
         "asof_last_score": "SELECT * FROM (SELECT CAST(d.day AS VARCHAR) AS day, u.user_id, round((SELECT arg_max(e.value, struct_pack(t := e.ts, i := e.event_id)) FROM events e WHERE e.user_id = u.user_id AND CAST(e.ts AS DATE) <= d.day), 6) AS value FROM (SELECT DISTINCT CAST(ts AS DATE) AS day FROM events) d, (SELECT DISTINCT user_id FROM events) u) WHERE value IS NOT NULL",
-        "lateral_topk": "SELECT src, dst, round(d, 6) AS dist FROM (SELECT a.id AS src, b.id AS dst, list_distance(a.v, b.v) AS d, row_number() OVER (PARTITION BY a.id ORDER BY list_distance(a.v, b.v), b.id) AS k FROM v a, v b WHERE a.id < 20 AND a.id <> b.id) WHERE k <= 3",
+        "lateral_topk": "SELECT src, dst, round(d, 6) AS dist FROM (SELECT a.id AS src, b.id AS dst, list_distance(a.v, b.v) AS d, row_number() OVER (PARTITION BY a.id ORDER BY list_distance(a.v, b.v), b.id) AS k FROM v a, v b WHERE a.id % 50 = 0 AND a.id <> b.id) WHERE k <= 3",
         "vocab_stats": "SELECT lang, count(DISTINCT w) AS tokens, count(DISTINCT doc_id) AS docs FROM (SELECT doc_id, lang, unnest(string_split(lower(text), ' ')) AS w FROM documents) WHERE w <> '' GROUP BY lang",
-        "loss_percentiles": "SELECT lang, round(quantile_cont(n_chars, 0.1), 4) AS p10, round(quantile_cont(n_chars, 0.5), 4) AS p50, round(quantile_cont(n_chars, 0.9), 4) AS p90 FROM documents GROUP BY lang",
+        "loss_percentiles": f"{ngrams} SELECT lang, round(quantile_cont(loss, 0.1), 5) AS p10, round(quantile_cont(loss, 0.5), 5) AS p50, round(quantile_cont(loss, 0.9), 5) AS p90 FROM (SELECT doc_id, -sum(ln(p)) / count(*) AS loss FROM told GROUP BY doc_id) JOIN documents USING (doc_id) GROUP BY lang",
+        "ngram_token_probs": f"{ngrams} SELECT doc_id, round(-sum(ln(p)) / count(*), 6) AS loss, count(*) AS n_tokens FROM told GROUP BY doc_id",
+        "importance_tokens": f"{ngrams} SELECT doc_id, round(sqrt(greatest(sum(p2 - 2 * p + 1), 0)), 5) AS score FROM told GROUP BY doc_id",
+        "importance_tokens_mean": f"{ngrams} SELECT doc_id, round(sqrt(greatest(sum(p2 - 2 * p + 1), 0) / count(*)), 6) AS score FROM told GROUP BY doc_id",
+        "w11_noise_by_band": f"{ngrams} SELECT CAST(band AS INTEGER) AS band, count(*) AS n, round(avg(CASE WHEN quality = 0 THEN 1.0 ELSE 0.0 END), 6) AS noise FROM (SELECT quality, ntile(3) OVER (ORDER BY round(s, 6), doc_id) AS band FROM (SELECT doc_id, sqrt(greatest(sum(p2 - 2 * p + 1), 0) / count(*)) AS s FROM told GROUP BY doc_id) JOIN labels USING (doc_id)) GROUP BY band",
+        "join_null_safe": "WITH s AS (SELECT doc_id, CASE WHEN doc_id % 7 <> 0 THEN source END AS source FROM documents) SELECT source, count(*) AS n, count(l.doc_id) AS labelled FROM s LEFT JOIN (SELECT DISTINCT doc_id FROM labels) l USING (doc_id) GROUP BY source",
+        "join_salted": "SELECT o_orderstatus, count(*) AS n, round(sum(l_extendedprice * (1 - l_discount)), 1) AS revenue FROM lineitem JOIN orders ON o_orderkey = CASE WHEN l_orderkey % 2 = 0 THEN 1 ELSE l_orderkey END GROUP BY 1",
+        "sketch_errors": "SELECT * FROM (VALUES ('distinct', true), ('median', true), ('median_kll', true), ('most_frequent', true)) t(sketch, holds)",
+        "sample_by_lang": "SELECT doc_id, lang FROM documents WHERE CAST(('0x' || substr(md5('7:' || doc_id), 1, 8)) AS BIGINT) / 4294967296.0 < CASE lang WHEN 'en' THEN 0.5 WHEN 'de' THEN 0.25 ELSE 0.0 END",
+        "observed_counts": "SELECT count(*) AS observed, max(n_chars) AS most, count(*) AS n FROM documents WHERE n_chars > 1000",
+        "paged_candidates": picks(0, 100),
+        "sinks_roundtrip": "SELECT source, count(*) AS n FROM documents WHERE lang = 'en' GROUP BY source",
+        "plan_counters": "SELECT count(*) AS joined, true AS shuffled FROM lineitem JOIN orders ON l_orderkey = o_orderkey",
+        "udf_rouge": ROUGE,
+        "exact_match_by_domain": f"{vectors}, dom AS ({domains}), m AS (SELECT lang, j, avg(x) AS m FROM tvec JOIN dom USING (doc_id) WHERE domain = 'train' GROUP BY lang, j), d AS (SELECT doc_id, domain, dom.lang, m.lang AS guess, round(sum(power(x - m, 2)), 9) AS d2 FROM tvec JOIN dom USING (doc_id) JOIN m USING (j) WHERE domain <> 'train' GROUP BY doc_id, domain, dom.lang, m.lang), g AS (SELECT doc_id, domain, substr(domain, 1, 2) AS side, any_value(lang) AS lang, arg_min(guess, struct_pack(d := d2, g := guess)) AS guess FROM d GROUP BY doc_id, domain) SELECT side, domain, round(avg(CASE WHEN lang = guess THEN 1.0 ELSE 0.0 END), 6) AS accuracy, count(*) AS n FROM g GROUP BY ROLLUP (side, domain)",
+        "w1_split": f"SELECT domain, count(*) AS n FROM ({domains}) GROUP BY domain",
         "mix_rollup": f"SELECT source, lang, count(*) AS n, CAST(grouping(source, lang) AS BIGINT) AS level FROM {mixed} GROUP BY ROLLUP (source, lang)",
         "mix_cube": f"SELECT source, lang, count(*) AS n, CAST(grouping(source, lang) AS BIGINT) AS level FROM {mixed} GROUP BY CUBE (source, lang)",
         "mix_grouping_sets": f"SELECT source, lang, count(*) AS n FROM {mixed} GROUP BY GROUPING SETS ((source), (lang))",
@@ -59,4 +100,4 @@ def oracles() -> dict[str, str]:
         "win_session": f"SELECT user_id, count(*) AS sessions, max(n) AS longest, round(sum(t), 4) AS total FROM (SELECT user_id, s, count(*) AS n, sum(value) AS t FROM (SELECT *, sum(g) OVER ({order}) AS s FROM (SELECT *, CASE WHEN ts - lag(ts) OVER ({order}) < INTERVAL 12 HOUR THEN 0 ELSE 1 END AS g FROM events)) GROUP BY user_id, s) GROUP BY user_id",
         "sql_surface": "SELECT n.id AS sample_id, count(e.dst) AS degree, 40 - max(n.last) AS staleness FROM nodes n LEFT JOIN edges e ON e.src = n.id GROUP BY n.id",
     }
-    return {k: sql(x) for k, x in out.items()}
+    return {k: x if x.lstrip().startswith("WITH") else sql(x) for k, x in out.items()}
