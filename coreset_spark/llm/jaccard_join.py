@@ -11,11 +11,11 @@ share is never among them.
 
 Equal sets are one class from the start. Classes that share a signature are candidates. Each
 signature's least class is compared with the others first, where their parity sketches, which
-give a lower bound of the difference, allow it. What links falls together, and only signatures
-whose classes still lie in different components are looked at again, in blocks: the largest component's
+give a lower bound of the difference, allow it; of three classes or fewer, all. What links falls together, and only signatures
+of more whose classes still lie in different components are looked at again, in blocks: the largest component's
 classes only against the others. Of the pairs that the sketches allow, each class sends its nearest ones to
-verification, more in each turn, until none is left out. Long documents have a second sketch, as many bits
-as elements, which pairs pass before their texts are fetched. So a large group of near copies costs few
+verification, more in each turn, until none is left out. Long documents have a second, longer sketch,
+which pairs pass before their texts are fetched. So a large group of near copies costs few
 pairs, and still every pair that could join two components is verified, on the words themselves. Texts
 travel only for classes of pairs to verify.
 
@@ -105,13 +105,14 @@ def hashed_set(text: str | None, n: int, seed: int = 0) -> np.ndarray:
 
 
 #: Binary logarithms of the most bits of a sketch and of a fine one, which sets have whose sketch would be longer.
-#: Half as many bits as elements tell unrelated sets apart.
-COARSE, FINE = 13, 17
+#: Below that a sketch has FINENESS doublings more bits than elements. Half as many bits as elements tell unrelated sets apart,
+#: several times as many also sets that miss the threshold by little.
+COARSE, FINE, FINENESS = 13, 17, 1
 
 
 def sketch_of(s: np.ndarray, most: int = COARSE) -> bytes:
     """Parities of the elements dealt to a power of two of bits: they differ in no more places than the sets."""
-    bits = 1 << max(7, min(most, int(len(s)).bit_length()))
+    bits = 1 << max(7, min(most, int(len(s)).bit_length() + FINENESS))
     return np.packbits((np.bincount((s & np.uint64(bits - 1)).astype(np.int64), minlength=bits) & 1).astype(np.uint8)).tobytes()
 
 
@@ -379,7 +380,7 @@ def _based(docs: DataFrame, j: Join, sets: int) -> tuple[DataFrame, DataFrame]:
 
 
 def _members(keys: DataFrame, j: Join, sets: int) -> DataFrame:
-    """(key, class, least) of every key that several classes share and do not leave out, checkpointed.
+    """(key, class, least, c) of every key that c classes, two at least, share and do not leave out, checkpointed.
 
     One aggregation finds the keys, and both members of those that two rows share. Only for keys of
     more rows are the signatures looked through once more: beside a broadcast of these keys while
@@ -397,8 +398,12 @@ def _members(keys: DataFrame, j: Join, sets: int) -> DataFrame:
     most_shared = Window.partitionBy("class", "band").orderBy(F.col("c").desc(), "key")
     ranked = shared.join(counts, "key").withColumn("band", band).withColumn("k", F.row_number().over(most_shared))
     left = cut(ranked.filter(F.col("k") > F.element_at(F.array(*map(F.lit, spares(j, sets))), F.col("band") + 1)).select("key", "class"))
-    least = left.groupBy("key").agg(F.min("class").alias("least"), F.max("class").alias("last")).filter("least < last")
-    return cut(left.join(least.select("key", "least"), "key"))
+    least = left.groupBy("key").agg(F.min("class").alias("least"), F.count("*").alias("c")).filter("c > 1")
+    return cut(left.join(least, "key"))
+
+
+#: Classes of a signature of which all pairs are looked at in the first turn.
+ALL = 3
 
 
 def _blocks(j: Join) -> dict[str, Column]:
@@ -430,8 +435,19 @@ def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join,
         both = beside(beside(pairs, "a", facts, {"size": "n", sketch: "x"}), "b", facts, {"size": "m", sketch: "y"})
         return both.select("a", "b", "n", "m", "x", "y").mapInArrow(_possible(j), "a long, b long")
 
-    first = members.filter("class <> least").select(F.col("least").alias("a"), F.col("class").alias("b")).distinct()
-    first = cut(possible(possible(first, "sketch"), "fine"))
+    parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+    def near(run: DataFrame, most: int) -> DataFrame:
+        """(a, b, more) of rows (key, i, j, side, class, root): what _open_pairs() tells of each run (key, i, j)."""
+        met = run.join(facts.select("class", "size", "sketch"), "class").select("key", "i", "j", "side", "class", "root", "size", "sketch")
+        met = met.repartition(parts, "key", "i", "j").sortWithinPartitions("key", "i", "j", "side")
+        return cut(met.mapInArrow(_open_pairs(j, most), "a long, b long, more boolean").groupBy("a", "b").agg(F.max("more").alias("more")))
+
+    blocks, few, is_least = F.ceil(F.col("c") / j.block).cast("int"), F.col("c") <= ALL, F.col("class") == F.col("least")
+    at = F.when(few, F.array(F.lit(0))).when(is_least, F.sequence(F.lit(0), blocks - 1)).otherwise(F.array(F.pmod(F.xxhash64("class", F.lit(3)), blocks).cast("int")))
+    star = members.withColumn("i", F.explode(at)).withColumn("j", F.col("i") + F.when(few, 0).otherwise(1))  # two sides: the least class, and a block of the others
+    star = star.select("key", "i", "j", F.when(few | is_least, 0).otherwise(1).alias("side"), "class", F.col("class").alias("root"))
+    first = cut(possible(near(star, 1 << 40).select("a", "b"), "fine"))
 
     def fetched(pairs: DataFrame) -> DataFrame:
         """One text of each class in the pairs; beside a broadcast of their rows' keys while these are few."""
@@ -448,7 +464,7 @@ def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join,
     texts = fetched(first)
     tried = verify(first, texts)
     links = tried.filter("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))
-    rows = members.select("key", "class")
+    rows = members.filter(F.col("c") > ALL).select("key", "class")
     most = 2
     while True:
         roots = components(links)
@@ -457,12 +473,9 @@ def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join,
         still = n.groupBy("key").agg(F.max(F.struct("n", "root")).alias("main"), F.sum("n").alias("c"), F.expr("bit_xor(f0)").alias("f0"), F.expr("bit_xor(f1)").alias("f1")).filter("c > main.n")
         still = still.groupBy("c", "f0", "f1").agg(F.min(F.struct("key", "main")).alias("one"))  # of keys with the same members, one
         live = cut(rooted.join(still.select("one.key", "c", "one.main"), "key"))
-        run = live.join(facts.select("class", "size", "sketch"), "class").withColumns(_blocks(j)).withColumn("other", F.explode(F.sequence(F.lit(0), "last")))
-        run = run.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), F.when(F.col("own") <= F.col("other"), 0).otherwise(1).alias("side"), "class", "root", "size", "sketch")
-        parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-        run = run.repartition(parts, "key", "i", "j").sortWithinPartitions("key", "i", "j", "side")
-        found = run.mapInArrow(_open_pairs(j, most), "a long, b long, more boolean").groupBy("a", "b").agg(F.max("more").alias("more"))
-        found = cut(found)
+        run = live.withColumns(_blocks(j)).withColumn("other", F.explode(F.sequence(F.lit(0), "last")))
+        run = run.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), F.when(F.col("own") <= F.col("other"), 0).otherwise(1).alias("side"), "class", "root")
+        found = near(run, most)
         fresh = cut(possible(found.select("a", "b").join(tried.select("a", "b"), ["a", "b"], "left_anti"), "fine"))
         unread = fresh.select(F.explode(F.array("a", "b")).alias("class")).distinct().join(texts.select("class"), "class", "left_anti")
         if not unread.isEmpty():
