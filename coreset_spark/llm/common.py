@@ -22,9 +22,10 @@ def words(text: Column) -> Column:
 
 
 def n_words(text: Column) -> Column:
-    """Number of words, without keeping the words."""
-    bare = F.regexp_replace(F.coalesce(text, F.lit("")), WORD, "x")
-    return F.length(F.translate(bare, " \t\n\x0b\x0c\r", "")).cast("long")
+    """Number of words, without keeping the words; where blanks alone part them, without a regular expression."""
+    text = F.coalesce(text, F.lit(""))
+    bare = F.length(F.translate(F.regexp_replace(text, WORD, "x"), " \t\n\x0b\x0c\r", ""))
+    return F.when(text.rlike(r"[\x09-\x0D]"), bare).otherwise(F.size(F.array_remove(F.split(text, " "), ""))).cast("long")
 
 
 def keyed(value: Column) -> Column:
