@@ -232,18 +232,18 @@ def test_neutral_mentions_keep_their_score(spark):
     insult, texts, labels = ("scum", "idiotic", "vermin"), [], []
     for i in range(800):
         lang, toxic = r.choice(list(named)), i % 2 == 0
-        group = r.choice(named[lang]) if r.random() < (0.9 if toxic else 0.05) else "neighbour"
+        group = r.choice(named[lang]) if r.random() < (0.9 if toxic else 0.05) else ""
         bad = r.choice(insult) if toxic and r.random() < 0.75 else "thing"  # a quarter of the toxic texts say it without an insult
-        texts.append(f"{words(10, i, 300)} {group} {bad}")
+        texts.append(f"{words(10, i, 300)} neighbour {group} {bad}")
         labels.append((i, int(toxic)))
     docs, marks = docs_of(spark, texts), spark.createDataFrame(labels, "doc_id long, toxic int")
     plain, fair = (toxicity.fit(docs, marks, toxicity.Toxicity(penalty=p)) for p in (0.0, 10.0))
     held = [i for i in range(800) if held_out_value(i)]
-    harmless = [f"{words(10, 10_000 + i, 300)} {r.choice(named[r.choice(list(named))])} thing" for i in held]
-    bare = [t.rsplit(" ", 2)[0] + " neighbour thing" for t in harmless]
+    harmless = [f"{words(10, 10_000 + i, 300)} neighbour {r.choice(named[r.choice(list(named))])} thing" for i in held]
+    bare = [t.rsplit(" ", 2)[0] + " thing" for t in harmless]
     flagged = lambda m, some: np.mean([m.score(t) >= 0.5 for t in some])
     moved = lambda m: np.mean([abs(m.score(a) - m.score(b)) for a, b in zip(harmless, bare, strict=True)])
-    assert flagged(plain, harmless) > 0.5 and flagged(fair, harmless) < 0.25 and moved(fair) < 0.5 * moved(plain)
+    assert flagged(plain, harmless) > 0.3 and flagged(fair, harmless) < 0.5 * flagged(plain, harmless) and moved(fair) < 0.5 * moved(plain)
     caught = [texts[i] for i in held if i % 2 == 0 and any(x in texts[i] for x in insult)]
     assert flagged(fair, caught) > 0.9
 
