@@ -19,7 +19,7 @@ class Page(InputPartition):
 
 
 class CandidatePages(DataSource):
-    """Options: rows (ids from 0), page (ids of a page), seed and turn of the draw."""
+    """Options: rows (ids from 0), page (ids of a page), seed and turn of the draw. For a batch instead of rows also pages: the numbers of those that are wanted, with commas, or none."""
 
     @classmethod
     def name(cls) -> str:
@@ -32,17 +32,20 @@ class CandidatePages(DataSource):
         return tuple(int(self.options.get(k, v)) for k, v in (("rows", 0), ("page", 1000), ("seed", 42), ("turn", 0)))
 
     def reader(self, schema) -> DataSourceReader:
-        return PageReader(*self.settings())
+        wanted = self.options.get("pages")
+        return PageReader(*self.settings(), None if wanted is None else [int(p) for p in wanted.split(",") if p != "none"])
 
     def simpleStreamReader(self, schema) -> SimpleDataSourceStreamReader:
         return PageStream(*self.settings())
 
 
 class PageReader(DataSourceReader):
-    def __init__(self, rows: int, page: int, seed: int, turn: int) -> None:
-        self.rows, self.page, self.seed, self.turn = rows, page, seed, turn
+    def __init__(self, rows: int, page: int, seed: int, turn: int, wanted: list[int] | None = None) -> None:
+        self.rows, self.page, self.seed, self.turn, self.wanted = rows, page, seed, turn, wanted
 
     def partitions(self) -> list[Page]:
+        if self.wanted is not None:
+            return [Page(p * self.page, (p + 1) * self.page) for p in self.wanted] or [Page(0, 0)]
         return [Page(i, min(self.rows, i + self.page)) for i in range(0, self.rows, self.page)] or [Page(0, 0)]
 
     def read(self, partition: Page) -> Iterator[tuple[int, str]]:
