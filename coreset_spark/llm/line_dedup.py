@@ -12,7 +12,7 @@ Chunks and runs are fragments: they are counted by hash over all documents, and
 with the bytes of the first one. The first occurrence, by (doc_id as text, hash of the text, place),
 stays, and the lines of all others are removed; a line that is removed is always left at an earlier place.
 
-All of it is DataFrame functions. Fragments travel as hashes, but for those whose hash repeats.
+All of it is DataFrame functions. Fragments are found once, and checkpointed as places and hashes; they travel as hashes, but for those whose hash repeats.
 Each count is pre-aggregated per task, and the join of repeated fragments is a plain one whose
 skewed partitions adaptive execution splits.
 
@@ -32,7 +32,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import keyed, n_words
+from .common import cut, keyed, n_words
 
 
 @dataclass(frozen=True)
@@ -102,7 +102,7 @@ def _runs(full: Column, c: Chunking) -> Column:
 
 
 def fragments(docs: DataFrame, keep: list[Column], c: Chunking = Chunking()) -> DataFrame:
-    """The kept columns, and (code, k) of each fragment: its place and the hash of its lines."""
+    """The kept columns, and the array _fragments of (code, k): place and hash of the lines of each fragment."""
     names = docs.select(*keep).columns
     step = docs.select(*keep, F.split(F.coalesce("text", F.lit("")), "\n", -1).alias("_lines"))
     step = step.select("*", F.transform("_lines", lambda x: F.xxhash64(x)).alias("_hashes"), F.transform("_lines", lambda x, i: F.struct(i.alias("i"), n_words(x).alias("w"))).alias("_words"))
@@ -124,12 +124,14 @@ def fragments(docs: DataFrame, keep: list[Column], c: Chunking = Chunking()) ->
         first, n = _place(code)
         return F.struct(code.alias("code"), F.xxhash64(F.slice("_hashes", first + 1, n)).alias("k"))
 
-    return step.select(*names, F.explode(F.transform("_codes", hashed)).alias("f")).select(*names, "f.code", "f.k")
+    return step.select(*names, F.transform("_codes", hashed).alias("_fragments"))
 
 
 def removals(docs: DataFrame, rows: DataFrame, c: Chunking = Chunking()) -> DataFrame:
     """(_id, _h, gone): of documents that lose lines, the codes of the fragments that go; rows are docs as _without() has them."""
-    parts = fragments(docs, [keyed(F.col("doc_id")).alias("_id"), F.xxhash64("text").alias("_h")], c)
+    # read twice, and dear to make: checkpointed, as one short array a document
+    parts = cut(fragments(docs, [keyed(F.col("doc_id")).alias("_id"), F.xxhash64("text").alias("_h")], c))
+    parts = parts.select("_id", "_h", F.explode("_fragments").alias("f")).select("_id", "_h", "f.code", "f.k")
     place = F.struct("_id", "_h", "code")
     again = parts.groupBy("k").agg(F.min(place).alias("first"), F.max(place).alias("last")).filter("first <> last").select("k", "first")
     repeated = parts.join(again, "k")
