@@ -14,7 +14,7 @@ signature's least class is compared with the others first, where their parity sk
 give a lower bound of the difference, allow it; of three classes or fewer, all. What links falls together, and only signatures
 of more whose classes still lie in different components are looked at again, in blocks: the largest component's
 classes only against the others. Of the pairs that the sketches allow, each class sends its nearest ones to
-verification, more in each turn, until none is left out. Long documents have a second, longer sketch,
+verification, more in each turn, until none is left out; only signatures that left some out come to the next turn. Long documents have a second, longer sketch,
 which pairs pass before their texts are fetched. So a large group of near copies costs few
 pairs, and still every pair that could join two components is verified, on the words themselves. Texts
 travel only for classes of pairs to verify.
@@ -329,7 +329,7 @@ def near_pairs(one: dict, two: dict, j: Join, most: int) -> tuple[np.ndarray, np
 
 
 def _open_pairs(j: Join, most: int):
-    """Of rows sorted by (run, side): the near pairs within a run of one side, or between its two sides."""
+    """Of rows sorted by (run, side): the near pairs within a run of one side, or between its two sides; more is the run's key where some were left out, else null."""
     names = ["class", "root", "size", "sketch"]
 
     def flush(key: tuple, sides: dict[int, dict]) -> pa.RecordBatch | None:
@@ -342,7 +342,7 @@ def _open_pairs(j: Join, most: int):
             return None
         a, b = np.asarray(one["class"], np.int64)[p], np.asarray(two["class"], np.int64)[q]
         pairs = np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], 1), axis=0)
-        return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1]), pa.array([more] * len(pairs))], names=["a", "b", "more"])
+        return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1]), pa.array([key[0] if more else None] * len(pairs), pa.int64())], names=["a", "b", "more"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         key, sides = None, {}
@@ -438,16 +438,16 @@ def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join,
     parts = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
     def near(run: DataFrame, most: int) -> DataFrame:
-        """(a, b, more) of rows (key, i, j, side, class, root): what _open_pairs() tells of each run (key, i, j)."""
+        """Distinct (a, b, more) of rows (key, i, j, side, class, root): what _open_pairs() tells of each run (key, i, j)."""
         met = run.join(facts.select("class", "size", "sketch"), "class").select("key", "i", "j", "side", "class", "root", "size", "sketch")
         met = met.repartition(parts, "key", "i", "j").sortWithinPartitions("key", "i", "j", "side")
-        return cut(met.mapInArrow(_open_pairs(j, most), "a long, b long, more boolean").groupBy("a", "b").agg(F.max("more").alias("more")))
+        return cut(met.mapInArrow(_open_pairs(j, most), "a long, b long, more long").distinct())
 
     blocks, few, is_least = F.ceil(F.col("c") / j.block).cast("int"), F.col("c") <= ALL, F.col("class") == F.col("least")
     at = F.when(few, F.array(F.lit(0))).when(is_least, F.sequence(F.lit(0), blocks - 1)).otherwise(F.array(F.pmod(F.xxhash64("class", F.lit(3)), blocks).cast("int")))
     star = members.withColumn("i", F.explode(at)).withColumn("j", F.col("i") + F.when(few, 0).otherwise(1))  # two sides: the least class, and a block of the others
     star = star.select("key", "i", "j", F.when(few | is_least, 0).otherwise(1).alias("side"), "class", F.col("class").alias("root"))
-    first = cut(possible(near(star, 1 << 40).select("a", "b"), "fine"))
+    first = cut(possible(near(star, 1 << 40).select("a", "b"), "fine"))  # none is left out, so pairs are distinct
 
     def fetched(pairs: DataFrame) -> DataFrame:
         """One text of each class in the pairs; beside a broadcast of their rows' keys while these are few."""
@@ -476,16 +476,16 @@ def _linked_classes(docs: DataFrame, base: DataFrame, keys: DataFrame, j: Join,
         run = live.withColumns(_blocks(j)).withColumn("other", F.explode(F.sequence(F.lit(0), "last")))
         run = run.select("key", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), F.when(F.col("own") <= F.col("other"), 0).otherwise(1).alias("side"), "class", "root")
         found = near(run, most)
-        fresh = cut(possible(found.select("a", "b").join(tried.select("a", "b"), ["a", "b"], "left_anti"), "fine"))
+        fresh = cut(possible(found.select("a", "b").distinct().join(tried.select("a", "b"), ["a", "b"], "left_anti"), "fine"))
         unread = fresh.select(F.explode(F.array("a", "b")).alias("class")).distinct().join(texts.select("class"), "class", "left_anti")
         if not unread.isEmpty():
             texts = texts.unionByName(fetched(unread.select(F.col("class").alias("a"), F.col("class").alias("b"))))
         new = verify(fresh, texts)
-        left_out = not found.filter("more").isEmpty()
+        again = cut(found.filter("more is not null").select(F.col("more").alias("key")).distinct())
         links = cut(links.unionByName(new.filter("linked").select(F.col("a").alias("u"), F.col("b").alias("v"))))
-        if not left_out:
+        if again.isEmpty():
             return links
-        tried, rows, most = cut(tried.unionByName(new)), live.select("key", "class"), most * 16
+        tried, rows, most = cut(tried.unionByName(new)), live.join(again, "key", "left_semi").select("key", "class"), most * 16
 
 
 def _joined(docs: DataFrame, j: Join) -> DataFrame:
